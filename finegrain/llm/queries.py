@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from finegrain.llm import decontamination, language_id, line_dedup, minhash_dedup, quality_rules, sharding, source_mixing, suffix_dedup, token_counts
+from finegrain.llm import decontamination, language_id, lattice_lm, line_dedup, minhash_dedup, quality_rules, sharding, source_mixing, suffix_dedup, token_counts
 from finegrain.llm.common import read
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -159,3 +159,11 @@ def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def op4_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_dedup.near_duplicates(read(spark, sf_dir, "documents"), k=4).select("doc_id", "n_shingles", "component_id", "kept")
+
+
+LATTICE_VOCABULARY = "piece_bpe_32k.model"
+
+
+@query()
+def op6_lattice_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lattice_lm.scores(read(spark, sf_dir, "documents"), tokenizer_path(LATTICE_VOCABULARY))
