@@ -55,9 +55,10 @@ def boilerplate(docs: DataFrame, site: str = "source", min_sites: int = MIN_SITE
     room = max(1.0, margin(lg_k) * min_sites)
     sure = spread.where(F.col("estimate") > min_sites + room).select("h1", "h2")
     near = spread.where(F.col("estimate").between(min_sites - room, min_sites + room)).select("h1", "h2")
+    # Distinct sites first: a line that very many rows share costs the join a row for each site.
     exact = (
-        lines.join(near, ["h1", "h2"], "left_semi")
-        .groupBy("h1", "h2", "site").agg(F.lit(1).alias("one"))
+        lines.groupBy("h1", "h2", "site").agg(F.lit(1).alias("one"))
+        .join(near, ["h1", "h2"], "left_semi")
         .groupBy("h1", "h2").agg(F.count("site").alias("sites"))
         .where(F.col("sites") >= min_sites).select("h1", "h2")
     )

@@ -40,10 +40,11 @@ WITH lines AS (
 SELECT doc_id,
   CAST(len(list_filter(ls, lambda x: trim(x, {BLANKS}) <> '')) AS BIGINT) AS n_lines,
   CAST(len(list_filter(ls, lambda x: list_contains(b, trim(x, {BLANKS})))) AS BIGINT) AS n_removed,
-  coalesce(array_to_string(list_filter(ls, lambda x: NOT list_contains(b, trim(x, {BLANKS}))), chr(10)), '') AS kept_text
+  sha256(coalesce(array_to_string(list_filter(ls, lambda x: NOT list_contains(b, trim(x, {BLANKS}))), chr(10)), '')) AS kept_sha256
 FROM docs""")
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_dedup.strip_boilerplate(read(spark, sf_dir, "documents")).select("doc_id", "n_lines", "n_removed", "kept_text")
+    stripped = line_dedup.strip_boilerplate(read(spark, sf_dir, "documents"))
+    return stripped.select("doc_id", "n_lines", "n_removed", F.sha2(F.col("kept_text").cast("binary"), 256).alias("kept_sha256"))
 
 
 @query(f"""
