@@ -7,8 +7,8 @@ compatible with the last token before it (the two side by side encode to themsel
 one. The counts of a text are the pieces' counts added up, and answer "how many tokens has
 this prefix" and "how much fits a budget" without encoding again.
 
-``PrefixCounter`` keeps the counts of the pieces seen (its table is emptied at ``PIECES`` entries, which
-bounds memory and changes no result). A special token inside a text is one token, as the library has it.
+``PrefixCounter`` keeps what it found for prefixes, pairs and pieces, so pieces that begin alike share their beginnings'
+work (a table that is full is emptied, which bounds memory and changes no result). A special token inside a text is one token, as the library has it.
 
 A null text is empty: 0 tokens. Every row is its own; nothing is shuffled. An empty table gives no rows.
 """
@@ -23,8 +23,10 @@ from itertools import accumulate
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-PIECES = 300_000
+PIECES = 500_000
+NODES = 1_000_000
 PAIRS = 1_000_000
+SHARED = 48  # bytes of the longest piece that shares its beginnings with others
 LIMIT = 512
 CONTRACTIONS = ("'s", "'t", "'re", "'ve", "'m", "'ll", "'d")
 
@@ -37,87 +39,106 @@ def byte_letters() -> dict[str, int]:
     return {chr(b): b for b in own} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-def vocabulary(path: str) -> tuple[dict[bytes, int], list[str]]:
-    """Rank of each token by its bytes (single bytes below 0), and the special tokens."""
+def vocabulary(path: str) -> tuple[dict[bytes, int], list[tuple[int, int]], list[str]]:
+    """Number of each token by its bytes (0-255 for bytes, then in the order of the merges), the two parts of each
+    merge, and the special tokens."""
     file = json.load(open(path, encoding="utf-8"))
     letters = byte_letters()
     as_bytes = lambda s: bytes(letters[c] for c in s)
-    ranks = {bytes([b]): -1 for b in range(256)}
-    for i, pair in enumerate(file["model"]["merges"]):
-        left, right = pair if isinstance(pair, list) else pair.split(" ")
-        ranks.setdefault(as_bytes(left) + as_bytes(right), i)
-    return ranks, [t["content"] for t in file["added_tokens"]]
+    numbers, parts = {bytes([b]): b for b in range(256)}, [(b, b) for b in range(256)]
+    for pair in file["model"]["merges"]:
+        left, right = map(as_bytes, pair if isinstance(pair, list) else pair.split(" "))
+        if left + right in numbers:
+            raise ValueError("a token with two merges: the prefix method needs one for each")
+        numbers[left + right] = len(parts)
+        parts.append((numbers[left], numbers[right]))
+    return numbers, parts, [t["content"] for t in file["added_tokens"]]
 
 
 class PrefixCounter:
     def __init__(self, path: str, pattern: str | None = None):
         import regex
 
-        self.ranks, self.special = vocabulary(path)
-        self.longest = max(map(len, self.ranks))
+        self.numbers, self.parts, self.special = vocabulary(path)
+        self.merged = {a << 17 | b: i for i, (a, b) in enumerate(self.parts) if i > 255}
+        self.longest = max(map(len, self.numbers))
         self.pattern = regex.compile(pattern or r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+""")
         self.cut = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
-        self.pairs: dict[tuple[bytes, bytes], bool] = {}
+        self.pairs: dict[int, bool] = {}
+        self.nodes: dict[bytes, int] = {}  # prefix -> its tokens << 17 | its last token
         self.pieces: dict[str, int] = {}
 
-    def merge(self, word: bytes) -> list[bytes]:
-        """The encoding of a short string by its merges, lowest rank first (used on pairs of tokens only)."""
-        parts = [word[i : i + 1] for i in range(len(word))]
-        while len(parts) > 1:
-            best, at = None, -1
-            for i in range(len(parts) - 1):
-                rank = self.ranks.get(parts[i] + parts[i + 1])
-                if rank is not None and (best is None or rank < best):
-                    best, at = rank, i
-            if best is None:
-                break
-            left, right, joined, i = parts[at], parts[at + 1], [], 0
-            while i < len(parts):
-                if i + 1 < len(parts) and parts[i] == left and parts[i + 1] == right:
-                    joined.append(left + right)
-                    i += 2
-                else:
-                    joined.append(parts[i])
-                    i += 1
-            parts = joined
-        return parts
-
-    def compatible(self, left: bytes, right: bytes) -> bool:
-        if len(self.pairs) >= PAIRS:
-            self.pairs.clear()
-        key = (left, right)
-        if (known := self.pairs.get(key)) is None:
-            known = self.pairs[key] = self.merge(left + right) == [left, right]
-        return known
+    def compatible(self, left: int, right: int) -> bool:
+        """Whether two tokens side by side stay two: no merge across their border comes before the merges that made them.
 
-    def byte_prefixes(self, piece: bytes) -> list[int]:
-        """Tokens of each prefix of a piece, by its length in bytes from 0."""
-        last: list[bytes] = [b""]
-        counts = [0]
-        ranks, pairs = self.ranks, self.pairs
+        The younger of the two is taken apart, on the side of the border, until a merge across the border is found that
+        would have come first, or single bytes are left.
+        """
+        before = len(self.parts)
+        while True:
+            made = self.merged.get(left << 17 | right)
+            if made is not None and made < before:
+                return False
+            if left > right:
+                if left < 256:
+                    return True
+                before, left = left, self.parts[left][1]
+            else:
+                if right < 256:
+                    return True
+                before, right = right + 1, self.parts[right][0]
+
+    def node(self, piece: bytes) -> int:
+        """Tokens << 17 | last token of a prefix, and of all its own prefixes on the way."""
+        nodes = self.nodes
+        known = nodes.get(piece)
+        if known is not None:
+            return known
+        if len(piece) > SHARED:
+            return self.long_piece(piece)[-1]
+        if len(nodes) + len(piece) > NODES:
+            nodes.clear()
+        done = len(piece) - 1
+        while done and piece[:done] not in nodes:
+            done -= 1
+        numbers, pairs, longest = self.numbers, self.pairs, self.longest
+        for end in range(done + 1, len(piece) + 1):
+            for start in range(max(0, end - longest), end):
+                token = numbers.get(piece[start:end])
+                if token is None:
+                    continue
+                if start == 0:  # each token's string encodes to that token
+                    nodes[piece[:end]] = 1 << 17 | token
+                    break
+                before = nodes[piece[:start]]
+                key = (before & 0x1FFFF) << 17 | token
+                fits = pairs.get(key)
+                if fits is None:
+                    if len(pairs) >= PAIRS:
+                        pairs.clear()
+                    fits = pairs[key] = self.compatible(before & 0x1FFFF, token)
+                if fits:
+                    nodes[piece[:end]] = ((before >> 17) + 1) << 17 | token
+                    break
+        return nodes[piece]
+
+    def long_piece(self, piece: bytes) -> list[int]:
+        """As node, for each prefix of a long piece: kept by length, as keeping the prefixes would take its square."""
+        out = [0]
         for end in range(1, len(piece) + 1):
             for start in range(max(0, end - self.longest), end):
-                token = piece[start:end]
-                if token in ranks:
-                    before = last[start]
-                    if not before:
-                        fits = end == 1 or self.merge_whole(token)
-                    else:
-                        fits = pairs.get((before, token))
-                        if fits is None:
-                            fits = self.compatible(before, token)
-                    if fits:
-                        last.append(token)
-                        counts.append(counts[start] + 1)
-                        break
-        return counts
-
-    def merge_whole(self, token: bytes) -> bool:
-        """Whether the string of a token encodes to that token alone."""
-        key = (b"", token)
-        if (known := self.pairs.get(key)) is None:
-            known = self.pairs[key] = self.merge(token) == [token]
-        return known
+                token = self.numbers.get(piece[start:end])
+                if token is not None and (start == 0 or self.compatible(out[start] & 0x1FFFF, token)):
+                    out.append(((out[start] >> 17) + 1) << 17 | token)
+                    break
+        return out
+
+    def byte_prefixes(self, piece: bytes) -> list[int]:
+        """Tokens of each prefix of a piece, by its length in bytes from 0."""
+        if len(piece) > SHARED:
+            return [x >> 17 for x in self.long_piece(piece)]
+        self.node(piece)
+        return [0, *(self.node(piece[:end]) >> 17 for end in range(1, len(piece) + 1))]
 
     def __getitem__(self, piece: str) -> int:
         """Tokens of a whole piece."""
@@ -125,7 +146,7 @@ class PrefixCounter:
         if known is None:
             if len(self.pieces) >= PIECES:
                 self.pieces.clear()
-            known = self.pieces[piece] = self.byte_prefixes(piece.encode("utf-8", "surrogatepass"))[-1]
+            known = self.pieces[piece] = self.node(piece.encode("utf-8", "surrogatepass")) >> 17
         return known
 
     def segments(self, text: str) -> Iterator[tuple[str, bool]]:
