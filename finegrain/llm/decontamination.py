@@ -140,21 +140,19 @@ def scan_block(docs: DataFrame, block: list, extra: str = "") -> DataFrame:
 
 
 def find(docs: DataFrame, items: DataFrame, size: int = WINDOW, most: int = PATTERN_BYTES) -> DataFrame:
-    """FOUND and contaminated for each row of docs."""
-    rows = docs.selectExpr("CAST(doc_id AS LONG) AS doc_id", "text")
+    """FOUND, text_key (a hash of the text) and contaminated for each row of docs."""
+    rows = docs.selectExpr("CAST(doc_id AS LONG) AS doc_id", "text", "md5(CAST(coalesce(text, '') AS BINARY)) AS text_key")
     blocks = list(pattern_blocks(items, size, most))
-    if len(blocks) == 1:
-        found = scan_block(rows, blocks[0])
-    else:
-        # Each row of docs gets a key of its own content; equal rows have equal results.
-        keyed = rows.withColumn("_key", F.md5(F.coalesce("text", F.lit("")).cast("binary")))
-        parts = [scan_block(keyed.select("doc_id", "text", "_key"), b, ", _key string") for b in blocks]
-        rest = parts[0]
+    parts = [scan_block(rows, b, ", text_key string") for b in blocks]
+    found = parts[0]
+    if len(parts) > 1:
         for p in parts[1:]:
-            rest = rest.unionByName(p)
-        merged = rest.groupBy("doc_id", "_key").agg(F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.array_sort(F.flatten(F.collect_set("spans"))).alias("spans"))
-        whole = keyed.join(merged, keyed["doc_id"].eqNullSafe(merged["doc_id"]) & (keyed["_key"] == merged["_key"])).select(keyed["doc_id"], "text", "n_words", "items", "spans")
-        found = whole.mapInArrow(_recount, FOUND)
+            found = found.unionByName(p)
+        # Equal rows have equal results, so doc_id and text say which belong together.
+        merged = found.groupBy(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).agg(
+            F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.flatten(F.collect_set("spans")).alias("spans"))
+        whole = rows.join(merged, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key"))).drop("_id", "_key")
+        found = whole.mapInArrow(_recount, FOUND + ", text_key string")
     return found.withColumn("contaminated", (F.col("n_hit") > 0) & (NEAR * F.col("n_hit") >= F.col("n_words")))
 
 
@@ -167,15 +165,14 @@ def _recount(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             spans = joined([(s["start"], s["end"]) for s in row["spans"]])
             at = scanner.word_offsets(row["text"]) if spans else []
             hit = sum(int(np.searchsorted(at[:, 0], b) - np.searchsorted(at[:, 0], a)) for a, b in spans)
-            out.append({"doc_id": row["doc_id"], "n_words": row["n_words"], "n_hit": hit, "items": row["items"], "spans": [{"start": a, "end": b} for a, b in spans]})
-        kind = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))])
+            out.append({"doc_id": row["doc_id"], "n_words": row["n_words"], "n_hit": hit, "items": row["items"], "spans": [{"start": a, "end": b} for a, b in spans], "text_key": row["text_key"]})
+        kind = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), ("text_key", pa.string())])
         yield pa.RecordBatch.from_pylist(out, schema=kind)
 
 
 def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
     """The rows of docs, unchanged, that aren't contaminated; texts are scanned where they lie."""
     blocks = list(pattern_blocks(items))
-    out = docs
     if len(blocks) == 1:
         block, at = blocks[0], docs.columns.index("text")
 
@@ -190,8 +187,9 @@ def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
                 yield batch.filter(pa.array(good, pa.bool_()))
 
         return docs.mapInArrow(run, T.StructType(docs.schema.fields))
-    bad = find(docs, items).where("contaminated").select(F.col("doc_id").alias("_bad")).distinct()
-    return out.join(bad, F.col("doc_id").cast("long").eqNullSafe(F.col("_bad")), "left_anti")
+    bad = find(docs, items).where("contaminated").select(F.col("doc_id").alias("_bad"), F.col("text_key").alias("_key")).distinct()
+    own = F.md5(F.coalesce("text", F.lit("")).cast("binary"))
+    return docs.join(bad, F.col("doc_id").cast("long").eqNullSafe(F.col("_bad")) & (own == F.col("_key")), "left_anti")
 
 
 def items_digest(ids: list[str]) -> str:

@@ -26,6 +26,7 @@ from finegrain.llm.common import drop, n_bytes, text_or_empty, written
 
 SEED = 20240229
 ROUNDS = 6
+OWN = ("doc_id", "size", "text_crc32", "row_no", "shard", "slot", "_at", "_p", "_before")
 # Odd multipliers and offsets of the round function stay below 2**31, so that products of a
 # half (below 2**31 too, up to 2**62 rows) fit a signed 64-bit integer, in SQL as well.
 MULTIPLY, STEP = 1664525, 1013904223
@@ -88,7 +89,7 @@ def shard(docs: DataFrame, n_shards: int = 16, seed: int = SEED, keep: tuple[str
         F.col("doc_id").cast("long").alias("doc_id"),
         (n_bytes() + 1).alias("size"),
         F.crc32(text_or_empty().cast("binary")).alias("text_crc32"),
-        *(F.col(c) for c in keep if c != "doc_id"),
+        *(F.col(c) for c in keep if c not in OWN),
     )
     placed = numbered(rows, ["doc_id", "text_crc32", "size"])
     total = placed._total
@@ -105,8 +106,7 @@ def shard(docs: DataFrame, n_shards: int = 16, seed: int = SEED, keep: tuple[str
 
 def write_shards(docs: DataFrame, path: str, n_shards: int = 16, seed: int = SEED) -> None:
     """docs as ``path/shard=s/`` with rows of each shard in slot order (several files a shard at scale)."""
-    keep = tuple(c for c in docs.columns if c not in ("size", "text_crc32", "row_no", "shard", "slot"))
-    dealt = shard(docs, n_shards, seed, keep)
+    dealt = shard(docs, n_shards, seed, tuple(docs.columns))
     dealt.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
 
 
