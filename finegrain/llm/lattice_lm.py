@@ -21,6 +21,7 @@ from __future__ import annotations
 import zlib
 from collections import Counter
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -152,23 +153,18 @@ def word_log_p(lattice: Lattice, words: list[bytes]) -> np.ndarray:
     return out
 
 
-def chunk_words(chunk: Chunk, table: bytes) -> Iterator[tuple[int, list[bytes]]]:
-    for i in range(len(chunk.ids)):
-        yield i, chunk.text(i).translate(table).split()
+def chunk_words(chunk: Chunk) -> list[list[bytes]]:
+    """The words of each text of a chunk."""
+    table = lower_table()
+    return [chunk.text(i).translate(table).split() for i in range(len(chunk.ids))]
 
 
-def dealt_words(chunk: Chunk, buckets: int) -> tuple[list[bytes], np.ndarray, np.ndarray]:
-    """The chunk's distinct words, ordered by bucket, their buckets and training counts."""
-    seen: Counter[bytes] = Counter()
-    learnt: Counter[bytes] = Counter()
-    table = lower_table()
-    for i, words in chunk_words(chunk, table):
-        (learnt if chunk.tags[i] == 0 else seen).update(words)
-    words = sorted(learnt.keys() | seen.keys())
-    bucket = np.fromiter((zlib.crc32(w) * buckets >> 32 for w in words), np.int64, len(words))
+def dealt_words(texts: list[list[bytes]], buckets: int) -> tuple[list[bytes], np.ndarray]:
+    """The distinct words, ordered by bucket, and their buckets: the same whenever a chunk is read."""
+    words = sorted(set().union(*texts))
+    bucket = np.fromiter((crc * buckets >> 32 for crc in map(zlib.crc32, words)), np.int64, len(words))
     order = np.argsort(bucket, kind="stable")
-    words = [words[i] for i in order]
-    return words, bucket[order], np.fromiter((learnt[w] for w in words), np.int64, len(words))
+    return [words[i] for i in order.tolist()], bucket[order]
 
 
 def bucket_edges(bucket: np.ndarray) -> Iterator[tuple[int, int, int]]:
@@ -180,7 +176,13 @@ def bucket_edges(bucket: np.ndarray) -> Iterator[tuple[int, int, int]]:
 
 def ask_words(buckets: int):
     def put(chunk: Chunk, _: dict) -> Iterator[tuple[int, bytes]]:
-        words, bucket, counts = dealt_words(chunk, buckets)
+        texts = chunk_words(chunk)
+        words, bucket = dealt_words(texts, buckets)
+        learnt: Counter[bytes] = Counter()
+        for tag, text in zip(chunk.tags.tolist(), texts, strict=True):
+            if tag == 0:
+                learnt.update(text)
+        counts = np.fromiter(map(learnt.__getitem__, words), np.int64, len(words))
         for b, i, j in bucket_edges(bucket):
             yield b, pack_arrays(b" ".join(words[i:j]), counts[i:j])
 
@@ -272,25 +274,25 @@ def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = R
     told = back.groupBy("g").agg(F.collect_list(F.struct("b", "payload")).alias("replies"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m, table, ten = shared.value, lower_table(), np.log(10)
+        m, ten = shared.value, np.log(10)
         room = np.log10(train_tokens + distinct + 1)
         for batch in batches:
             for chunk, r in unpack_chunks(batch):
                 replies = replies_of(batch, r)
-                every, bucket, _ = dealt_words(chunk, buckets)
+                texts = chunk_words(chunk)
+                every, bucket = dealt_words(texts, buckets)
                 parts = [unpack_arrays(replies[b], np.int64, np.float64) for b, _, _ in bucket_edges(bucket)]
                 count = np.concatenate([c for c, _ in parts]) if parts else np.zeros(0, np.int64)
                 log_p = np.concatenate([x for _, x in parts]) / ten if parts else np.zeros(0)
-                base = np.log10(count + 1) - room
-                place = {w: i for i, w in enumerate(every)}
-                rows = []
-                for _, words_ in chunk_words(chunk, table):
-                    at = np.fromiter(map(place.__getitem__, words_), np.int64, len(words_))
-                    rows.append((len(at) + 1, int((count[at] > 0).sum()) + (ends > 0), float(base[at].sum() + np.log10(ends + 1) - room), float(log_p[at].sum() + m.end / ten)))
-                columns = list(zip(*rows, strict=True))
+                place = dict(zip(every, range(len(every)), strict=True))
+                sizes = np.array([len(t) for t in texts])
+                at = np.fromiter(map(place.__getitem__, chain.from_iterable(texts)), np.int64, int(sizes.sum()))
+                owner = np.repeat(np.arange(len(texts)), sizes)
+                add = lambda x: np.bincount(owner, x[at], len(texts))  # noqa: B023, E731
                 arrays = [
-                    pa.array(chunk.ids, pa.int64(), mask=~chunk.known), pa.array(chunk.tags == 1), pa.array(columns[0], pa.int64()), pa.array(columns[1], pa.int64()),
-                    pa.array(np.full(len(rows), train_tokens, np.int64)), pa.array(columns[2], pa.float64()), pa.array(columns[3], pa.float64()),
+                    pa.array(chunk.ids, pa.int64(), mask=~chunk.known), pa.array(chunk.tags == 1), pa.array(sizes + 1, pa.int64()),
+                    pa.array(add(count > 0).astype(np.int64) + (ends > 0), pa.int64()), pa.array(np.full(len(texts), train_tokens, np.int64)),
+                    pa.array(add(np.log10(count + 1) - room) + np.log10(ends + 1) - room), pa.array(add(log_p) + m.end / ten),
                 ]
                 yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
