@@ -4,14 +4,15 @@
    sets form a class, found by a hash of the set; one of them, with the least doc_id, stands for it.
 2. ``BANDS * ROWS`` minima are drawn from each set. Band keys come from whole minima; a signature keeps the low ``BITS``
    bits of each minimum, packed. Two sets that are 0.8 alike share no band with a chance of (1 - 0.8**ROWS)**BANDS.
-3. A band's bucket is never paired within itself. Its members are linked to its least member, which is a minimum by
-   partial aggregation; a bucket that everything falls in costs one row a task.
+3. A band's bucket is never paired within itself. Each document has one first candidate: the least document of its
+   buckets, a minimum by partial aggregation; a bucket that everything falls in costs one row a task.
 4. A candidate's similarity is estimated from the bits in which its signatures agree, corrected for the 2**-BITS of
    unequal minima that agree by chance. Five standard errors below the threshold it is dropped; all others are
    confirmed on their whole sets. Confirmed links give components.
-5. Members of one bucket that are still in different components may be alike although neither is like the least
-   member. All of them are compared by their signatures, in blocks of the bucket, across components, and confirmed in the
-   same way. Links inside a component change nothing and aren't looked for.
+5. Members of one bucket that are still in different components may be alike although neither is like the first
+   candidate. Signatures tell, in blocks of the bucket, which members have a possible partner in another component (each pair in the
+   first bucket they share only); these members' whole sets meet in blocks again, and a block returns the links that join
+   components, as many as it has rows at most. No pairs leave a block. Links inside a component change nothing.
 
 A null text and a text without words have an empty set, link with nothing and are components of their own. Rows with one
 doc_id are one document with the links of all of them. A null doc_id stands for no class: such a row has the component
@@ -33,8 +34,10 @@ from finegrain.llm.common import drop, written
 WORDS = 5
 ALIKE = (80, 100)  # 100 * intersection >= 80 * union
 BANDS, ROWS, BITS = 32, 4, 4
-BLOCK = 2048
+BLOCK = 2048  # rows of a bucket whose signatures meet in one task, twice
+SET_BLOCK = 512  # and whose texts do
 PASS_BYTES = 1 << 20
+BROADCAST_IDS = 1_000_000  # of 8 bytes each
 
 
 def lower_table() -> bytes:
@@ -182,11 +185,19 @@ def passes_estimate(pairs: DataFrame, alike: tuple[int, int]) -> DataFrame:
     return pairs.mapInArrow(run, pairs.select(names).schema)
 
 
+def texts_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """id, text of the documents with these ids (read from a written table) that have a text.
+
+    Up to BROADCAST_IDS ids are sent to the texts, which stay where they are; more of them meet the texts in a shuffle.
+    """
+    ids = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").where("text IS NOT NULL AND id IS NOT NULL")
+    return texts.join(ids, "id", "left_semi").dropDuplicates(["id", "text"])
+
+
 def confirmed(pairs: DataFrame, docs: DataFrame, k: int, alike: tuple[int, int]) -> DataFrame:
     """The pairs a, b (written before) whose whole sets are alike; texts are fetched for the documents in pairs only."""
-    wanted = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").where("text IS NOT NULL AND id IS NOT NULL")
-    texts = written(texts.join(wanted, "id", "left_semi").dropDuplicates(["id", "text"]))
+    texts = written(texts_of(docs, pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()))
     both = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a")
     both = both.join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
 
@@ -232,36 +243,79 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     return edges.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(tops)
 
 
-def across(rows: DataFrame, alike: tuple[int, int]) -> DataFrame:
-    """Pairs a, b of one bucket and different components whose estimate doesn't rule them out.
+def block_pairs(rows: DataFrame, block: int, columns: list[str]) -> DataFrame:
+    """rows (with key, id) dealt to pairs p <= q of blocks of their key, with the block ``own`` of each row."""
+    sizes = rows.groupBy("key").agg(F.ceil(F.count("*") / block).cast("long").alias("blocks"))
+    placed = rows.join(sizes, "key").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")))
+    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    return placed.select("key", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "own", "id", *columns)
 
-    rows: key, id, component, signature, of buckets with several components. A bucket of more than BLOCK rows is compared block
-    by block, each pair of blocks in a task of its own.
-    """
+
+def sides(table: pa.Table) -> tuple[np.ndarray, np.ndarray, bool]:
+    """Rows of the left and the right block, and whether they are one."""
+    own, p, q = table.column("own").to_numpy(), table.column("p")[0].as_py(), table.column("q")[0].as_py()
+    return np.flatnonzero(own == p), np.flatnonzero(own == q), p == q
+
+
+def with_partners(rows: DataFrame, alike: tuple[int, int]) -> DataFrame:
+    """key, id of the rows (key, id, component, signature, bands) that have a possible partner of another component in their bucket."""
     least = least_estimate(alike)
-    sizes = rows.groupBy("key").agg(F.count("*").alias("n"))
-    blocked = rows.join(sizes, "key").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("long"))
-    blocked = blocked.withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")))
-    others = F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)
-    dealt = blocked.withColumn("other", F.explode(others)).select("key", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "own", "id", "component", "signature")
 
     def run(table: pa.Table) -> pa.Table:
-        ids, component, own = (table.column(c).to_numpy() for c in ("id", "component", "own"))
+        ids, component = table.column("id").to_numpy(), table.column("component").to_numpy()
         signature = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint8).reshape(len(ids), -1)
-        p, q = table.column("p")[0].as_py(), table.column("q")[0].as_py()
-        left = np.flatnonzero(own == p)
-        right = np.flatnonzero(own == q)
-        out = []
-        for i in left:
-            rest = right[(component[right] != component[i]) & ((ids[right] > ids[i]) if p == q else True)]
+        bands = table.column("bands").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
+        key, (left, right, same) = table.column("key")[0].as_py(), sides(table)
+        found = np.zeros(len(ids), bool)
+        for n, i in enumerate(left):
+            rest = right[n + 1 :] if same else right
+            rest = rest[component[rest] != component[i]]
+            rest = rest[estimate(signature[rest], signature[i][None, :]) >= least]
             if len(rest):
-                near = rest[estimate(signature[rest], signature[i][None, :]) >= least]
-                out.append(np.stack([np.full(len(near), ids[i]), ids[near]], 1))
-        pairs = np.concatenate(out) if out else np.zeros((0, 2), np.int64)
+                first = (bands[rest] == bands[i]).argmax(1)  # they share this bucket at least
+                rest = rest[bands[i][first] == key]
+                found[rest] = True
+                found[i] |= len(rest) > 0
+        return pa.table({"key": table.column("key").filter(pa.array(found)), "id": pa.array(ids[found], pa.int64())})
+
+    dealt = block_pairs(rows, BLOCK, ["component", "signature", "bands"])
+    return dealt.groupBy("key", "p", "q").applyInArrow(run, "key long, id long").distinct()
+
+
+def joining_links(rows: DataFrame, k: int, alike: tuple[int, int]) -> DataFrame:
+    """Links a, b between components among the rows (key, id, component, text) of each bucket, on whole sets."""
+
+    def run(table: pa.Table) -> pa.Table:
+        shingler = Shingler(k)
+        sets = [shingler.shingles(t.as_py()) for t in table.column("text")]
+        ids, label = table.column("id").to_numpy(), table.column("component").to_numpy().copy()
+        size = np.array([len(x) for x in sets])
+        start = np.cumsum(size) - size
+        _, every = np.unique(np.concatenate(sets), return_inverse=True)
+        flag = np.zeros(int(every.max()) + 1, bool)
+        left, right, same = sides(table)
+        out = []
+        for n, i in enumerate(left):
+            rest = right[n + 1 :] if same else right
+            rest = rest[label[rest] != label[i]]
+            if not len(rest):
+                continue
+            own = every[start[i] : start[i] + size[i]]
+            flag[own] = True
+            if len(rest) * 8 < len(ids):
+                common = np.array([int(flag[every[start[r] : start[r] + size[r]]].sum()) for r in rest])
+            else:
+                common = np.add.reduceat(flag[every], start, dtype=np.int64)[rest]
+            flag[own] = False
+            for r in rest[alike[1] * common >= alike[0] * (size[i] + size[rest] - common)]:
+                if label[r] != label[i]:
+                    out.append((ids[i], ids[r]))
+                    label[label == label[r]] = label[i]
+        pairs = np.array(out, np.int64).reshape(-1, 2)
         return pa.table({"a": pa.array(pairs[:, 0], pa.int64()), "b": pa.array(pairs[:, 1], pa.int64())})
 
-    found = dealt.groupBy("key", "p", "q").applyInArrow(run, "a long, b long")
-    return found.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    dealt = block_pairs(rows, SET_BLOCK, ["component", "text"])
+    return dealt.groupBy("key", "p", "q").applyInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = ALIKE) -> DataFrame:
@@ -275,19 +329,19 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = AL
     shared = written(banded.join(low, "key").select("key", "id", "b"))
     signs = reps.select("id", "signature")
 
-    stars = shared.select(F.col("id").alias("a"), "b").where("a <> b").distinct()
-    signed_pairs = stars.join(signs.select(F.col("id").alias("a"), F.col("signature").alias("sa")), "a")
+    firsts = shared.groupBy(F.col("id").alias("a")).agg(F.min("b").alias("b")).where("a <> b")
+    signed_pairs = firsts.join(signs.select(F.col("id").alias("a"), F.col("signature").alias("sa")), "a")
     signed_pairs = signed_pairs.join(signs.select(F.col("id").alias("b"), F.col("signature").alias("sb")), "b")
-    stars = written(passes_estimate(signed_pairs, alike))
-    links = written(confirmed(stars, docs, k, alike))
+    links = written(confirmed(written(passes_estimate(signed_pairs, alike)), docs, k, alike))
     found = components(links)
 
     placed = shared.select("key", "id").join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
     mixed = placed.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("key")
-    rest = across(placed.join(mixed, "key").join(signs, "id").select("key", "id", "component", "signature"), alike)
-    fresh = written(rest.join(stars, ["a", "b"], "left_anti"))
-    if not fresh.isEmpty():
-        more = written(confirmed(fresh, docs, k, alike))
+    open_ = written(placed.join(mixed, "key").select("key", "id", "component"))
+    active = written(with_partners(open_.join(reps, "id"), alike))
+    if not active.isEmpty():
+        texts = written(texts_of(docs, active.select("id").distinct()))
+        more = written(joining_links(active.join(open_, ["key", "id"]).join(texts, "id"), k, alike))
         if not more.isEmpty():
             found = components(links.unionByName(more))
     member = rows.select("doc_id", "text_hash", "n_shingles", "set_hash").join(classes, "set_hash", "left").join(found, "id", "left")

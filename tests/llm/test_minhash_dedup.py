@@ -74,6 +74,12 @@ def test_chains_ties_and_blocks(spark, monkeypatch):
         rows.append((n := n + 1, " ".join(text)))
     rng.shuffle(rows)
     monkeypatch.setattr(md, "BLOCK", 16)
+    monkeypatch.setattr(md, "SET_BLOCK", 8)
+    for _ in range(60):  # copies that are mostly just below the threshold
+        text = list(base)
+        for _ in range(rng.randint(4, 12)):
+            text[rng.randrange(150)] = word()
+        rows.append((n := n + 1, " ".join(text)))
     assert ours(table(spark, rows, "doc_id long, text string"), 4) == brute(rows, 4)
 
 
