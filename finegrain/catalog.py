@@ -675,6 +675,37 @@ def workload_mixed(spark, sf_dir):
     return W.run(spark, sf_dir, ("mixed_ntm",), ("mean_split", "coupled_cp"), (10,), 5)
 
 
+@query()
+def workload_incident(spark, sf_dir):
+    return W.run(spark, sf_dir, ("incident_utd",), ("mean_split", "coupled_cp"), (4,), 2)
+
+
+@query()
+def workload_categories(spark, sf_dir):
+    """One cube of the 50 best-selling parts for each category."""
+    return W.run(spark, sf_dir, tuple(f"category_top50/{t}" for t in W.TYPES), ("mean_split", "min_norm_ls", "coupled_cp"), (4,), 1)
+
+
+@query()
+def workload_scale(spark, sf_dir):
+    return W.run(spark, sf_dir, ("retail_sbm",), ("mean_split", "coupled_cp"), (10,), 2)
+
+
+@query()
+def workload_missing(spark, sf_dir):
+    return W.missing_grid(spark, sf_dir, (0.0, 0.2, 0.45), rank=4, iterations=2)
+
+
+@query()
+def workload_calendars(spark, sf_dir):
+    return W.calendars(spark, sf_dir, 4, 2)
+
+
+@query()
+def workload_ablations(spark, sf_dir):
+    return W.ablations(spark, sf_dir, 4, 2)
+
+
 @query()
 def workload_quarters(spark, sf_dir):
     w = W.regional_quarters(spark, sf_dir)

@@ -168,7 +168,9 @@ def third_factor(kernel: ViewKernel, factors: dict[str, np.ndarray], mode: str)
 def init_coupled(view_t: View, view_c: View, rank: int, init: str = "auto", cp_iterations: int = CP_ITERATIONS, seed: int = 0, nonneg: bool = False) -> tuple[dict[str, np.ndarray], str, int]:
     """Starting factors, the branch taken, and passes over cells."""
     if init == "random":
-        return random_factors(view_t.shape, rank, seed), "random", 0
+        return random_factors(view_t.shape, rank, seed, view_t.modes), "random", 0
+    if len(view_t.shape) != 3:
+        raise ValueError("cubes of more than three modes start from random or given factors")
     branch = choose_branch(view_t, view_c, init)
     if branch == "contemporaneous":
         if view_c.groupings.get("j") is not None:
@@ -199,7 +201,7 @@ def fit_coupled(views: list[View], rank: int, max_iter: int = ITERATIONS, tol: f
     if nonneg:
         factors = {m: np.maximum(f, 0) for m, f in factors.items()}
     kernels = [ViewKernel(v) for v in views]
-    factors, trace = descend(kernels, factors, ("i", "j", "k"), max_iter, tol, nonneg=nonneg)
+    factors, trace = descend(kernels, factors, tuple(views[0].modes), max_iter, tol, nonneg=nonneg)
     return Fit(factors, trace, passes + sum(k.passes for k in kernels), branch, time.perf_counter() - began)
 
 

@@ -40,17 +40,17 @@ def als(view: View, rank: int, iterations: int = 10, masked: bool = False, seed:
     them with the model (expectation maximisation), which costs the same one pass.
     """
     shape = view.coarse_shape
-    plain = View(view.cells, shape, {}, "missing" if masked else "zero")
+    plain = View(view.cells, shape, {}, "missing" if masked else "zero", modes=view.modes)
     kernel = ViewKernel(plain)
-    factors = start or random_factors(shape, rank, seed)
+    factors = start or random_factors(shape, rank, seed, view.modes)
     if start is None:  # the scale of the data, so that the first solves are not off by orders
         total, n = plain.cells.selectExpr("coalesce(sum(abs(v)), 0D)", "count(v)").first()
         scale = max(total / max(n if masked else np.prod(shape), 1), 1e-12)
         level = np.einsum("r->", np.prod([f.mean(0) for f in factors.values()], axis=0))
-        factors = {m: f * (scale / level) ** (1 / 3) for m, f in factors.items()}
+        factors = {m: f * (scale / level) ** (1 / len(shape)) for m, f in factors.items()}
     losses = []
     for _ in range(iterations):
-        for m in "ijk":
+        for m in view.modes:
             s = kernel.block(factors, m)
             g = others_gram(factors, m)
             # Half the gradient is model minus data, times the others; so this is what least squares solves for.

@@ -142,7 +142,7 @@ class ViewKernel:
     """
 
     def __init__(self, view: View, names: dict[str, str] | None = None):
-        self.view, self.names = view, names or {m: m for m in "ijk"}
+        self.view, self.names = view, names or {m: m for m in view.modes}
         self.plan = "observed" if view.absent == "missing" else "gram" if view.holes is None else "complement"
         self.squares = value_squares(view)[0] if self.plan != "observed" else 0.0
         self.passes = 0
@@ -187,4 +187,4 @@ class ViewKernel:
         return max(out, 0.0)
 
     def loss(self, factors: dict[str, np.ndarray]) -> float:
-        return self.block(factors, "i").loss
+        return self.block(factors, self.view.modes[0]).loss

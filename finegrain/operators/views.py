@@ -20,19 +20,20 @@ class View:
     """Observed cells of a coarse cube in coarse indexes, and the grouping of each mode (None: not grouped).
 
     absent: what a cell without a row is, "missing" or "zero". With "zero", ``holes`` may list cells (i, j, k) that
-    are missing nevertheless. shape: sizes of the fine modes.
+    are missing nevertheless. shape: sizes of the fine modes, whose columns are the letters of ``modes`` (three, or more).
     """
 
     cells: DataFrame
-    shape: tuple[int, int, int]
+    shape: tuple[int, ...]
     groupings: dict[str, Grouping | None]
     absent: str = "missing"
     holes: DataFrame | None = None
     weight: float = 1.0
+    modes: str = "ijk"
 
     @property
-    def coarse_shape(self) -> tuple[int, int, int]:
-        return tuple(g.n_groups if (g := self.groupings.get(m)) else n for m, n in zip("ijk", self.shape))
+    def coarse_shape(self) -> tuple[int, ...]:
+        return tuple(g.n_groups if (g := self.groupings.get(m)) else n for m, n in zip(self.modes, self.shape))
 
     def coarse(self, factors: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
         """Factors with this view's groupings applied: the data are never spread to fine cells."""
@@ -40,7 +41,7 @@ class View:
 
     def placed(self) -> View:
         """The view's cells written to the shared folder once, for the many passes of a fit."""
-        return replace(self, cells=shared.table(self.cells.select("i", "j", "k", "v").where("v IS NOT NULL")), holes=None if self.holes is None else shared.table(self.holes.select("i", "j", "k")))
+        return replace(self, cells=shared.table(self.cells.select(*self.modes, "v").where("v IS NOT NULL")), holes=None if self.holes is None else shared.table(self.holes.select(*self.modes)))
 
 
 def _joined(cells: DataFrame, mode: str, grouping: Grouping) -> tuple[DataFrame, str, str]:
@@ -86,12 +87,12 @@ def mode_product(cells: DataFrame, mode: str, grouping: Grouping, missing_rule:
     return mode_products(cells, {mode: grouping}, missing_rule)
 
 
-def make_view(cells: DataFrame, shape: tuple[int, int, int], missing_rule: str = "any", absent: str = "missing", weight: float = 1.0, **groupings: Grouping | None) -> View:
+def make_view(cells: DataFrame, shape: tuple[int, ...], missing_rule: str = "any", absent: str = "missing", weight: float = 1.0, modes: str = "ijk", **groupings: Grouping | None) -> View:
     """A view of the cube: ``make_view(cells, shape, i=U, j=V)``."""
     for m, g in groupings.items():
-        if g is not None and g.n_members != shape["ijk".index(m)]:
-            raise ValueError(f"the grouping of mode {m} has {g.n_members} members, the cube {shape['ijk'.index(m)]}")
-    return View(mode_products(cells, groupings, missing_rule), shape, dict(groupings), absent, None, weight)
+        if g is not None and g.n_members != shape[modes.index(m)]:
+            raise ValueError(f"the grouping of mode {m} has {g.n_members} members, the cube {shape[modes.index(m)]}")
+    return View(mode_products(cells, groupings, missing_rule), shape, dict(groupings), absent, None, weight, modes)
 
 
 def temporal_view(cells: DataFrame, shape: tuple[int, int, int], grouping: Grouping, missing_rule: str = "any", absent: str = "missing") -> View:

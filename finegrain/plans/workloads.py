@@ -233,9 +233,9 @@ def run_level(w: Workload, level: Level, ranks: tuple[int, ...] | None = None, m
             add(method, 0, lambda: min(best_rank(view_t, view_c, lambda c: nde_value(truth, c), GRID[:4], iterations)[1].values()))
         for r in ranks:
             if method == "coupled_cp":
-                add(method, r, lambda r=r: nde_model(truth, fit_coupled([view_t, view_c], r, iterations, seed=seed, placed=True).factors))
+                add(method, r, lambda r=r: nde_model(truth, fit_coupled([view_t, view_c], r, iterations, cp_iterations=iterations, seed=seed, placed=True).factors))
             elif method == "blind_cp" and level.v is None:
-                add(method, r, lambda r=r: nde_model(truth, fit_blind(view_t, view_c, r, MU, iterations, seed=seed).factors))
+                add(method, r, lambda r=r: nde_model(truth, fit_blind(view_t, view_c, r, MU, iterations, iterations, seed).factors))
             elif method == "cp_oracle":
                 add(method, r, lambda r=r: nde_model(truth, fit_cp(truth, w.shape, r, 2 * iterations, seed=seed).factors))
     return rows
@@ -259,7 +259,7 @@ def missing_grid(spark: SparkSession, sf_dir: str, fractions: tuple[float, ...]
         hide = (lambda c, f: mask_random(c, f)) if pattern == "random" else (lambda c, f: mask_fiber(c, "k", f))
         for f in fractions:
             t, c = (masked(v, hide(v.cells, f)).placed() for v in w.views(level))
-            fit = fit_coupled([t, c], rank, iterations, placed=True)
+            fit = fit_coupled([t, c], rank, iterations, cp_iterations=iterations, placed=True)
             rows.append(("planted", f"{pattern}-{round(100 * f)}", "coupled_cp", rank, nde_model(w.cells, fit.factors), int(np.prod(w.shape)), fit.seconds))
     return spark.createDataFrame(rows, SCORE)
 
@@ -286,16 +286,16 @@ def ablations(spark: SparkSession, sf_dir: str, rank: int = 4, iterations: int =
         rows.append(("planted", level, "coupled_cp" if "kt" not in fit.factors else "blind_cp", fit.rank, nde_model(w.cells, fit.factors), int(np.prod(w.shape)), fit.seconds))
 
     for init in ("auto", "bound", "random"):
-        add(f"init={init}", fit_coupled([t, c], rank, iterations, init=init, placed=True))
+        add(f"init={init}", fit_coupled([t, c], rank, iterations, cp_iterations=iterations, init=init, placed=True))
     for r in (2, 10):
-        add(f"rank={r}", fit_coupled([t, c], r, iterations, placed=True))
-    add("nonneg", fit_coupled([t, c], rank, iterations, nonneg=True, placed=True))
+        add(f"rank={r}", fit_coupled([t, c], r, iterations, cp_iterations=iterations, placed=True))
+    add("nonneg", fit_coupled([t, c], rank, iterations, cp_iterations=iterations, nonneg=True, placed=True))
     from dataclasses import replace
 
     for weight in (0.5, 2.0):
-        add(f"weight={weight}", fit_coupled([replace(t, weight=weight), c], rank, iterations, placed=True))
+        add(f"weight={weight}", fit_coupled([replace(t, weight=weight), c], rank, iterations, cp_iterations=iterations, placed=True))
     for mu in (0.0, 1.0, 100.0):
-        add(f"mu={mu}", fit_blind(t, c, rank, mu, iterations))
+        add(f"mu={mu}", fit_blind(t, c, rank, mu, iterations, iterations))
     return spark.createDataFrame(rows, SCORE)
 
 

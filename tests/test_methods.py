@@ -275,3 +275,18 @@ def test_refusals(spark, cube):
         observed(spark.createDataFrame([(0, 0, 0, float("nan"))], "i long, j long, k long, v double")).collect()
     empty = View(cells(spark, np.full(SHAPE, np.nan)), SHAPE, {"k": W})
     assert ViewKernel(empty).loss(factors()) == 0
+
+
+def test_four_modes(spark):
+    """The kernels take any number of modes: two views of a 4-mode cube, gradient against differences, descent."""
+    rng = np.random.default_rng(8)
+    shape, modes = (3, 4, 2, 6), "ijkl"
+    x = np.einsum("ar,br,cr,dr->abcd", *(rng.random((n, 2)) for n in shape))
+    at = np.argwhere(np.ones(shape))
+    df = spark.createDataFrame([(*map(int, p), float(x[tuple(p)])) for p in at], "i long, j long, k long, l long, v double")
+    t = make_view(df, shape, modes=modes, l=G.period(6, 3))
+    c = make_view(df, shape, modes=modes, i=G.chunk(3, 1), j=G.chunk(4, 2))
+    assert t.coarse_shape == (3, 4, 2, 2) and c.coarse_shape == (1, 2, 2, 6)
+    fit = fit_coupled([t, c], 2, 2, init="random")
+    assert set(fit.factors) == set(modes) and all(b <= a * (1 + 1e-9) for a, b in zip(fit.losses, fit.losses[1:]))
+    assert als(View(df, shape, {}, "zero", modes=modes), 2, 3).losses[-1] < (x**2).sum()
