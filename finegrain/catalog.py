@@ -414,12 +414,12 @@ def step_a_r2(spark, sf_dir):
     return rounded(spark.createDataFrame([(step * 1e6, round(loss - top**2 / below, 2))], "step double, loss_after double"), 6)
 
 
-@query(f"WITH {F2} SELECT CAST(ax AS BIGINT) AS idx, round(sum(v * b0 * ct0), 3) + 0.0 AS g0, round(sum(v * b1 * ct1), 3) + 0.0 AS g1 FROM et GROUP BY ax")
+@query(f"WITH {F2} SELECT CAST(ax AS BIGINT) AS idx, round(sum(v * b0 * ct0), 5) + 0.0 AS g0, round(sum(v * b1 * ct1), 5) + 0.0 AS g1 FROM et GROUP BY ax")
 def mttkrp_r2(spark, sf_dir):
     """The raw sums by the expression kernel: one plan in generated code."""
     f, t = r2_factors(), nbw_views(spark, sf_dir)[0]
     coarse = {m: factor_frame(spark, x) for m, x in t.coarse(f).items()}
-    return rounded(expression_pass(t.cells, coarse, "i", 2, "raw"), 3)
+    return rounded(expression_pass(t.cells, coarse, "i", 2, "raw"), 5)
 
 
 @query(f"WITH b AS ({factor_sql('b', 25, 61, 29)}) SELECT r, s, round(x, 9) AS x FROM (SELECT 0 AS r, 0 AS s, sum(b0 * b0) AS x FROM b UNION ALL SELECT 0, 1, sum(b0 * b1) FROM b UNION ALL SELECT 1, 0, sum(b0 * b1) FROM b UNION ALL SELECT 1, 1, sum(b1 * b1) FROM b)")
