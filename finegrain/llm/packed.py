@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from finegrain.llm.common import written
 
-CHUNK_BYTES = 8 << 20
+CHUNK_BYTES = 2 << 20
 CHUNK = "g long, ids binary, known binary, tags binary, sizes binary, body binary"
 
 

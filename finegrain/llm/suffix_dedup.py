@@ -34,13 +34,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from finegrain.llm.common import bucket_count, written
-from finegrain.llm.packed import Chunk, answered, pack, pack_arrays, questions, replies_of, total_bytes, unpack_arrays, unpack_chunks
+from finegrain.llm.packed import CHUNK_BYTES, Chunk, answered, pack, pack_arrays, questions, replies_of, total_bytes, unpack_arrays, unpack_chunks
 
 LENGTH = 50
 GRAM = 16
 RUN = 64
 HOT_PIECES = 4096
-BUCKET_BYTES = 6 << 20
+BUCKET_BYTES = 1 << 20
 BLOCK = 1 << 18
 SORT_BYTES = 1 << 19
 LAST = np.int64(2**63 - 1)
@@ -77,12 +77,18 @@ def sliding_min(h: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(h[: len(h) - (width - span)], h[width - span :]) if span < width else h
 
 
+def spread(least: np.ndarray) -> np.ndarray:
+    """Least hashes are small numbers; mixed once more (one to one), they fall into all buckets alike."""
+    least = (least ^ (least >> np.uint64(31))) * np.uint64(0x9FB21C651E98DF25)
+    return least ^ (least >> np.uint64(28))
+
+
 def pieces_of(chunk: Chunk, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Start, windows, anchor and document number of each piece, in the order of the body."""
     n = len(chunk.body)
     starts, counts, anchors = [], [], []
     sizes = np.diff(chunk.starts)
-    valid_end = np.repeat(chunk.starts[1:] - length, sizes) if n else np.zeros(0, np.int64)  # last window of each byte's document
+    valid_end = np.repeat((chunk.starts[1:] - length).astype(np.int32 if n < 2**31 else np.int64), sizes)  # last window of each byte's document
     opens = np.zeros(n, bool)
     opens[chunk.starts[:-1][sizes > 0]] = True
     width = length - GRAM + 1
@@ -107,7 +113,7 @@ def pieces_of(chunk: Chunk, length: int = LENGTH) -> tuple[np.ndarray, np.ndarra
         keep = good[edges]
         starts.append(edges[keep] + at)
         counts.append(spans[keep])
-        anchors.append(low[edges[keep]])
+        anchors.append(spread(low[edges[keep]]))
     if not starts:
         none = np.zeros(0, np.int64)
         return none, none, none.astype(np.uint64), none
@@ -171,6 +177,40 @@ def answer_anchors(payloads: list[bytes]) -> list[bytes]:
     return [pack_arrays(x.astype(np.uint8)) for x in np.split(said, np.cumsum([len(k) for k in keys])[:-1])]
 
 
+TAILS = np.array([(1 << 8 * n) - 1 for n in range(8)] + [2**64 - 1], np.uint64)
+
+
+def content_hashes(words: np.ndarray, start: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two 64-bit hashes of the strings of ``size`` bytes at ``start``, from words_at of the bytes that hold them."""
+    h1 = size.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    h2 = h1 ^ np.uint64(0x5851F42D4C957F2D)
+    for k in range(0, int(size.max(initial=0)), 8):
+        on = np.flatnonzero(size > k)
+        w = words[start[on] + k] & TAILS[np.minimum(size[on] - k, 8)]
+        x = (h1[on] ^ w) * np.uint64(0xBF58476D1CE4E5B9)
+        h1[on] = x ^ (x >> np.uint64(31))
+        y = (h2[on] + w) * np.uint64(0x94D049BB133111EB)
+        h2[on] = y ^ (y >> np.uint64(29))
+    return h1, h2
+
+
+def distinct(words: np.ndarray, start: np.ndarray, size: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Equal strings once: the number of each string's class, a member of each class, the least owner of each, the classes' hash."""
+    h1, h2 = content_hashes(words, start, size)
+    order = np.lexsort((h2, h1))
+    a, b = h1[order], h2[order]
+    first = np.flatnonzero(np.append(True, (a[1:] != a[:-1]) | (b[1:] != b[:-1]))) if len(order) else np.zeros(0, np.int64)
+    number = np.empty(len(order), np.int64)
+    number[order] = np.repeat(np.arange(len(first)), np.diff(np.append(first, len(order))))
+    least = np.minimum.reduceat(owner[order], first) if len(first) else owner
+    return number, order[first], least, a[first]
+
+
+def within(size: np.ndarray) -> np.ndarray:
+    """0..size[0]-1, 0..size[1]-1 and so on, all in a row."""
+    return np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size, size)
+
+
 @dataclass
 class Part:
     """What a chunk asks about: distinct strings by key, and where its pieces find the answers.
@@ -179,7 +219,8 @@ class Part:
     """
 
     keys: np.ndarray  # of each question, ascending
-    raw: list[bytes]
+    begin: np.ndarray  # where its string is in the chunk's body
+    size: np.ndarray
     least: np.ndarray  # least owner in this chunk
     buckets: np.ndarray
     answers: np.ndarray  # for each window of each distinct piece the place of its answer, all in a row
@@ -198,50 +239,41 @@ def taking_part(chunk: Chunk, replies: dict[int, bytes], buckets: int) -> Part:
     said[several] |= 1
     mine = said[np.searchsorted(keys, anchor)] if len(keys) else np.zeros(0, np.uint8)
     chosen = np.flatnonzero(mine & 1)
-    start, count, doc = start[chosen], count[chosen], doc[chosen]
-    owner, number, least, found, piece = owner_ids(chunk)[doc].tolist(), {}, [], [], []
-    for s, n, k, h, d in zip(start.tolist(), count.tolist(), anchor[chosen].tolist(), (mine[chosen] > 1).tolist(), owner, strict=True):
-        raw = chunk.body[s : s + n + LENGTH - 1]
-        p = number.setdefault(raw, len(number))
-        if p == len(least):
-            least.append(d)
-            found.append((k, h, raw))
-        elif d < least[p]:
-            least[p] = d
-        piece.append(p)
-    asked: dict[bytes, int] = {}
-    ask_key, ask_least, links = [], [], []
-    for (k, h, raw), d in zip(found, least, strict=True):
-        own = []
-        for q in [raw] if not h else [raw[j : j + LENGTH] for j in range(len(raw) - LENGTH + 1)]:
-            i = asked.setdefault(q, len(asked))
-            if i == len(ask_key):
-                ask_key.append(int.from_bytes(hashlib.blake2b(q, digest_size=8).digest(), "little") if h else k)
-                ask_least.append(d)
-            elif d < ask_least[i]:
-                ask_least[i] = d
-            own.append(i)
-        links.append(own)
-    ask_keys = np.array(ask_key, np.uint64)
-    order = np.argsort(ask_keys, kind="stable")
-    raw = list(asked)
-    windows = np.array([len(q) - LENGTH + 1 for q in raw], np.int64)
-    place = np.zeros(len(raw), np.int64)
-    place[order] = np.cumsum(windows[order]) - windows[order]
-    answers = [place[own[0]] + np.arange(windows[own[0]]) if len(own) == 1 else place[own] for own in links]
-    sizes = np.array([len(x) for x in answers], np.int64)
+    start, count, doc, anchor, hot = start[chosen], count[chosen], doc[chosen], anchor[chosen], mine[chosen] > 1
+    words = words_at(chunk.body)
+    piece, member, least, _ = distinct(words, start, count + LENGTH - 1, owner_ids(chunk)[doc])
+    at, windows, by_window = start[member], count[member], hot[member]
+    plain = ~by_window
+    # Windows of the pieces that are dealt by window.
+    w_begin = np.repeat(at[by_window], windows[by_window]) + within(windows[by_window])
+    w_number, w_member, w_least, w_key = distinct(words, w_begin, np.full(len(w_begin), LENGTH), np.repeat(least[by_window], windows[by_window]))
+    ask_key = np.concatenate([anchor[member][plain], w_key])
+    begin = np.concatenate([at[plain], w_begin[w_member]])
+    asked = np.concatenate([windows[plain], np.ones(len(w_member), np.int64)])
+    order = np.argsort(ask_key, kind="stable")
+    place = np.zeros(len(order), np.int64)
+    place[order] = np.cumsum(asked[order]) - asked[order]
+    answers = np.zeros(int(windows.sum()), np.int64)
+    of_plain = np.repeat(plain, windows)
+    n = int(plain.sum())
+    answers[of_plain] = np.repeat(place[:n], windows[plain]) + within(windows[plain])
+    answers[~of_plain] = place[n:][w_number]
     return Part(
-        ask_keys[order], [raw[i] for i in order], np.array(ask_least, np.int64)[order], bucket_of(ask_keys[order], buckets),
-        np.concatenate(answers) if answers else np.zeros(0, np.int64), np.cumsum(sizes) - sizes,
-        np.array(piece, np.int64), start, count, doc,
+        ask_key[order], begin[order], asked[order] + LENGTH - 1, np.concatenate([least[plain], w_least])[order], bucket_of(ask_key[order], buckets),
+        answers, np.cumsum(windows) - windows, piece, start, count, doc,
     )
 
 
+def gathered(body: np.ndarray, begin: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The strings at begin, all in a row."""
+    return body[np.repeat(begin, size) + within(size)]
+
+
 def ask_pieces(buckets: int):
     def put(chunk: Chunk, replies: dict[str, dict[int, bytes]]) -> Iterator[tuple[int, bytes]]:
-        part = taking_part(chunk, replies["shared"], buckets)
+        part, body = taking_part(chunk, replies["shared"], buckets), np.frombuffer(chunk.body, np.uint8)
         for b, s in slices(part.buckets):
-            yield b, pack_arrays(part.keys[s], part.least[s], np.array([len(x) for x in part.raw[s]], np.uint8), b"".join(part.raw[s]))
+            yield b, pack_arrays(part.keys[s], part.least[s], part.size[s].astype(np.uint8), gathered(body, part.begin[s], part.size[s]))
 
     return put
 
@@ -309,66 +341,63 @@ def common_prefixes(raw: bytes, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.minimum(out, LENGTH)
 
 
-def first_owners(pieces: list[bytes], owners: np.ndarray) -> list[np.ndarray]:
-    """For each window of each (distinct) piece the least owner of a piece that has it."""
-    raw = b"".join([p + b"\0" for p in pieces])
-    sizes = np.array([len(p) + 1 for p in pieces])
-    ends = np.cumsum(sizes) - 1
+def first_owners(pieces: np.ndarray, sizes: np.ndarray, owners: np.ndarray) -> np.ndarray:
+    """For each window of each (distinct) piece, all in a row, the least owner of a piece that has it. pieces: their bytes in a row."""
+    ends = np.cumsum(sizes + 1) - 1
+    text = np.zeros(int(ends[-1]) + 1, np.uint8)
+    inside = np.ones(len(text), bool)
+    inside[ends] = False
+    text[inside] = pieces
+    raw = text.tobytes()
     order = sorted_suffixes(raw, ends)
-    piece = np.repeat(np.arange(len(pieces)), sizes)
+    piece = np.repeat(np.arange(len(sizes)), sizes + 1)
     windows = order[ends[piece[order]] - order >= LENGTH]
     same = common_prefixes(raw, windows[:-1], windows[1:]) >= LENGTH
     first = np.flatnonzero(np.append(True, ~same))
     least = np.minimum.reduceat(owners[piece[windows]], first)
     out = np.zeros(len(raw), np.int64)
     out[windows] = np.repeat(least, np.diff(np.append(first, len(windows))))
-    begin = ends - sizes + 1
-    return [out[b : e - LENGTH + 1] for b, e in zip(begin, ends, strict=True)]
+    starts = np.zeros(len(raw), bool)
+    starts[windows] = True
+    return out[starts]
 
 
 def answer_pieces(payloads: list[bytes]) -> list[bytes]:
     """For each piece of each chunk the first owner of each of its windows, all in a row."""
-    number: dict[bytes, int] = {}
-    keys: list[int] = []
-    least: list[int] = []
-    asked = []
-    for p in payloads:
-        key, low, sizes, raw = unpack_arrays(p, np.uint64, np.int64, np.uint8, None)
-        at, mine = 0, []
-        for k, d, n in zip(key.tolist(), low.tolist(), sizes.tolist(), strict=True):
-            piece = raw[at : at + n]
-            at += n
-            i = number.setdefault(piece, len(number))
-            if i == len(least):
-                least.append(d)
-                keys.append(k)
-            elif d < least[i]:
-                least[i] = d
-            mine.append(i)
-        asked.append(mine)
-    pieces, key, owners = list(number), np.array(keys, np.uint64), np.array(least, np.int64)
-    order = np.argsort(key, kind="stable")
-    edges = np.flatnonzero(np.append(True, key[order][1:] != key[order][:-1])) if len(key) else np.zeros(0, int)
-    result: list[np.ndarray | None] = [None] * len(pieces)
-    group, room = [], 0
-
-    def sort_group() -> None:
-        for i, x in zip(group, first_owners([pieces[i] for i in group], owners[group]), strict=True):
-            result[i] = x
-
-    for a, b in zip(edges, np.append(edges[1:], len(order)), strict=True):
-        own = order[a:b].tolist()
-        if len(own) == 1:  # no other piece has this anchor: its windows start where it does
-            result[own[0]] = np.full(len(pieces[own[0]]) - LENGTH + 1, owners[own[0]])
-            continue
-        group += own
-        room += sum(len(pieces[i]) for i in own)
-        if room >= SORT_BYTES:
-            sort_group()
-            group, room = [], 0
-    if group:
-        sort_group()
-    return [pack_arrays(np.concatenate([result[i] for i in mine]) if mine else np.zeros(0, np.int64)) for mine in asked]
+    parts = [unpack_arrays(p, np.uint64, np.int64, np.uint8, np.uint8) for p in payloads]
+    key, least, size, raw = (np.concatenate(x) for x in zip(*parts, strict=True))
+    each = [len(p[0]) for p in parts]
+    del parts
+    size = size.astype(np.int64)
+    begin = np.cumsum(size) - size
+    number, member, least, _ = distinct(words_at(raw.tobytes()), begin, size, least)
+    order = np.argsort(key[member], kind="stable")  # pieces of one anchor side by side
+    member, least = member[order], least[order]
+    rank = np.empty(len(order), np.int64)
+    rank[order] = np.arange(len(order))
+    number = rank[number]
+    own_key, own_size = key[member], size[member]
+    windows = own_size - LENGTH + 1
+    offset = np.cumsum(windows) - windows
+    result = np.repeat(least, windows)  # an anchor's only piece: its windows start where it does
+    edges = np.flatnonzero(np.append(True, own_key[1:] != own_key[:-1]))
+    pieces_of_key = np.diff(np.append(edges, len(own_key)))
+    several = np.repeat(pieces_of_key > 1, pieces_of_key)
+    # Groups of whole anchors with about SORT_BYTES of pieces.
+    room = np.cumsum(np.where(several, own_size, 0))
+    batch = np.repeat(room[edges] // SORT_BYTES, pieces_of_key)
+    chosen = np.flatnonzero(several)
+    for _, s in slices(batch[chosen]):
+        own = chosen[s]
+        at = np.repeat(offset[own], windows[own]) + within(windows[own])
+        result[at] = first_owners(gathered(raw, begin[member[own]], own_size[own]), own_size[own], least[own])
+    out, at = [], 0
+    for n in each:
+        mine = number[at : at + n]
+        at += n
+        w = windows[mine]
+        out.append(pack_arrays(result[np.repeat(offset[mine], w) + within(w)]))
+    return out
 
 
 def removed_bytes(chunk: Chunk, shared: dict[int, bytes], firsts: dict[int, bytes], buckets: int) -> np.ndarray:
@@ -377,7 +406,7 @@ def removed_bytes(chunk: Chunk, shared: dict[int, bytes], firsts: dict[int, byte
     diff = np.zeros(len(chunk.body) + 1, np.int32)
     if len(part.piece):
         first_of = np.concatenate([unpack_arrays(firsts[b], np.int64)[0] for b, _ in slices(part.buckets)])
-        step = np.arange(part.count.sum()) - np.repeat(np.cumsum(part.count) - part.count, part.count)
+        step = within(part.count)
         first = first_of[part.answers[np.repeat(part.offset[part.piece], part.count) + step]]
         where = (np.repeat(part.start, part.count) + step)[first < np.repeat(owner_ids(chunk)[part.doc], part.count)]
         diff[where] += 1
@@ -385,10 +414,14 @@ def removed_bytes(chunk: Chunk, shared: dict[int, bytes], firsts: dict[int, byte
     return np.cumsum(diff[:-1]) > 0
 
 
-def cut_repeats(docs: DataFrame, with_kept: bool = False) -> DataFrame:
-    """doc_id, n_bytes, spans (removed byte ranges), kept_sha256 and, if asked for, kept (the bytes that stay)."""
-    chunks = pack(docs)
-    buckets = bucket_count(total_bytes(chunks), BUCKET_BYTES)
+def cut_repeats(docs: DataFrame, with_kept: bool = False, chunk_bytes: int = CHUNK_BYTES, bucket_bytes: int = BUCKET_BYTES) -> DataFrame:
+    """doc_id, n_bytes, spans (removed byte ranges), kept_sha256 and, if asked for, kept (the bytes that stay).
+
+    Chunks and buckets set the memory of a task (about 60 bytes for each byte of a chunk, 100 for each of a bucket) and
+    the number of rows that are exchanged, chunks times buckets at most: larger executors should have larger ones.
+    """
+    chunks = pack(docs, size=chunk_bytes)
+    buckets = bucket_count(total_bytes(chunks), bucket_bytes)
     shared = written(answered(questions(chunks, ask_anchors(buckets)), answer_anchors, "shared"))
     known = chunks.join(shared, "g", "left")
     firsts = answered(questions(known, ask_pieces(buckets), ("shared",)), answer_pieces, "firsts")
