@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from finegrain.sources.tables import factor_frame
 
@@ -30,7 +31,7 @@ def reconstruct(keys: DataFrame, factors: dict[str, np.ndarray], name: str = "v"
     check_size(factors)
     spark = keys.sparkSession
     shared = spark.sparkContext.broadcast(factors)
-    schema = keys.schema.add(name, "double")
+    schema = T.StructType([*keys.schema.fields, T.StructField(name, T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = shared.value
