@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from finegrain.llm import decontamination, minhash_dedup, quality_rules, sharding, source_mixing
 from finegrain.llm.common import read, written
+from finegrain.llm.queries import ORACLES
 
 SHARDS = 16
 
@@ -43,8 +44,29 @@ STAGES = [
     ("sharding", shards),
 ]
 
-# Components, Poisson draws by hash and the permutation make no SQL; tests/llm/test_pipeline.py has a brute-force version.
-ORACLE_SQL = None
+
+
+def stage_sql(query: str, source: str) -> str:
+    """A query's SQL over another table than documents."""
+    return "(" + ORACLES[query].replace("FROM documents", f"FROM {source}") + ")"
+
+
+#: The stages' SQL one after the other. Rows that the mixture repeats are alike in all columns, so it doesn't matter which gets which number.
+ORACLE_SQL = f"""
+WITH good AS (
+  SELECT * FROM documents SEMI JOIN (SELECT doc_id FROM {stage_sql("op10_quality_rules", "documents")} WHERE kept) USING (doc_id)
+), single AS (
+  SELECT * FROM good SEMI JOIN (SELECT doc_id FROM {stage_sql("op4_minhash_dedup", "good").replace("least(len(w), 4)", f"least(len(w), {minhash_dedup.WORDS})")} WHERE kept) USING (doc_id)
+), clean AS (
+  SELECT * FROM single ANTI JOIN (SELECT doc_id FROM {stage_sql("op9_decontamination", "single")} WHERE contaminated) USING (doc_id)
+), mixed AS (
+  SELECT clean.*, copy FROM clean JOIN (SELECT doc_id, copy FROM {stage_sql("op5_source_mixing", "clean")}) USING (doc_id)
+), dealt AS (
+  SELECT doc_id, size, text_crc32, row_no, shard, slot FROM {stage_sql("op8_sharding", "mixed")}
+), numbered AS (
+  SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY row_no) - 1 AS copy FROM dealt
+)
+SELECT doc_id, size, text_crc32, text, lang, source, n_chars, row_no, shard, slot FROM numbered JOIN mixed USING (doc_id, copy)"""
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:

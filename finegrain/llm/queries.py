@@ -69,7 +69,48 @@ def op5_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.selectExpr("doc_id", "source", "text", "round(rate, 9) AS rate", "copies", "copy")
 
 
-@query()
+def crc_sql(text: str) -> str:
+    """CRC-32 of a text's UTF-8 bytes, byte by byte with the usual table."""
+    start = f"list_transform(range(1, strlen({text}) + 1), lambda p: CAST('0x' || substr(hex(encode({text})), 2 * p - 1, 2) AS BIGINT))"
+    return f"xor(list_reduce({start}, lambda c, b: xor(c >> 8, crc_table[CAST(xor(c & 255, b) AS INTEGER) + 1]), 4294967295), 4294967295)"
+
+
+def feistel_sql(half: int) -> str:
+    """One pass of the network: CTE-free, the rounds nested as a reduction over the keys."""
+    mask = (1 << half) - 1
+    mixed = f"(((xor(s[2], k & {mask}) * {sharding.MULTIPLY}) + k) % 2147483648)"
+    step = f"[s[2], xor(s[1], xor({mixed} >> 9, {mixed}) & {mask})]"
+    keys = ", ".join(f"[CAST({k} AS BIGINT)]" for k in sharding.round_keys())
+    step = step.replace("k & ", "r[1] & ").replace("+ k)", "+ r[1])")
+    return f"list_reduce([{keys}], lambda s, r: {step}, [x >> {half}, x & {mask}])"
+
+
+def shard_sql(n_shards: int = 16) -> str:
+    """The number of rows decides the width of the halves; SQL has a branch for each width that the tables here can need."""
+    branches = " ".join(f"WHEN {h} THEN (SELECT (o[1] << {h}) | o[2] FROM (SELECT {feistel_sql(h)} AS o))" for h in range(1, 12))
+    return f"""
+WITH RECURSIVE bits AS (
+  SELECT n, c FROM (SELECT CAST(i AS BIGINT) AS n, CAST(i AS BIGINT) AS c FROM range(0, 256) t(i))
+), steps AS (
+  SELECT n, c, 0 AS k FROM bits UNION ALL SELECT n, CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END, k + 1 FROM steps WHERE k < 8
+), tables AS (
+  SELECT list(c ORDER BY n) AS crc_table FROM steps WHERE k = 8
+), docs AS (
+  SELECT doc_id, CAST(strlen(coalesce(text, '')) + 1 AS BIGINT) AS size, CASE WHEN coalesce(text, '') = '' THEN 0 ELSE {crc_sql("coalesce(text, '')")} END AS text_crc32 FROM documents, tables
+), placed AS (
+  SELECT *, row_number() OVER (ORDER BY doc_id NULLS FIRST, text_crc32, size) - 1 AS row_no, count(*) OVER () AS total FROM docs
+), sized AS (
+  SELECT *, CAST(greatest(1, ceil(ceil(log2(greatest(total, 2))) / 2)) AS INTEGER) AS half FROM placed
+), walked AS (
+  SELECT row_no, total, half, row_no AS x, FALSE AS moved FROM sized
+  UNION ALL
+  SELECT row_no, total, half, CAST(CASE half {branches} END AS BIGINT), TRUE FROM walked WHERE NOT moved OR x >= total
+)
+SELECT doc_id, size, text_crc32, 'rows' AS law, CAST(x % {n_shards} AS INTEGER) AS shard, x // {n_shards} AS slot, CAST(NULL AS INTEGER) AS grown_shard, row_no
+FROM sized JOIN (SELECT row_no AS own_no, x FROM walked WHERE moved AND x < total) ON own_no = row_no"""
+
+
+@query(shard_sql())
 def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     dealt = sharding.shard(read(spark, sf_dir, "documents"), n_shards=16)
     return dealt.selectExpr("doc_id", "size", "text_crc32", "'rows' AS law", "shard", "slot", "CAST(NULL AS INT) AS grown_shard", "row_no")
@@ -150,14 +191,50 @@ def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.predict(docs, model).withColumn("held_out", language_id.held_out()).select("doc_id", "held_out", "lang_pred", "score", "ambiguous")
 
 
-@query()
+@query(f"""
+WITH docs AS (
+  SELECT doc_id, hex(encode(coalesce(text, ''))) AS h, CAST(strlen(coalesce(text, '')) AS BIGINT) AS n FROM documents
+), windows AS (
+  SELECT doc_id, p, substr(h, CAST(2 * p + 1 AS BIGINT), {2 * suffix_dedup.LENGTH}) AS s FROM (SELECT doc_id, h, unnest(range(0, n - {suffix_dedup.LENGTH - 1})) AS p FROM docs WHERE n >= {suffix_dedup.LENGTH})
+), firsts AS (
+  SELECT hash(s) AS a, md5_number(s) AS b, min(doc_id) AS f FROM windows GROUP BY 1, 2 HAVING min(doc_id) <> max(doc_id)
+), starts AS (
+  SELECT doc_id, p FROM windows JOIN firsts ON a = hash(s) AND b = md5_number(s) WHERE f < doc_id
+), marks AS (
+  SELECT doc_id, p, sum(d) AS d FROM (SELECT doc_id, p, 1 AS d FROM starts UNION ALL SELECT doc_id, p + {suffix_dedup.LENGTH}, -1 FROM starts) GROUP BY 1, 2
+), depth AS (
+  SELECT doc_id, p, sum(d) OVER (PARTITION BY doc_id ORDER BY p) AS covered, lead(p) OVER (PARTITION BY doc_id ORDER BY p) AS upto FROM marks
+), runs AS (
+  SELECT doc_id, p, upto, covered > 0 AS gone, coalesce(lag(covered) OVER (PARTITION BY doc_id ORDER BY p) > 0, FALSE) AS before FROM depth
+), edges AS (
+  SELECT doc_id, sum(CASE WHEN gone THEN upto - p ELSE 0 END) AS removed, count(*) FILTER (WHERE gone AND NOT before) AS spans, list({{'p': p, 'gone': gone, 'upto': upto}} ORDER BY p) AS parts FROM runs GROUP BY doc_id
+), kept AS (
+  SELECT d.doc_id, n, coalesce(removed, 0) AS removed, coalesce(spans, 0) AS spans,
+    CASE WHEN parts IS NULL THEN h ELSE substr(h, 1, CAST(2 * parts[1].p AS BIGINT)) || list_reduce(list_transform(parts, lambda x: CASE WHEN x.gone THEN '' ELSE substr(h, CAST(2 * x.p + 1 AS BIGINT), CAST(2 * (coalesce(x.upto, n) - x.p) AS BIGINT)) END), lambda a, b: a || b, '') END AS h
+  FROM docs d LEFT JOIN edges e ON e.doc_id = d.doc_id
+)
+SELECT doc_id, n AS n_bytes, CAST(removed AS BIGINT) AS n_removed, CAST(spans AS BIGINT) AS n_spans, sha256(unhex(h)) AS kept_sha256 FROM kept""")
 def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     cut = suffix_dedup.cut_repeats(read(spark, sf_dir, "documents"))
     removed = F.aggregate("spans", F.lit(0).cast("long"), lambda n, s: n + s["end"] - s["start"])
     return cut.select("doc_id", "n_bytes", removed.alias("n_removed"), F.size("spans").cast("long").alias("n_spans"), "kept_sha256")
 
 
-@query()
+@query("""
+WITH RECURSIVE docs AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents
+), shingles AS (
+  SELECT DISTINCT doc_id, array_to_string(w[i:i + least(len(w), 4) - 1], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - least(len(w), 4) + 2)) AS i FROM docs WHERE len(w) > 0)
+), sizes AS (
+  SELECT doc_id, count(*) AS n FROM shingles GROUP BY doc_id
+), links AS (
+  SELECT p.a, p.b FROM (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS common FROM shingles x JOIN shingles y ON x.s = y.s AND x.doc_id <> y.doc_id GROUP BY 1, 2) p
+  JOIN sizes m ON m.doc_id = a JOIN sizes n ON n.doc_id = b WHERE 100 * common >= 80 * (m.n + n.n - common)
+), reach AS (
+  SELECT doc_id AS a, doc_id AS b FROM documents UNION SELECT reach.a, links.b FROM reach JOIN links ON links.a = reach.b
+)
+SELECT d.doc_id, coalesce(n, 0) AS n_shingles, c AS component_id, d.doc_id = c AS kept
+FROM documents d JOIN (SELECT a, min(b) AS c FROM reach GROUP BY a) ON a = d.doc_id LEFT JOIN sizes s ON s.doc_id = d.doc_id""")
 def op4_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_dedup.near_duplicates(read(spark, sf_dir, "documents"), k=4).select("doc_id", "n_shingles", "component_id", "kept")
 
