@@ -1,8 +1,6 @@
 import pytest
 from pyspark.sql import SparkSession
 
-SF = "/root/testdata/sf0.001"
-
 
 @pytest.fixture(scope="session")
 def spark():
@@ -10,21 +8,3 @@ def spark():
         SparkSession.builder.master("local[4]").config("spark.sql.shuffle.partitions", "4").config("spark.ui.enabled", "false")
         .config("spark.sql.session.timeZone", "UTC").config("spark.driver.memory", "4g").getOrCreate()
     )
-
-
-def cells(spark, x, keep_zero=True):
-    """A dense array as cells; NaN is missing."""
-    import numpy as np
-
-    at = np.argwhere(~np.isnan(x))
-    rows = [(int(i), int(j), int(k), float(x[i, j, k])) for i, j, k in at if keep_zero or x[i, j, k] != 0]
-    return spark.createDataFrame(rows, "i long, j long, k long, v double")
-
-
-def dense(df, shape):
-    import numpy as np
-
-    out = np.full(shape, np.nan)
-    for r in df.collect():
-        out[r.i, r.j, r.k] = np.nan if r.v is None else r.v
-    return out

@@ -3,7 +3,7 @@
 import duckdb
 import numpy as np
 import pytest
-from conftest import SF, cells
+from helpers import SF, cells
 
 from finegrain import catalog
 from finegrain.functions import sql as functions

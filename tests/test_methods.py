@@ -2,7 +2,7 @@
 
 import numpy as np
 import pytest
-from conftest import cells, dense
+from helpers import cells, dense
 from dense import loss, matrix, model, numeric_gradient, observe
 
 from finegrain.operators import groupings as G

@@ -1,6 +1,6 @@
 import numpy as np
 import pytest
-from conftest import cells, dense
+from helpers import cells, dense
 from dense import model
 
 from finegrain.operators import groupings as G
