@@ -1,8 +1,6 @@
 import pytest
 from pyspark.sql import SparkSession
 
-SF = "/root/testdata/sf0.001"
-
 
 @pytest.fixture(scope="session")
 def spark():
@@ -10,7 +8,3 @@ def spark():
         SparkSession.builder.master("local[4]").config("spark.sql.shuffle.partitions", "8").config("spark.ui.enabled", "false")
         .config("spark.sql.session.timeZone", "UTC").config("spark.driver.memory", "4g").getOrCreate()
     )
-
-
-def table(spark, rows, schema="doc_id long, text string, lang string, source string, n_chars long"):
-    return spark.createDataFrame(rows, schema)

@@ -1,7 +1,7 @@
 import hashlib
 import re
 
-from conftest import SF, table
+from llm_helpers import SF, table
 
 from finegrain.llm import decontamination as dc
 

@@ -1,6 +1,6 @@
 import numpy as np
 import pytest
-from conftest import SF, table
+from llm_helpers import SF, table
 
 from finegrain.llm import language_id as li
 

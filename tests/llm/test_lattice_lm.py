@@ -4,7 +4,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
-from conftest import SF, table
+from llm_helpers import SF, table
 
 from finegrain.llm import lattice_lm as lm
 from finegrain.llm.queries import tokenizer_path

@@ -1,7 +1,7 @@
 import random
 
 import pytest
-from conftest import SF, table
+from llm_helpers import SF, table
 
 from finegrain.llm import line_dedup as ld
 

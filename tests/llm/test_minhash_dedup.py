@@ -3,7 +3,7 @@ from collections import defaultdict
 
 import numpy as np
 import pytest
-from conftest import SF, table
+from llm_helpers import SF, table
 
 from finegrain.llm import minhash_dedup as md
 

@@ -3,7 +3,7 @@ import math
 from collections import Counter, defaultdict
 
 import corpus_pipeline
-from conftest import SF, table
+from llm_helpers import SF, table
 from test_decontamination import brute as contamination
 from test_minhash_dedup import brute as components
 from test_quality_rules import brute_kept

@@ -1,7 +1,7 @@
 import re
 
 import pytest
-from conftest import table
+from llm_helpers import table
 
 from finegrain.llm import quality_rules as qr
 

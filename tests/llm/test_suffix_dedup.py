@@ -2,7 +2,7 @@ import hashlib
 import random
 
 import numpy as np
-from conftest import SF, table
+from llm_helpers import SF, table
 
 from finegrain.llm import suffix_dedup as sd
 from finegrain.llm.packed import Chunk

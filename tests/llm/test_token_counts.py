@@ -1,6 +1,6 @@
 import random
 
-from conftest import SF, table
+from llm_helpers import SF, table
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from tokenizers import Tokenizer
