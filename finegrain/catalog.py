@@ -312,11 +312,11 @@ def min_norm_B(spark, sf_dir):
     return rounded(min_norm_closed(keys_of(spark, shape), t, c), 4)
 
 
-@query(f"WITH {DEPT_X} SELECT i, j, k, round(t + c - b, 2) + 0.0 AS v FROM shares")
+@query(f"WITH {DEPT_X} SELECT i, j, k, round(t + c - b, 2) + 0.0 AS v FROM shares WHERE round(t + c - b, 2) <> 0")
 def min_norm_blocks(spark, sf_dir):
-    """The same solution by conjugate gradients on blocks."""
+    """The same solution by conjugate gradients on blocks (of which those without data, all zero, have no rows)."""
     _, _, t, c = dept_views(spark, sf_dir)
-    return rounded(ls_blocks(t, c), 2)
+    return rounded(ls_blocks(t, c), 2).where("v <> 0")
 
 
 @query(f"WITH {NBW_X} SELECT round(sum(power(v - (t + c) / 2, 2)) / sum(v * v), 6) AS nde, count(*) AS n_cells FROM shares", name="nde_mean_A")
@@ -827,6 +827,13 @@ def scalar_rank_bound(spark, sf_dir):
     return spark.sql("SELECT name, rank_bound(n_i, n_j, iu, jv, kw) AS bound FROM finegrain_sizes")
 
 
+@query(f"SELECT i, count(*) AS n, round(quantile_cont(v, 0.5), 6) AS median, round(stddev_samp(v), 6) AS sd, max_by(k, v * 1000 + k) AS peak FROM ({CUBE_SQL['retail_sbm']}) WHERE (7919 * i + 104729 * j + 1299709 * k) % 1000 < 300 GROUP BY i")
+def sampled_statistics(spark, sf_dir):
+    """Statistics over a repeatable sample of the cells, by a hash of their indexes."""
+    own = F.pmod(7919 * F.col("i") + 104729 * F.col("j") + 1299709 * F.col("k"), F.lit(1000)) < 300
+    return W.retail_sbm(spark, sf_dir).where(own).groupBy("i").agg(F.count("*").alias("n"), F.round(F.percentile("v", 0.5), 6).alias("median"), F.round(F.stddev_samp("v"), 6).alias("sd"), F.max_by("k", F.col("v") * 1000 + F.col("k")).alias("peak"))
+
+
 @query("SELECT n_name, (SELECT count(*) FROM supplier WHERE s_nationkey = n_nationkey) AS suppliers, EXISTS (SELECT 1 FROM customer WHERE c_nationkey = n_nationkey AND c_acctbal > 9900) AS rich FROM nation")
 def subqueries(spark, sf_dir):
     for t in ("nation", "supplier", "customer"):

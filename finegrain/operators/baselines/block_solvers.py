@@ -1,7 +1,7 @@
 """Least squares on series: minimum norm, smooth, and sparse in the cosine basis.
 
-The problem falls apart by second-mode index, or by group of them where the contemporaneous view groups the second mode. Each
-part is one task's dense problem of n_i x members x ticks unknowns, solved by conjugate gradients from zero (which
+Neither view adds up cells of different contemporaneous groups, so the problem falls apart by pair of first- and second-mode
+group (an ungrouped mode: by index). Each part is one task's dense problem of members x members x ticks unknowns, solved by conjugate gradients from zero (which
 stays in the row space, so the solution has minimum norm); no operator matrix is ever formed.
 """
 
@@ -114,40 +114,66 @@ def solve_sparse(b: Block, sparse: float, smooth: float, nonneg: bool = True, it
     return z if nonneg else x
 
 
+class Members:
+    """Members and weights of each group, looked up by group."""
+
+    def __init__(self, g: Grouping):
+        order = np.argsort(g.grp, kind="stable")
+        self.member, self.weight = g.member[order], g.weight[order]
+        self.start = np.searchsorted(g.grp[order], np.arange(g.n_groups + 1))
+
+    def of(self, group: int) -> tuple[np.ndarray, np.ndarray]:
+        s = slice(int(self.start[group]), int(self.start[group + 1]))
+        order = np.argsort(self.member[s])
+        return self.member[s][order], self.weight[s][order]
+
+
 def ls_blocks(view_t: View, view_c: View, method: str = "min_norm", lam: float = 1.0, sparse: float = 1.0, nonneg: bool = True, iterations: int = 60) -> DataFrame:
-    """i, j, k, v of all fine cells of the parts that have data. method: min_norm, smooth or sparse."""
+    """i, j, k, v of all fine cells of the parts that have data. method: min_norm, smooth or sparse.
+
+    First-mode groups that overlap or leave members out make parts of the whole first mode.
+    """
+    if method not in ("min_norm", "smooth", "sparse"):
+        raise ValueError(f"method is min_norm, smooth or sparse, not {method!r}")
     spark = view_t.cells.sparkSession
-    v_group, u, w = view_c.groupings.get("j"), view_c.groupings.get("i"), view_t.groupings["k"]
     n_i, n_j, _ = view_t.shape
-    groups = v_group or Grouping.of(np.arange(n_j))
-    if len(np.unique(groups.member)) != len(groups.member):
+    u, w = view_c.groupings.get("i") or Grouping.of(np.arange(n_i)), view_t.groupings["k"]
+    v = view_c.groupings.get("j") or Grouping.of(np.arange(n_j))
+    if len(np.unique(v.member)) != len(v.member):
         raise ValueError("second-mode groups that overlap don't fall apart into blocks")
-    at = spark.createDataFrame(pa.table({"j": groups.member, "part": groups.grp}))
-    t = view_t.cells.join(F.broadcast(at), "j").select("part", F.lit(0).alias("side"), "i", "j", "k", "v")
-    c = view_c.cells.select(F.col("j").alias("part"), F.lit(1).alias("side"), "i", F.lit(-1).cast("long").alias("j"), "k", "v")
-    full_t, full_c = view_t.absent == "zero", view_c.absent == "zero"
+    apart = u.is_partition()
+    first, second = Members(u) if apart else None, Members(v)
+    t = view_t.cells.join(F.broadcast(spark.createDataFrame(pa.table({"j": v.member, "pj": v.grp}))), "j")
+    if apart:
+        t = t.join(F.broadcast(spark.createDataFrame(pa.table({"i": u.member, "pi": u.grp}))), "i")
+    zero = F.lit(0).cast("long")
+    t = t.select("pi" if apart else zero.alias("pi"), "pj", F.lit(0).alias("side"), "i", "j", "k", "v")
+    c = view_c.cells.select(F.col("i").alias("pi") if apart else zero.alias("pi"), F.col("j").alias("pj"), F.lit(1).alias("side"), "i", F.lit(-1).cast("long").alias("j"), "k", "v")
+    full_t, full_c = float(view_t.absent == "zero"), float(view_c.absent == "zero")
 
     def solve(table: pa.Table) -> pa.Table:
-        part = table.column("part")[0].as_py()
-        chosen = groups.grp == part
-        members, share = groups.member[chosen], groups.weight[chosen]
+        pi, pj = table.column("pi")[0].as_py(), table.column("pj")[0].as_py()
+        columns, share = second.of(pj)
+        if apart:
+            rows, weight = first.of(pi)
+            own = Grouping(np.arange(len(rows)), np.zeros(len(rows), np.int64), weight, len(rows), 1)
+        else:
+            rows, own = np.arange(n_i), u
         side, i, j, k = (table.column(x).to_numpy() for x in ("side", "i", "j", "k"))
-        v = table.column("v").to_numpy()
-        iu = u.n_groups if u else n_i
-        yt, mt = np.zeros((n_i, len(members), w.n_groups)), np.full((n_i, len(members), w.n_groups), float(full_t))
-        yc, mc = np.zeros((iu, w.n_members)), np.full((iu, w.n_members), float(full_c))
+        value = table.column("v").to_numpy()
+        yt, mt = np.zeros((len(rows), len(columns), w.n_groups)), np.full((len(rows), len(columns), w.n_groups), full_t)
+        yc, mc = np.zeros((own.n_groups, w.n_members)), np.full((own.n_groups, w.n_members), full_c)
         a = side == 0
-        where = (i[a], np.searchsorted(members, j[a]), k[a])
-        yt[where], mt[where] = v[a], 1.0
-        yc[i[~a], k[~a]], mc[i[~a], k[~a]] = v[~a], 1.0
-        b = Block(u, w, share, yt, mt, yc, mc)
+        at = (np.searchsorted(rows, i[a]), np.searchsorted(columns, j[a]), k[a])
+        yt[at], mt[at] = value[a], 1.0
+        at = (np.zeros(int((~a).sum()), np.int64) if apart else i[~a], k[~a])
+        yc[at], mc[at] = value[~a], 1.0
+        b = Block(own, w, share, yt, mt, yc, mc)
         x = solve_sparse(b, sparse, lam, nonneg, iterations) if method == "sparse" else solve_smooth(b, lam if method == "smooth" else 0.0)
         cells = np.indices(x.shape).reshape(3, -1)
-        return pa.table({"i": cells[0], "j": members[cells[1]], "k": cells[2], "v": x.ravel()})
+        return pa.table({"i": rows[cells[0]], "j": columns[cells[1]], "k": cells[2], "v": x.ravel()})
 
-    if method not in ("min_norm", "smooth", "sparse"):
-        raise ValueError(f"method is min_norm, smooth or sparse, not {method!r}")
-    return t.unionByName(c).where("v IS NOT NULL").groupBy("part").applyInArrow(solve, "i long, j long, k long, v double")
+    return t.unionByName(c).where("v IS NOT NULL").groupBy("pi", "pj").applyInArrow(solve, "i long, j long, k long, v double")
 
 
 def min_norm_ls(view_t: View, view_c: View) -> DataFrame:

@@ -54,22 +54,28 @@ def reconstruct_sql(keys: DataFrame, factors: dict[str, np.ndarray], name: str =
 def top_cells(spark: SparkSession, factors: dict[str, np.ndarray], n: int) -> DataFrame:
     """The n largest fine cells of a model.
 
-    (i, j) pairs whose bound |a_i * b_j| * max |c_k| is below the n-th value found so far are never expanded: pairs are
-    taken in the order of their bounds, and only a prefix that could hold the top is.
+    No cell of a row i exceeds |a_i| max|b_j| max|c_k|, nor one of a pair (i, j) |a_i * b_j| max|c_k|; rows and pairs are taken in
+    the order of these bounds, and none is expanded whose bound is below the n-th value found so far.
     """
     a, b, c = (factors[m] for m in "ijk")
-    pair = a[:, None, :] * b[None, :, :]
-    bound = np.linalg.norm(pair, axis=2) * np.linalg.norm(c, axis=1).max()
-    order = np.argsort(-bound, axis=None)
-    best = np.zeros((0, 4))
-    step = max(64, n)
-    for at in range(0, len(order), step):
-        if len(best) >= n and bound.ravel()[order[at]] <= best[n - 1, 3]:
+    most = np.linalg.norm(c, axis=1).max()
+    row_bound = np.linalg.norm(a, axis=1) * np.linalg.norm(b, axis=1).max() * most
+    best: list[tuple[float, int, int, int]] = []
+    for i in np.argsort(-row_bound):
+        least = best[-1][0] if len(best) == n else -np.inf
+        if row_bound[i] < least:
             break
-        i, j = np.unravel_index(order[at : at + step], bound.shape)
-        values = pair[i, j] @ c.T
-        keep = np.argsort(-values, axis=None, kind="stable")[:n]
-        p, k = np.unravel_index(keep, values.shape)
-        best = np.vstack([best, np.stack([i[p], j[p], k, values[p, k]], 1)])
-        best = best[np.lexsort((best[:, 2], best[:, 1], best[:, 0], -best[:, 3]))][:n]
-    return spark.createDataFrame([(int(x[0]), int(x[1]), int(x[2]), float(x[3])) for x in best], "i long, j long, k long, v double")
+        pair = a[i] * b
+        bound = np.linalg.norm(pair, axis=1) * most
+        order = np.argsort(-bound)
+        for at in range(0, len(order), 1024):
+            js = order[at : at + 1024]
+            js = js[bound[js] >= (best[-1][0] if len(best) == n else -np.inf)]
+            if not len(js):
+                break
+            values = pair[js] @ c.T
+            top = np.argpartition(-values.ravel(), min(n, values.size) - 1)[:n]
+            p, k = np.unravel_index(top, values.shape)
+            found = [(float(values[x, y]), int(i), int(js[x]), int(y)) for x, y in zip(p, k)]
+            best = sorted(best + found, key=lambda t: (-t[0], t[1:]))[:n]
+    return spark.createDataFrame([(i, j, k, v) for v, i, j, k in best], "i long, j long, k long, v double")

@@ -16,7 +16,7 @@ from finegrain.operators.baselines.closed_form import mean_split
 from finegrain.operators.baselines.coupled_matrix import GRID, best_rank
 from finegrain.operators.blind import MU, fit_blind
 from finegrain.operators.coupled import fit_coupled
-from finegrain.operators.cpd import fit_cp
+from finegrain.operators.cpd import als, fit_cp
 from finegrain.operators.cube import CubeSpec, build_cube, densify, top_items
 from finegrain.operators.identifiability import ranks_for
 from finegrain.operators.metrics import nde_model, nde_value
@@ -289,6 +289,7 @@ def ablations(spark: SparkSession, sf_dir: str, rank: int = 4, iterations: int =
         add(f"init={init}", fit_coupled([t, c], rank, iterations, cp_iterations=iterations, init=init, placed=True))
     for r in (2, 10):
         add(f"rank={r}", fit_coupled([t, c], r, iterations, cp_iterations=iterations, placed=True))
+    add("single view", fit_coupled([t], rank, iterations, start=als(t, rank, iterations).factors | {"k": chunk_spread(t, rank)}, placed=True))
     add("nonneg", fit_coupled([t, c], rank, iterations, cp_iterations=iterations, nonneg=True, placed=True))
     from dataclasses import replace
 
@@ -299,6 +300,12 @@ def ablations(spark: SparkSession, sf_dir: str, rank: int = 4, iterations: int =
     return spark.createDataFrame(rows, SCORE)
 
 
+def chunk_spread(view: View, rank: int) -> np.ndarray:
+    """A flat time factor: what one view alone says about ticks within a period."""
+    w = view.groupings["k"]
+    return np.ones((w.n_members, rank)) / np.maximum(w.sizes(), 1)[np.minimum(np.arange(w.n_members) // max(1, w.n_members // w.n_groups), w.n_groups - 1)][:, None]
+
+
 def regional_quarters(spark: SparkSession, sf_dir: str) -> Workload:
     """W13: region x quarter from yearly regional and quarterly national sums (a cube with one second-mode index)."""
     facts = load(spark, sf_dir, "orders").join(load(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey")).join(load(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
