@@ -27,6 +27,7 @@ from finegrain.llm.common import text_or_empty
 
 SEED = "mix-1"
 TEMPERATURE = 0.5
+SOURCES = 100_000
 OWN = ("rate", "copies", "copy", "shuffle_key")
 
 
@@ -57,7 +58,9 @@ def source_rates(docs: DataFrame, weights: dict[str | None, float] | None = None
     """
     spark = docs.sparkSession
     sizes = docs.groupBy(F.col(by).alias("_source")).agg(F.sum(F.greatest(F.octet_length(text_or_empty()), F.lit(1)).cast("long")).alias("_bytes"))
-    found = [(r[0], r[1]) for r in sizes.collect()]  # as many rows as sources
+    found = [(r[0], r[1]) for r in sizes.limit(SOURCES + 1).collect()]
+    if len(found) > SOURCES:
+        raise ValueError(f"more than {SOURCES} sources: weights are given for few; group them first")
     total = sum(b for _, b in found)
     raw = {s: (b**temperature if weights is None else float(weights.get(s, 0.0))) for s, b in found}
     whole = sum(raw[s] for s in sorted(raw, key=lambda s: (s is None, str(s)))) or 1.0
