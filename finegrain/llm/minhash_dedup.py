@@ -243,12 +243,18 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     return edges.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(tops)
 
 
-def block_pairs(rows: DataFrame, block: int, columns: list[str]) -> DataFrame:
-    """rows (with key, id) dealt to pairs p <= q of blocks of their key, with the block ``own`` of each row."""
-    sizes = rows.groupBy("key").agg(F.ceil(F.count("*") / block).cast("long").alias("blocks"))
-    placed = rows.join(sizes, "key").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")))
+def block_pairs(rows: DataFrame, keys: DataFrame, block: int, columns: list[str]) -> DataFrame:
+    """rows (with key, id) dealt to pairs p <= q of blocks of their key, with the block ``own`` of each row.
+
+    keys has a row for each row's key. Only buckets of several blocks are looked up, and each pair of blocks is dealt anew, so
+    that a large bucket isn't one task's work.
+    """
+    large = written(keys.groupBy("key").agg(F.ceil(F.count("*") / block).cast("long").alias("blocks")).where("blocks > 1"))
+    placed = rows.join(large, "key", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long")))
+    placed = placed.withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")))
     placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    return placed.select("key", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "own", "id", *columns)
+    dealt = placed.select("key", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "own", "id", *columns)
+    return dealt.repartition("key", "p", "q")
 
 
 def sides(table: pa.Table) -> tuple[np.ndarray, np.ndarray, bool]:
@@ -257,7 +263,7 @@ def sides(table: pa.Table) -> tuple[np.ndarray, np.ndarray, bool]:
     return np.flatnonzero(own == p), np.flatnonzero(own == q), p == q
 
 
-def with_partners(rows: DataFrame, alike: tuple[int, int]) -> DataFrame:
+def with_partners(rows: DataFrame, keys: DataFrame, alike: tuple[int, int]) -> DataFrame:
     """key, id of the rows (key, id, component, signature, bands) that have a possible partner of another component in their bucket."""
     least = least_estimate(alike)
 
@@ -278,11 +284,11 @@ def with_partners(rows: DataFrame, alike: tuple[int, int]) -> DataFrame:
                 found[i] |= len(rest) > 0
         return pa.table({"key": table.column("key").filter(pa.array(found)), "id": pa.array(ids[found], pa.int64())})
 
-    dealt = block_pairs(rows, BLOCK, ["component", "signature", "bands"])
+    dealt = block_pairs(rows, keys, BLOCK, ["component", "signature", "bands"])
     return dealt.groupBy("key", "p", "q").applyInArrow(run, "key long, id long").distinct()
 
 
-def joining_links(rows: DataFrame, k: int, alike: tuple[int, int]) -> DataFrame:
+def joining_links(rows: DataFrame, keys: DataFrame, k: int, alike: tuple[int, int]) -> DataFrame:
     """Links a, b between components among the rows (key, id, component, text) of each bucket, on whole sets."""
 
     def run(table: pa.Table) -> pa.Table:
@@ -314,18 +320,19 @@ def joining_links(rows: DataFrame, k: int, alike: tuple[int, int]) -> DataFrame:
         pairs = np.array(out, np.int64).reshape(-1, 2)
         return pa.table({"a": pa.array(pairs[:, 0], pa.int64()), "b": pa.array(pairs[:, 1], pa.int64())})
 
-    dealt = block_pairs(rows, SET_BLOCK, ["component", "text"])
+    dealt = block_pairs(rows, keys, SET_BLOCK, ["component", "text"])
     return dealt.groupBy("key", "p", "q").applyInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = ALIKE) -> DataFrame:
     """doc_id, text_hash, n_shingles, component_id, kept for each row of docs."""
     rows = written(signed(docs, k))
-    classes = rows.where("set_hash IS NOT NULL AND doc_id IS NOT NULL").groupBy("set_hash").agg(F.min("doc_id").alias("id"))
+    # Aggregates are written before they are joined with the rows they come from: such a join can split a hot key.
+    classes = written(rows.where("set_hash IS NOT NULL AND doc_id IS NOT NULL").groupBy("set_hash").agg(F.min("doc_id").alias("id")))
     reps = rows.withColumnRenamed("doc_id", "id").join(classes, ["id", "set_hash"]).dropDuplicates(["id", "set_hash"])
     reps = written(reps.select("id", "bands", "signature"))
     banded = reps.select("id", F.explode("bands").alias("key"))
-    low = banded.groupBy("key").agg(F.min("id").alias("b"), F.count("*").alias("n")).where("n > 1").select("key", "b")
+    low = written(banded.groupBy("key").agg(F.min("id").alias("b"), F.count("*").alias("n")).where("n > 1").select("key", "b"))
     shared = written(banded.join(low, "key").select("key", "id", "b"))
     signs = reps.select("id", "signature")
 
@@ -336,12 +343,12 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = AL
     found = components(links)
 
     placed = shared.select("key", "id").join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("key")
+    mixed = written(placed.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("key"))
     open_ = written(placed.join(mixed, "key").select("key", "id", "component"))
-    active = written(with_partners(open_.join(reps, "id"), alike))
+    active = written(with_partners(open_.join(reps, "id"), open_, alike))
     if not active.isEmpty():
         texts = written(texts_of(docs, active.select("id").distinct()))
-        more = written(joining_links(active.join(open_, ["key", "id"]).join(texts, "id"), k, alike))
+        more = written(joining_links(active.join(open_, ["key", "id"]).join(texts, "id"), active, k, alike))
         if not more.isEmpty():
             found = components(links.unionByName(more))
     member = rows.select("doc_id", "text_hash", "n_shingles", "set_hash").join(classes, "set_hash", "left").join(found, "id", "left")
