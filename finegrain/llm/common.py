@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import sys
 import tempfile
 import uuid
@@ -17,11 +18,27 @@ cloudpickle.register_pickle_by_value(sys.modules[__package__])
 # Words of the contracts are runs of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
+BATCH_ROWS, BATCH_BYTES = 2000, 8 << 20
+
 _written: list[tuple[SparkSession, str]] = []
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+    return bounded(spark.read.parquet(f"{sf_dir}/{table}.parquet"))
+
+
+def bounded(df: DataFrame) -> DataFrame:
+    """df, whose session from now on sends Python BATCH_BYTES or BATCH_ROWS at a time at most.
+
+    By default a batch has 10,000 rows however long they are, and memory for batches outside the heap isn't given back.
+    """
+    conf = df.sparkSession.conf
+    for key, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        number, unit = re.fullmatch(r"(-?\d+)([kmg]?)b?", conf.get(f"spark.sql.execution.arrow.{key}").lower()).groups()
+        now = int(number) << {"": 0, "k": 10, "m": 20, "g": 30}[unit]
+        if now <= 0 or now > most:
+            conf.set(f"spark.sql.execution.arrow.{key}", str(most))
+    return df
 
 
 def text_or_empty(name: str = "text") -> Column:

@@ -26,6 +26,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from finegrain.llm.common import bounded
+
 WINDOW = 13
 PATTERN_BYTES = 32 << 20
 NEAR = 20  # contaminated: a 20th of the words or more
@@ -136,7 +138,7 @@ def scan_block(docs: DataFrame, block: list, extra: str = "") -> DataFrame:
             arrays = [pa.array(columns[0], pa.int64()), pa.array(columns[1], pa.int64()), pa.array(columns[2], pa.list_(pa.string())), pa.array(columns[3], kind)]
             yield pa.RecordBatch.from_arrays([batch.column(0), *arrays, *batch.columns[2:]], names=["doc_id", "n_words", "n_hit", "items", "spans", *batch.schema.names[2:]])
 
-    return docs.mapInArrow(run, FOUND + extra)
+    return bounded(docs).mapInArrow(run, FOUND + extra)
 
 
 def find(docs: DataFrame, items: DataFrame, size: int = WINDOW, most: int = PATTERN_BYTES) -> DataFrame:
@@ -186,7 +188,7 @@ def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
                     good.append(not (hit and NEAR * hit >= n))
                 yield batch.filter(pa.array(good, pa.bool_()))
 
-        return docs.mapInArrow(run, T.StructType(docs.schema.fields))
+        return bounded(docs).mapInArrow(run, T.StructType(docs.schema.fields))
     bad = find(docs, items).where("contaminated").select(F.col("doc_id").alias("_bad"), F.col("text_key").alias("_key")).distinct()
     own = F.md5(F.coalesce("text", F.lit("")).cast("binary"))
     return docs.join(bad, F.col("doc_id").cast("long").eqNullSafe(F.col("_bad")) & (own == F.col("_key")), "left_anti")

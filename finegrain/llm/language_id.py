@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from finegrain.llm.common import bounded
+
 TRAIN_ROWS = 20_000
 DIMENSIONS = 1 << 16
 LANGUAGES = 1000
@@ -127,7 +129,7 @@ def labelled(docs: DataFrame, text: str = "text", label: str = "lang", rows: int
 
 def train(docs: DataFrame, rows: int = TRAIN_ROWS) -> Model:
     """A model of the languages in docs (columns doc_id, text, lang)."""
-    sample = labelled(docs, rows=rows)
+    sample = labelled(bounded(docs), rows=rows)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, sums = letters_only(), {}
@@ -199,7 +201,7 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
             score = np.concatenate(scores) if scores else np.zeros(0)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(score), pa.array(score < AMBIGUOUS)], names=["doc_id", "lang_pred", "score", "ambiguous"])
 
-    return docs.selectExpr("CAST(doc_id AS LONG) AS doc_id", "text").mapInArrow(run, "doc_id long, lang_pred string, score double, ambiguous boolean")
+    return bounded(docs).selectExpr("CAST(doc_id AS LONG) AS doc_id", "text").mapInArrow(run, "doc_id long, lang_pred string, score double, ambiguous boolean")
 
 
 def held_out(mod: int = HELD_OUT_MOD) -> Column:

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from finegrain.llm.common import drop, written
+from finegrain.llm.common import bounded, drop, written
 
 WORDS = 5
 ALIKE = (80, 100)  # 100 * intersection >= 80 * union
@@ -168,7 +168,7 @@ def signed(docs: DataFrame, k: int = WORDS) -> DataFrame:
             if ids:
                 yield rows()
 
-    return docs.selectExpr("CAST(doc_id AS LONG) AS doc_id", "xxhash64(text) AS text_hash", "text").mapInArrow(run, SIGNED)
+    return bounded(docs).selectExpr("CAST(doc_id AS LONG) AS doc_id", "xxhash64(text) AS text_hash", "text").mapInArrow(run, SIGNED)
 
 
 def passes_estimate(pairs: DataFrame, alike: tuple[int, int]) -> DataFrame:

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from finegrain.llm.common import written
+from finegrain.llm.common import bounded, written
 
 CHUNK_BYTES = 2 << 20
 CHUNK = "g long, ids binary, known binary, tags binary, sizes binary, body binary"
@@ -101,7 +101,7 @@ def pack(docs: DataFrame, tag: str = "0", size: int = CHUNK_BYTES) -> DataFrame:
         if held[0]:
             yield row()
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"), F.expr(tag).cast("long").alias("tag"))
+    rows = bounded(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"), F.expr(tag).cast("long").alias("tag"))
     return written(rows.mapInArrow(run, CHUNK))
 
 

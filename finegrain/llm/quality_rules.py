@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from finegrain.llm.common import bounded
+
 SAMPLE_ROWS = 200
 MIN_WORDS = 10
 WINDOW = 5
@@ -147,7 +149,7 @@ def measured(docs: DataFrame, order: list[str] | None = None) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], names=["doc_id", *MEASURES, "base_failed", "kept"])
 
     schema = f"doc_id long, {', '.join(f'{x} long' for x in MEASURES)}, base_failed boolean, kept boolean"
-    return docs.selectExpr("CAST(doc_id AS LONG) AS doc_id", "text").mapInArrow(run, schema)
+    return bounded(docs).selectExpr("CAST(doc_id AS LONG) AS doc_id", "text").mapInArrow(run, schema)
 
 
 def keep_good(docs: DataFrame, order: list[str] | None = None) -> DataFrame:
@@ -161,4 +163,4 @@ def keep_good(docs: DataFrame, order: list[str] | None = None) -> DataFrame:
             good = [first_rejection(Measured(t.as_py()), order, rules) is None for t in batch.column(at)]
             yield batch.filter(pa.array(good, pa.bool_()))
 
-    return docs.mapInArrow(run, T.StructType(docs.schema.fields))
+    return bounded(docs).mapInArrow(run, T.StructType(docs.schema.fields))

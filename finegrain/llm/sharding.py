@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from finegrain.llm.common import drop, n_bytes, text_or_empty, written
+from finegrain.llm.common import bounded, drop, n_bytes, text_or_empty, written
 
 SEED = 20240229
 ROUNDS = 6
@@ -85,7 +85,7 @@ def numbered(rows: DataFrame, order: list[str]) -> DataFrame:
 
 def shard(docs: DataFrame, n_shards: int = 16, seed: int = SEED, keep: tuple[str, ...] = ()) -> DataFrame:
     """Columns doc_id, size, text_crc32, row_no, shard, slot, and ``keep`` of docs (they travel too)."""
-    rows = docs.select(
+    rows = bounded(docs).select(
         F.col("doc_id").cast("long").alias("doc_id"),
         (n_bytes() + 1).alias("size"),
         F.crc32(text_or_empty().cast("binary")).alias("text_crc32"),

@@ -23,6 +23,8 @@ from itertools import accumulate
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from finegrain.llm.common import bounded
+
 PIECES = 500_000
 NODES = 1_000_000
 PAIRS = 1_000_000
@@ -274,4 +276,4 @@ def token_counts(docs: DataFrame, path: str, budget: int = LIMIT, prefixes: bool
             yield pa.RecordBatch.from_arrays([batch.column(0), *columns], names=names)
 
     schema = "doc_id long, n_bytes long, n_tokens long, over_limit boolean, fit_chars long" + (", prefix_tokens array<int>" if prefixes else "")
-    return docs.selectExpr("CAST(doc_id AS LONG) AS doc_id", "text").mapInArrow(run, schema)
+    return bounded(docs).selectExpr("CAST(doc_id AS LONG) AS doc_id", "text").mapInArrow(run, schema)
