@@ -258,8 +258,10 @@ def orders_views(spark, sf_dir):
 
 
 def dept_views(spark, sf_dir):
-    cells, shape = W.dept_qtm(spark, sf_dir), (100, 6, 83)
-    return cells, shape, make_view(cells, shape, absent="zero", k=G.period(83, 4)), make_view(cells, shape, absent="zero", i=G.fixed_size(100, 5), j=G.fixed_size(6, 3))
+    """The whole cube: sizes are those of the tables. DEPT_X still has 100 suppliers, so from sf0.1 on it is a part of the result."""
+    cells = W.dept_qtm(spark, sf_dir)
+    shape = W.extent(cells, W.CUBES["dept_qtm"][1])
+    return cells, shape, make_view(cells, shape, absent="zero", k=G.period(shape[2], 4)), make_view(cells, shape, absent="zero", i=G.fixed_size(shape[0], 5), j=G.fixed_size(shape[1], 3))
 
 
 def keys_of(spark, shape):
