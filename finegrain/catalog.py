@@ -742,7 +742,9 @@ def slice_dice(spark, sf_dir):
 
 @query(f"SELECT CAST(a.i AS BIGINT) AS i, CAST(b.j AS BIGINT) AS j, CAST(c.k AS BIGINT) AS k, coalesce(v, 0) AS v FROM range(0, 20) a(i), range(0, 4) b(j), range(0, 14) c(k) LEFT JOIN ({DOCS}) x ON x.i = a.i AND x.j = b.j AND x.k = c.k")
 def join_densify(spark, sf_dir):
-    return densify(W.docs_sln(spark, sf_dir), {"i": 20, "j": 4, "k": 14})
+    """Sizes are those of the table; the SQL's 14 bands of length are all there are up to sf0.01."""
+    cells = W.docs_sln(spark, sf_dir)
+    return densify(cells, dict(zip("ijk", W.extent(cells, W.CUBES["docs_sln"][1]))))
 
 
 @query(f"SELECT coalesce(a.i, b.i) AS i, coalesce(a.j, b.j) AS j, round(coalesce(a.v, 0) - coalesce(b.v, 0), 6) + 0.0 AS v FROM (SELECT i, j, sum(v) AS v FROM ({NBW}) WHERE k < 180 GROUP BY 1, 2) a FULL JOIN (SELECT i, j, sum(v) AS v FROM ({NBW}) WHERE k >= 180 GROUP BY 1, 2) b ON a.i = b.i AND a.j = b.j")

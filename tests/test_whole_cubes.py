@@ -24,3 +24,10 @@ def test_suppliers_beyond_the_hundredth(spark, wide):
     closed = catalog.QUERIES["min_norm_B"](spark, SF).where("abs(v) > 0.02").collect()
     assert all(abs(blocks[r.i, r.j, r.k] - r.v) < 0.02 for r in closed) and max(i for i, _, _ in blocks) == 116
     assert (116, 5, 84) in {(r.i, r.j, r.k) for r in catalog.QUERIES["worst_cells"](spark, SF).collect()}
+
+
+def test_documents_longer_than_fourteen_bands(spark, monkeypatch):
+    cells = spark.createDataFrame([(0, 0, 0, 2.0), (19, 3, 15, 7.0), (20, 1, 3, 5.0)], "i long, j long, k long, v double")
+    monkeypatch.setattr(catalog.W, "docs_sln", lambda spark, sf_dir: cells)
+    row = catalog.QUERIES["join_densify"](spark, SF).selectExpr("count(*)", "sum(v)", "max(i)", "max(k)").first()
+    assert tuple(row) == (21 * 4 * 16, 14.0, 20, 15)
