@@ -654,7 +654,7 @@ def coupled_masked_planted(spark, sf_dir):
 
 @query()
 def workload_retail(spark, sf_dir):
-    return W.run(spark, sf_dir, ("retail_nbw",), ("mean_split", "min_norm_ls", "coupled_cp", "cp_oracle"), (10,), 5)
+    return W.run_whole(spark, sf_dir, "retail_nbw")
 
 
 @query()
@@ -669,43 +669,53 @@ def workload_blind_docs(spark, sf_dir):
 
 @query()
 def workload_sensor(spark, sf_dir):
-    return W.run(spark, sf_dir, ("sensor_utd",), ("mean_split", "coupled_cp", "blind_cp"), (4,), 5)
+    return W.run_whole(spark, sf_dir, "sensor_utd")
+
+
+@query()
+def workload_departments(spark, sf_dir):
+    return W.run_whole(spark, sf_dir, "dept_stm")
+
+
+@query()
+def workload_embeddings(spark, sf_dir):
+    return W.run_whole(spark, sf_dir, "embed_lsd")
 
 
 @query()
 def workload_mixed(spark, sf_dir):
-    return W.run(spark, sf_dir, ("mixed_ntm",), ("mean_split", "coupled_cp"), (10,), 5)
+    return W.run_whole(spark, sf_dir, "mixed_ntm")
 
 
 @query()
 def workload_incident(spark, sf_dir):
-    return W.run(spark, sf_dir, ("incident_utd",), ("mean_split", "coupled_cp"), (4,), 2)
+    return W.run_whole(spark, sf_dir, "incident_utd")
 
 
 @query()
 def workload_categories(spark, sf_dir):
     """One cube of the 50 best-selling parts for each category."""
-    return W.run(spark, sf_dir, tuple(f"category_top50/{t}" for t in W.TYPES), ("mean_split", "min_norm_ls", "coupled_cp"), (4,), 1)
+    return W.run_whole(spark, sf_dir, *(f"category_top50/{t}" for t in W.TYPES))
 
 
 @query()
 def workload_scale(spark, sf_dir):
-    return W.run(spark, sf_dir, ("retail_sbm",), ("mean_split", "coupled_cp"), (10,), 2)
+    return W.run_whole(spark, sf_dir, "retail_sbm")
 
 
 @query()
 def workload_missing(spark, sf_dir):
-    return W.missing_grid(spark, sf_dir, (0.0, 0.2, 0.45), rank=4, iterations=2)
+    return W.missing_grid(spark, sf_dir)
 
 
 @query()
 def workload_calendars(spark, sf_dir):
-    return W.calendars(spark, sf_dir, 4, 2)
+    return W.calendars(spark, sf_dir)
 
 
 @query()
 def workload_ablations(spark, sf_dir):
-    return W.ablations(spark, sf_dir, 4, 2)
+    return W.ablations(spark, sf_dir, iterations=10)
 
 
 @query()

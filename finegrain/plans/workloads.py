@@ -26,6 +26,7 @@ from finegrain.operators.masks import mask_fiber, mask_random
 from finegrain.sources.planted import SIZE, grid, planted_cube
 from finegrain.sources.tables import load
 
+METHODS = ("mean_split", "min_norm_ls", "smooth_ls", "dct_sparse", "coupled_matrix", "coupled_cp", "cp_oracle")
 SCORE = "workload string, level string, method string, rank int, nde double, n_cells long, seconds double"
 
 
@@ -182,6 +183,8 @@ def workload(spark: SparkSession, sf_dir: str, name: str, offset: int = 0) -> Wo
         u = regions(spark, sf_dir)
         return Workload(name, shared.table(cells), shape, _levels(shape, ("A-mod", 4, u, None), ("A-high", 12, u, None), ("B-mod", 4, u, 5), ("B-high", 12, u, 9), offset=offset))
     build, size = CUBES[name.split("/")[0]]
+    if name == "dept_stm":
+        size = (load(spark, sf_dir, "supplier").count(), *size[1:])  # the bands are those of all suppliers, and of no others
     cells = shared.table(build(spark, sf_dir, name.split("/")[1]) if "/" in name else build(spark, sf_dir))
     shape = extent(cells, size)
     u = regions(spark, sf_dir) if shape[0] == 25 else None
@@ -254,6 +257,11 @@ def run(spark: SparkSession, sf_dir: str, names: tuple[str, ...], methods: tuple
     return spark.createDataFrame(rows, SCORE)
 
 
+def run_whole(spark: SparkSession, sf_dir: str, *names: str) -> DataFrame:
+    """All methods, the ranks within the bound and 10 + 10 iterations; the blind method on periods that start 2 ticks late (W7)."""
+    return run(spark, sf_dir, names, METHODS).unionByName(run(spark, sf_dir, names, ("blind_cp",), offset=2))
+
+
 def missing_grid(spark: SparkSession, sf_dir: str, fractions: tuple[float, ...] = (0.0, 0.1, 0.2, 0.45), patterns: tuple[str, ...] = ("random", "fiber"), rank: int = 4, iterations: int = 10) -> DataFrame:
     """W9: errors with missing cells in both views, by pattern."""
     w = workload(spark, sf_dir, "planted")
