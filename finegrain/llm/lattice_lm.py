@@ -6,22 +6,32 @@ text's probability is the sum over all of its segmentations, by a forward recurs
 vocabulary's word mark, so a text's log probability is the sum of its words' and of the end's, and each distinct word
 of the corpus is scored once.
 
+A word of the training texts also has an arc of its own, from its begin to its end, beside its segmentations into
+pieces: without it, a unigram model of pieces stays far behind one of words. Its weight is the word's discounted share of the training tokens;
+the discounts' sum weights the pieces (see ``Arcs``). As the pieces then stand for words that are new, they are fitted to
+the distinct training words, each once.
+
 Weights start from the vocabulary's scores. A byte-pair vocabulary has ranks for scores; rank r starts at the Zipf weight
-``1 / (r + ZIPF)``. ``ROUNDS`` rounds of expectation maximisation over the distinct training words, with their counts,
-fit them: expected uses of each piece come from the forward and backward recursions, and are added up by
-piece, so what reaches the driver is bounded by the vocabulary. Vocabularies with log probabilities start from these.
+``1 / (r + ZIPF)``. Expectation maximisation over the distinct training words fits them, until a round
+raises the training likelihood by less than a share ``GAIN`` or ``ROUNDS`` are done: expected uses of each piece come from the forward
+and backward recursions, and are added up by piece, so what reaches the driver is bounded by the vocabulary. Vocabularies
+with log probabilities start from these.
 
 Words are runs of anything but ASCII white space, A-Z in lower case, each text followed by one end token.
 Null and empty texts have the end only. Rows whose doc_id repeats are scored alike; a null doc_id counts as the empty
-string when rows are held out. An empty table gives no rows; without training rows the starting weights score.
+string when rows are held out. An empty table gives no rows; without training rows the starting weights score. Very long
+texts are like others; a very long word (text without blanks) takes time in proportion to its length, and 8 bytes of memory a byte for each
+recursion. Only doc_id and text are read (and what ``held_out`` names), so other columns may have any name.
 """
 
 from __future__ import annotations
 
+import math
 import zlib
 from collections import Counter
 from collections.abc import Iterator
 from itertools import chain
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -29,15 +39,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from finegrain.llm.common import bucket_count, written
-from finegrain.llm.packed import Chunk, pack, pack_arrays, questions, replies_of, total_bytes, unpack_arrays, unpack_chunks
+from finegrain.llm.packed import QUESTIONS, Chunk, pack, pack_arrays, questions, replies_of, split_buckets, total_bytes, unpack_arrays, unpack_chunks
 
-ROUNDS = 2
+ROUNDS = 20
+GAIN = 0.002
 ZIPF = 10.0
 SMOOTH = 0.1
 BUCKET_BYTES = 2 << 20
 HELD_OUT = "CASE WHEN crc32(CAST(coalesce(CAST(doc_id AS STRING), '') AS BINARY)) % 7 = 2 THEN 1 ELSE 0 END"
 WORD_MARK = "▁"
 ROWS_AT_ONCE = 4096
+LONG_WORD = 512
+ARCS_AT_ONCE = 1 << 16
 
 
 def lower_table() -> bytes:
@@ -68,10 +81,10 @@ def vocabulary(path: str) -> dict[bytes, float]:
     return {p: w - float(total) for p, w in out.items()}
 
 
-class Lattice:
-    """The pieces as a trie in one table: row = state, column = byte, 0 = no way on."""
+class Trie:
+    """The pieces as one table: row = state, column = byte, 0 = no way on."""
 
-    def __init__(self, pieces: list[bytes], log_p: np.ndarray):
+    def __init__(self, pieces: list[bytes]):
         ways: dict[tuple[int, int], int] = {}
         ends = {}
         made = 1
@@ -89,9 +102,18 @@ class Lattice:
         self.table[at[:, 0], at[:, 1]] = list(ways.values())
         self.piece = np.full(made, -1, np.int32)
         self.piece[list(ends)] = list(ends.values())
-        self.log_p = np.full(made, -np.inf)
-        self.log_p[list(ends)] = log_p[list(ends.values())]
         self.n = len(pieces)
+        self.longest = max(map(len, pieces), default=0)
+
+
+class Lattice:
+    """All segmentations into pieces (a list, or their trie) with these log weights."""
+
+    def __init__(self, pieces: list[bytes] | Trie, log_p: np.ndarray):
+        self.trie = trie = Trie(pieces) if isinstance(pieces, list) else pieces
+        self.n = trie.n
+        self.table, self.piece = trie.table, trie.piece
+        self.log_p = np.where(trie.piece >= 0, log_p[np.maximum(trie.piece, 0)] if trie.n else 0.0, -np.inf)
 
     def walk(self, text: np.ndarray, i: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
         """For rows of bytes: (end, rows, states) of all pieces that start at i."""
@@ -120,6 +142,10 @@ class Lattice:
 
     def uses(self, text: np.ndarray, times: np.ndarray) -> np.ndarray:
         """Expected uses of each piece in rows of bytes that occur so many times."""
+        return self.expected(text, times)[0]
+
+    def expected(self, text: np.ndarray, times: np.ndarray) -> tuple[np.ndarray, float]:
+        """The rows' uses of each piece, and their log likelihood."""
         alpha = self.forward(text)
         beta = np.full(alpha.shape, -np.inf)
         beta[-1] = 0
@@ -130,16 +156,71 @@ class Lattice:
                 beta[i, rows] = np.logaddexp(beta[i, rows], way)
                 share = np.exp(alpha[i, rows] + way - alpha[-1, rows]) * times[rows]
                 out += np.bincount(self.piece[state], share, self.n)
-        return out
+        return out, float(alpha[-1] @ times)
+
+    def arcs(self, text: np.ndarray, first: int, last: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Starts, ends and states of all pieces in one text that start in first..last-1, by start, then end.
+
+        All starts go on by one byte together, as often as the longest piece is long."""
+        at = np.arange(first, last)
+        state = self.table[0, text[first:last]]
+        found = []
+        for size in range(1, self.trie.longest + 1):
+            alive = state > 0
+            at, state = at[alive], state[alive]
+            good = self.piece[state] >= 0
+            found.append((at[good], np.full(int(good.sum()), size), state[good]))
+            inside = at + size < len(text)
+            at, state = at[inside], state[inside]
+            if not len(at):
+                break
+            state = self.table[state, text[at + size]]
+        starts, sizes, states = (np.concatenate(x) for x in zip(*found, strict=True))
+        order = np.argsort(starts, kind="stable")
+        return starts[order], (starts + sizes)[order], states[order]
+
+    def forward_long(self, text: np.ndarray) -> np.ndarray:
+        """alpha of one long text: its arcs are found for ARCS_AT_ONCE starts together, and added up one by one."""
+        alpha = [-math.inf] * (len(text) + 1)
+        alpha[0] = 0.0
+        for first in range(0, len(text), ARCS_AT_ONCE):
+            starts, ends, states = self.arcs(text, first, min(len(text), first + ARCS_AT_ONCE))
+            for i, j, w in zip(starts.tolist(), ends.tolist(), self.log_p[states].tolist(), strict=True):
+                alpha[j] = log_sum(alpha[j], alpha[i] + w)
+        return np.array(alpha)
+
+    def expected_long(self, text: np.ndarray, times: float) -> tuple[np.ndarray, float]:
+        """As expected, for one long text."""
+        alpha = self.forward_long(text)
+        beta = [-math.inf] * (len(text) + 1)
+        beta[-1] = 0.0
+        out = np.zeros(self.n)
+        for first in range((len(text) - 1) // ARCS_AT_ONCE * ARCS_AT_ONCE, -1, -ARCS_AT_ONCE):
+            starts, ends, states = self.arcs(text, first, min(len(text), first + ARCS_AT_ONCE))
+            log_p = self.log_p[states]
+            for i, j, w in zip(starts[::-1].tolist(), ends[::-1].tolist(), log_p[::-1].tolist(), strict=True):
+                beta[i] = log_sum(beta[i], w + beta[j])
+            after = np.array([beta[j] for j in ends.tolist()])
+            out += np.bincount(self.piece[states], np.exp(alpha[starts] + log_p + after - alpha[-1]) * times, self.n)
+        return out, float(alpha[-1]) * times
+
+
+def log_sum(a: float, b: float) -> float:
+    if a < b:
+        a, b = b, a
+    return a if b == -math.inf else a + math.log1p(math.exp(b - a))
 
 
 def by_length(words: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Numbers of words of one length, and their bytes with the word mark before them."""
+    """Numbers of words of one length, and their bytes with the word mark before them; long words come one by one."""
     sizes = np.array([len(w) for w in words], np.int64)
     order = np.argsort(sizes, kind="stable")
     edges = np.flatnonzero(np.diff(sizes[order])) + 1
     for a, b in zip(np.append(0, edges), np.append(edges, len(order)), strict=True):
-        most = max(1, ROWS_AT_ONCE * 16 // int(sizes[order[a]] + 16)) if b > a else 1
+        if b == a:
+            continue
+        size = int(sizes[order[a]])
+        most = 1 if size > LONG_WORD else max(1, ROWS_AT_ONCE * 16 // (size + 16))
         for s in range(a, b, most):
             own = order[s : min(b, s + most)]
             yield own, np.frombuffer(b"".join([b" " + words[i] for i in own]), np.uint8).reshape(len(own), -1)
@@ -149,10 +230,19 @@ def word_log_p(lattice: Lattice, words: list[bytes]) -> np.ndarray:
     """Natural log of each word's marginal probability."""
     out = np.zeros(len(words))
     for own, text in by_length(words):
-        out[own] = lattice.forward(text)[-1]
+        out[own] = lattice.forward_long(text[0])[-1] if text.shape[1] > LONG_WORD else lattice.forward(text)[-1]
     return out
 
 
+def word_uses(lattice: Lattice, words: list[bytes], times: np.ndarray) -> tuple[np.ndarray, float]:
+    """Expected uses of each piece in the words, which occur so many times, and the words' log likelihood."""
+    out, likelihood = np.zeros(lattice.n), 0.0
+    for own, text in by_length(words):
+        new, more = lattice.expected_long(text[0], float(times[own[0]])) if text.shape[1] > LONG_WORD else lattice.expected(text, times[own].astype(float))
+        out, likelihood = out + new, likelihood + more
+    return out, likelihood
+
+
 def chunk_words(chunk: Chunk) -> list[list[bytes]]:
     """The words of each text of a chunk."""
     table = lower_table()
@@ -189,61 +279,113 @@ def ask_words(buckets: int):
     return put
 
 
-def merged_words(asked: DataFrame) -> DataFrame:
-    """b, words, n (training tokens), known (distinct words among them): the corpus' words of each bucket and their counts."""
+def merged_words(asked: DataFrame, each: int = QUESTIONS) -> DataFrame:
+    """The corpus' words of each bucket b and their training counts; n: tokens, known: words with a count, once, twice: with that count.
 
-    def run(table: pa.Table) -> pa.Table:
+    Parts of a bucket are merged first, so that a task gets ``each`` questions at most, and then as many rows as there are parts.
+    """
+
+    def merge(table: pa.Table) -> tuple[bytes, np.ndarray]:
         total: Counter[bytes] = Counter()
         for p in table.column("payload").to_pylist():
             words, counts = unpack_arrays(p, None, np.int64)
             for w, c in zip(words.split(b" "), counts.tolist(), strict=True):
                 total[w] += c
         words = sorted(total)
-        counts = np.array([total[w] for w in words], np.int64)
-        return pa.table({"b": table.column("b")[:1], "words": pa.array([pack_arrays(b" ".join(words), counts)], pa.binary()), "n": pa.array([int(counts.sum())]), "known": pa.array([int((counts > 0).sum())])})
+        return b" ".join(words), np.array([total[w] for w in words], np.int64)
+
+    def part(table: pa.Table) -> pa.Table:
+        return pa.table({"b": table.column("b")[:1], "payload": pa.array([pack_arrays(*merge(table))], pa.binary())})
+
+    def whole(table: pa.Table) -> pa.Table:
+        words, counts = merge(table)
+        sums = {"n": counts.sum(), "known": (counts > 0).sum(), "once": (counts == 1).sum(), "twice": (counts == 2).sum()}
+        return pa.table({"b": table.column("b")[:1], "words": pa.array([pack_arrays(words, counts)], pa.binary()), **{k: pa.array([int(x)]) for k, x in sums.items()}})
+
+    parts = split_buckets(asked, each)[0].groupBy("b", "s").applyInArrow(part, "b int, payload binary")
+    return written(parts.groupBy("b").applyInArrow(whole, "b int, words binary, n long, known long, once long, twice long"))
+
+
+class Model(NamedTuple):
+    """Plain data, so that it reaches workers that can't import this package; ``log_p`` is in the order of ``pieces``."""
+
+    pieces: list[bytes]
+    log_p: np.ndarray
+    end: float
+    likelihoods: list[float]  # of the training words and the end, before each round
+
+    def end_log_p(self) -> float:
+        """Log probability that a text ends where a word could begin, rather than goes on."""
+        begins = [p[:1] == b" " for p in self.pieces]
+        return self.end - float(np.logaddexp.reduce(np.append(self.log_p[begins], self.end)))
+
 
-    return written(asked.groupBy("b").applyInArrow(run, "b int, words binary, n long, known long"))
+class Arcs(NamedTuple):
+    """Weights of the arcs of whole words: a word that occurs c times in ``total`` training tokens has (c - discount) / total.
+
+    What the discounts leave, ``rest``, goes to segmentations into pieces.
+    """
+
+    total: int
+    discount: float
+    rest: float
+
+    @classmethod
+    def of(cls, total: int, distinct: int, once: int, twice: int) -> Arcs:
+        discount = min(0.9, max(0.1, once / (once + 2 * twice))) if once + twice else 0.5
+        return cls(total, discount, discount * distinct / total if total else 1.0)
+
+    def log_p(self, counts: np.ndarray, pieces: np.ndarray) -> np.ndarray:
+        """Log probabilities of tokens from their counts and their log probabilities over the pieces."""
+        whole = np.log(np.maximum(counts - self.discount, 0) / max(self.total, 1), out=np.full(len(counts), -np.inf), where=counts > 0)
+        return np.logaddexp(whole, pieces + np.log(self.rest))
 
 
-class Model:
-    def __init__(self, pieces: list[bytes], log_p: np.ndarray, end: float):
-        self.pieces, self.log_p, self.end = pieces, log_p, end
+def kept_trie(shared: dict) -> Trie:
+    """The trie of a broadcast dictionary's pieces: built once in each Python worker, and kept with the dictionary."""
+    if "trie" not in shared:
+        shared["trie"] = Trie(shared["pieces"])
+    return shared["trie"]
 
 
-def fit(words: DataFrame, ends: int, path: str, rounds: int = ROUNDS) -> Model:
-    """Expectation maximisation over the words of merged_words; ``ends`` is the number of training texts."""
+def fit(words: DataFrame, ends: int, path: str, rounds: int = ROUNDS, gain: float = GAIN) -> Model:
+    """Expectation maximisation over the words of merged_words, each of those with a count once; ``ends`` is how often the end counts.
+
+    Stops after ``rounds`` rounds, or when a round has raised the training likelihood by less than a share ``gain`` of it.
+    """
     start = vocabulary(path)
     pieces = sorted(start)
-    model = Model(pieces, np.array([start[p] for p in pieces]) + np.log(0.99), float(np.log(0.01)))
-    sc = words.sparkSession.sparkContext
-    for _ in range(rounds):
-        shared = sc.broadcast(model)
-
-        def expect(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            m = shared.value  # noqa: B023
-            lattice, out = Lattice(m.pieces, m.log_p), np.zeros(len(m.pieces))
+    log_p, end = np.array([start[p] for p in pieces]) + np.log(0.99), float(np.log(0.01))
+    shared = words.sparkSession.sparkContext.broadcast({"pieces": pieces})
+    likelihoods: list[float] = []
+    for _ in range(rounds if ends else 0):
+
+        def expect(batches: Iterator[pa.RecordBatch], log_p: np.ndarray = log_p) -> Iterator[pa.RecordBatch]:
+            lattice = Lattice(kept_trie(shared.value), log_p)
+            out, likelihood = np.zeros(lattice.n), 0.0
             for batch in batches:
                 for p in batch.column("words").to_pylist():
                     blob, counts = unpack_arrays(p, None, np.int64)
                     chosen = np.flatnonzero(counts)
                     every = blob.split(b" ")
-                    for own, text in by_length([every[i] for i in chosen]):
-                        out += lattice.uses(text, counts[chosen[own]].astype(float))
+                    new, more = word_uses(lattice, [every[i] for i in chosen], np.ones(len(chosen)))
+                    out, likelihood = out + new, likelihood + more
             at = np.flatnonzero(out)
-            yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(out[at])], names=["piece", "uses"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(out[at], likelihood))], names=["piece", "uses"])
 
         got = words.where("known > 0").select("words").mapInArrow(expect, "piece int, uses double").groupBy("piece").agg(F.sum("uses").alias("uses")).toArrow()
+        at, sums = got.column("piece").to_numpy(), got.column("uses").to_numpy()
         uses = np.zeros(len(pieces))
-        uses[got.column("piece").to_numpy()] = got.column("uses").to_numpy()
-        shared.unpersist()
-        if not ends:
-            break
+        uses[at[at >= 0]] = sums[at >= 0]
+        likelihoods.append(float(sums[at < 0].sum()) + ends * end)
         whole = np.log(uses.sum() + ends + SMOOTH * (len(pieces) + 1))
-        model = Model(pieces, np.log(uses + SMOOTH) - whole, float(np.log(ends + SMOOTH) - whole))
-    return model
+        log_p, end = np.log(uses + SMOOTH) - whole, float(np.log(ends + SMOOTH) - whole)
+        if len(likelihoods) > 1 and likelihoods[-1] - likelihoods[-2] < gain * abs(likelihoods[-2]):
+            break
+    return Model(pieces, log_p, end, likelihoods)
 
 
-def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = ROUNDS) -> DataFrame:
+def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = ROUNDS, each: int = QUESTIONS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score (log10) for each row of docs.
 
     held_out is an SQL expression that is 1 for rows the model doesn't learn from.
@@ -251,18 +393,20 @@ def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = R
     chunks = pack(docs, held_out)
     buckets = bucket_count(total_bytes(chunks), BUCKET_BYTES)
     asked = written(questions(chunks, ask_words(buckets)))
-    words = merged_words(asked)
+    words = merged_words(asked, each)
     ends = docs.where(F.expr(held_out) == 0).count()
-    n, known = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("known"), F.lit(0))).first()
+    n, known, once, twice = words.agg(*(F.coalesce(F.sum(c), F.lit(0)) for c in ("n", "known", "once", "twice"))).first()
     train_tokens, distinct = n + ends, known + (ends > 0)
-    model = fit(words, ends, path, rounds)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    model, whole = fit(words, min(ends, 1), path, rounds), Arcs.of(train_tokens, distinct, once + (ends == 1), twice + (ends == 2))
+    shared = docs.sparkSession.sparkContext.broadcast({"pieces": model.pieces, "log_p": model.log_p})
+    end = float(whole.log_p(np.array([ends]), np.array([model.end_log_p()]))[0])
 
     def answer(questions_: pa.Table, bucket: pa.Table) -> pa.Table:
-        m = shared.value
+        if not questions_.num_rows:  # a part that no question fell in
+            return pa.table({"g": pa.array([], pa.int64()), "b": pa.array([], pa.int32()), "payload": pa.array([], pa.binary())})
         blob, counts = unpack_arrays(bucket.column("words")[0].as_py(), None, np.int64)
         every = blob.split(b" ")
-        log_p = word_log_p(Lattice(m.pieces, m.log_p), every)
+        log_p = whole.log_p(counts, word_log_p(Lattice(kept_trie(shared.value), shared.value["log_p"]), every))
         place = {w: i for i, w in enumerate(every)}
         back = []
         for p in questions_.column("payload").to_pylist():
@@ -270,11 +414,14 @@ def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = R
             back.append(pack_arrays(counts[mine], log_p[mine]))
         return pa.table({"g": questions_.column("g"), "b": questions_.column("b"), "payload": pa.array(back, pa.binary())})
 
-    back = asked.groupBy("b").cogroup(words.groupBy("b")).applyInArrow(answer, "g long, b int, payload binary")
+    parted, many = split_buckets(asked, each)
+    last = F.coalesce("parts", F.lit(1).cast("long")) - 1
+    copied = words.join(many, "b", "left").select("b", "words", F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("s"))
+    back = parted.groupBy("b", "s").cogroup(copied.groupBy("b", "s")).applyInArrow(answer, "g long, b int, payload binary")
     told = back.groupBy("g").agg(F.collect_list(F.struct("b", "payload")).alias("replies"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m, ten = shared.value, np.log(10)
+        ten = np.log(10)
         room = np.log10(train_tokens + distinct + 1)
         for batch in batches:
             for chunk, r in unpack_chunks(batch):
@@ -292,7 +439,7 @@ def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = R
                 arrays = [
                     pa.array(chunk.ids, pa.int64(), mask=~chunk.known), pa.array(chunk.tags == 1), pa.array(sizes + 1, pa.int64()),
                     pa.array(add(count > 0).astype(np.int64) + (ends > 0), pa.int64()), pa.array(np.full(len(texts), train_tokens, np.int64)),
-                    pa.array(add(np.log10(count + 1) - room) + np.log10(ends + 1) - room), pa.array(add(log_p) + m.end / ten),
+                    pa.array(add(np.log10(count + 1) - room) + np.log10(ends + 1) - room), pa.array(add(log_p) + end / ten),
                 ]
                 yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
