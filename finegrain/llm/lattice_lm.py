@@ -39,10 +39,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from finegrain.llm.common import bucket_count, written
-from finegrain.llm.packed import QUESTIONS, Chunk, pack, pack_arrays, questions, replies_of, split_buckets, total_bytes, unpack_arrays, unpack_chunks
+from finegrain.llm.packed import PART_BYTES, Chunk, pack, pack_arrays, questions, replies_of, split_buckets, total_bytes, unpack_arrays, unpack_chunks
 
 ROUNDS = 20
-GAIN = 0.002
+GAIN = 0.01
 ZIPF = 10.0
 SMOOTH = 0.1
 BUCKET_BYTES = 2 << 20
@@ -51,6 +51,8 @@ WORD_MARK = "▁"
 ROWS_AT_ONCE = 4096
 LONG_WORD = 512
 ARCS_AT_ONCE = 1 << 16
+WORDS_AT_ONCE = 50_000
+TASKS = 20_000
 
 
 def lower_table() -> bytes:
@@ -149,14 +151,15 @@ class Lattice:
         alpha = self.forward(text)
         beta = np.full(alpha.shape, -np.inf)
         beta[-1] = 0
-        out = np.zeros(self.n)
+        states, shares = [np.zeros(0, np.int32)], [np.zeros(0)]
         for i in range(text.shape[1] - 1, -1, -1):
+            before = alpha[i] - alpha[-1]
             for j, rows, state in self.walk(text, i):
                 way = self.log_p[state] + beta[j, rows]
                 beta[i, rows] = np.logaddexp(beta[i, rows], way)
-                share = np.exp(alpha[i, rows] + way - alpha[-1, rows]) * times[rows]
-                out += np.bincount(self.piece[state], share, self.n)
-        return out, float(alpha[-1] @ times)
+                states.append(state)
+                shares.append(np.exp(before[rows] + way) * times[rows])
+        return np.bincount(self.piece[np.concatenate(states)], np.concatenate(shares), self.n), float(alpha[-1] @ times)
 
     def arcs(self, text: np.ndarray, first: int, last: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Starts, ends and states of all pieces in one text that start in first..last-1, by start, then end.
@@ -279,10 +282,10 @@ def ask_words(buckets: int):
     return put
 
 
-def merged_words(asked: DataFrame, each: int = QUESTIONS) -> DataFrame:
+def merged_words(asked: DataFrame, buckets: int = 8, each: int = PART_BYTES) -> DataFrame:
     """The corpus' words of each bucket b and their training counts; n: tokens, known: words with a count, once, twice: with that count.
 
-    Parts of a bucket are merged first, so that a task gets ``each`` questions at most, and then as many rows as there are parts.
+    Parts of a bucket are merged first, so that a task gets about ``each`` bytes, and then as many rows as there are parts.
     """
 
     def merge(table: pa.Table) -> tuple[bytes, np.ndarray]:
@@ -303,7 +306,26 @@ def merged_words(asked: DataFrame, each: int = QUESTIONS) -> DataFrame:
         return pa.table({"b": table.column("b")[:1], "words": pa.array([pack_arrays(words, counts)], pa.binary()), **{k: pa.array([int(x)]) for k, x in sums.items()}})
 
     parts = split_buckets(asked, each)[0].groupBy("b", "s").applyInArrow(part, "b int, payload binary")
-    return written(parts.groupBy("b").applyInArrow(whole, "b int, words binary, n long, known long, once long, twice long"))
+    # As many tasks as buckets: few bytes are much work for the rounds that read them, so their partitions must not be put together.
+    tasks = min(TASKS, buckets)
+    return written(parts.repartition(tasks, "b").groupBy("b").applyInArrow(whole, "b int, words binary, n long, known long, once long, twice long"))
+
+
+def word_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list[tuple[int, int]], list[bytes], np.ndarray]]:
+    """The words of some buckets (columns b, words) together, WORDS_AT_ONCE or those of one bucket, as long runs are quicker:
+    each bucket with the number of its words, the words, their counts."""
+    sizes, words, counts = [], [], []
+    for batch in batches:
+        for b, p in zip(batch.column("b").to_pylist(), batch.column("words").to_pylist(), strict=True):
+            blob, c = unpack_arrays(p, None, np.int64)
+            sizes.append((b, len(c)))
+            words += blob.split(b" ")
+            counts.append(c)
+            if len(words) >= WORDS_AT_ONCE:
+                yield sizes, words, np.concatenate(counts)
+                sizes, words, counts = [], [], []
+    if words:
+        yield sizes, words, np.concatenate(counts)
 
 
 class Model(NamedTuple):
@@ -363,17 +385,14 @@ def fit(words: DataFrame, ends: int, path: str, rounds: int = ROUNDS, gain: floa
         def expect(batches: Iterator[pa.RecordBatch], log_p: np.ndarray = log_p) -> Iterator[pa.RecordBatch]:
             lattice = Lattice(kept_trie(shared.value), log_p)
             out, likelihood = np.zeros(lattice.n), 0.0
-            for batch in batches:
-                for p in batch.column("words").to_pylist():
-                    blob, counts = unpack_arrays(p, None, np.int64)
-                    chosen = np.flatnonzero(counts)
-                    every = blob.split(b" ")
-                    new, more = word_uses(lattice, [every[i] for i in chosen], np.ones(len(chosen)))
-                    out, likelihood = out + new, likelihood + more
+            for _, words, counts in word_lists(batches):
+                known = [w for w, c in zip(words, counts.tolist(), strict=True) if c]
+                new, more = word_uses(lattice, known, np.ones(len(known)))
+                out, likelihood = out + new, likelihood + more
             at = np.flatnonzero(out)
             yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(out[at], likelihood))], names=["piece", "uses"])
 
-        got = words.where("known > 0").select("words").mapInArrow(expect, "piece int, uses double").groupBy("piece").agg(F.sum("uses").alias("uses")).toArrow()
+        got = words.where("known > 0").select("b", "words").mapInArrow(expect, "piece int, uses double").groupBy("piece").agg(F.sum("uses").alias("uses")).toArrow()
         at, sums = got.column("piece").to_numpy(), got.column("uses").to_numpy()
         uses = np.zeros(len(pieces))
         uses[at[at >= 0]] = sums[at >= 0]
@@ -385,7 +404,7 @@ def fit(words: DataFrame, ends: int, path: str, rounds: int = ROUNDS, gain: floa
     return Model(pieces, log_p, end, likelihoods)
 
 
-def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = ROUNDS, each: int = QUESTIONS) -> DataFrame:
+def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = ROUNDS, each: int = PART_BYTES) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score (log10) for each row of docs.
 
     held_out is an SQL expression that is 1 for rows the model doesn't learn from.
@@ -393,7 +412,7 @@ def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = R
     chunks = pack(docs, held_out)
     buckets = bucket_count(total_bytes(chunks), BUCKET_BYTES)
     asked = written(questions(chunks, ask_words(buckets)))
-    words = merged_words(asked, each)
+    words = merged_words(asked, buckets, each)
     ends = docs.where(F.expr(held_out) == 0).count()
     n, known, once, twice = words.agg(*(F.coalesce(F.sum(c), F.lit(0)) for c in ("n", "known", "once", "twice"))).first()
     train_tokens, distinct = n + ends, known + (ends > 0)
@@ -401,13 +420,21 @@ def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = R
     shared = docs.sparkSession.sparkContext.broadcast({"pieces": model.pieces, "log_p": model.log_p})
     end = float(whole.log_p(np.array([ends]), np.array([model.end_log_p()]))[0])
 
+    def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lattice = Lattice(kept_trie(shared.value), shared.value["log_p"])
+        for sizes, every, counts in word_lists(batches):
+            log_p, start = whole.log_p(counts, word_log_p(lattice, every)), 0
+            for b, n in sizes:
+                mine, start = slice(start, start + n), start + n
+                yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([pack_arrays(b" ".join(every[mine]), counts[mine], log_p[mine])], pa.binary())], names=["b", "words"])
+
+    weighed = written(words.select("b", "words").mapInArrow(weigh, "b int, words binary"))
+
     def answer(questions_: pa.Table, bucket: pa.Table) -> pa.Table:
         if not questions_.num_rows:  # a part that no question fell in
             return pa.table({"g": pa.array([], pa.int64()), "b": pa.array([], pa.int32()), "payload": pa.array([], pa.binary())})
-        blob, counts = unpack_arrays(bucket.column("words")[0].as_py(), None, np.int64)
-        every = blob.split(b" ")
-        log_p = whole.log_p(counts, word_log_p(Lattice(kept_trie(shared.value), shared.value["log_p"]), every))
-        place = {w: i for i, w in enumerate(every)}
+        blob, counts, log_p = unpack_arrays(bucket.column("words")[0].as_py(), None, np.int64, np.float64)
+        place = {w: i for i, w in enumerate(blob.split(b" "))}
         back = []
         for p in questions_.column("payload").to_pylist():
             mine = [place[w] for w in unpack_arrays(p, None, np.int64)[0].split(b" ")]
@@ -416,7 +443,7 @@ def scores(docs: DataFrame, path: str, held_out: str = HELD_OUT, rounds: int = R
 
     parted, many = split_buckets(asked, each)
     last = F.coalesce("parts", F.lit(1).cast("long")) - 1
-    copied = words.join(many, "b", "left").select("b", "words", F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("s"))
+    copied = weighed.join(many, "b", "left").select("b", "words", F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("s"))
     back = parted.groupBy("b", "s").cogroup(copied.groupBy("b", "s")).applyInArrow(answer, "g long, b int, payload binary")
     told = back.groupBy("g").agg(F.collect_list(F.struct("b", "payload")).alias("replies"))
 

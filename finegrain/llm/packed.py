@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from finegrain.llm.common import bounded, written
 
 CHUNK_BYTES = 2 << 20
-QUESTIONS = 4096
+PART_BYTES = 32 << 20
 CHUNK = "g long, ids binary, known binary, tags binary, sizes binary, body binary"
 
 
@@ -141,12 +141,13 @@ def answered(asked: DataFrame, answer: Callable[[list[bytes]], list[bytes]], nam
     return back.groupBy("g").agg(F.collect_list(F.struct("b", "payload")).alias(name))
 
 
-def split_buckets(asked: DataFrame, each: int = QUESTIONS) -> tuple[DataFrame, DataFrame]:
-    """asked with ``s``, the part of its bucket that a question is in, and b, parts of the buckets of more than ``each`` questions.
+def split_buckets(asked: DataFrame, each: int = PART_BYTES) -> tuple[DataFrame, DataFrame]:
+    """asked (a written table) with ``s``, the part of its bucket that a question is in, and b, parts of the buckets of more than ``each`` bytes.
 
     A thing that every document has makes its bucket as many questions as there are chunks; parts keep them apart.
     """
-    many = written(asked.groupBy("b").agg(F.ceil(F.count("*") / each).cast("long").alias("parts")).where("parts > 1"))
+    size = F.sum(F.octet_length("payload") + 64)
+    many = written(asked.groupBy("b").agg(F.ceil(size / each).cast("long").alias("parts")).where("parts > 1"))
     part = F.pmod(F.xxhash64("g"), F.coalesce("parts", F.lit(1).cast("long")))
     return asked.join(many, "b", "left").withColumn("s", part).drop("parts"), many
 

@@ -129,7 +129,7 @@ def plain_scores(rows, rounds):
     return [(i, sum(score[w] for w in ws) + token(ends, math.exp(end) / begins)) for i, ws in split]
 
 
-@pytest.mark.parametrize("each", [2, lm.QUESTIONS])
+@pytest.mark.parametrize("each", [20_000, lm.PART_BYTES])
 def test_all_scores_against_plain_python(spark, each):
     docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
     want = dict(plain_scores([tuple(r) for r in docs.collect()], 2))
