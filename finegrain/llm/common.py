@@ -41,6 +41,22 @@ def bounded(df: DataFrame) -> DataFrame:
     return df
 
 
+def free_name(name: str, taken: list[str]) -> str:
+    """name, with as many underscores as keep it apart from the names that are taken (in whichever case)."""
+    low = {x.lower() for x in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
+
+
+def free_prefix(taken: list[str]) -> str:
+    """Underscores that none of the names begins with: names of one's own with this prefix clash with none of them."""
+    prefix = "_"
+    while any(x.startswith(prefix) for x in taken):
+        prefix += "_"
+    return prefix
+
+
 def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
 
@@ -50,12 +66,14 @@ def n_bytes(name: str = "text") -> Column:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or a local one where that is unset (tests)."""
+    """The folder that all executors share: spark.checkpoint.dir; a folder of this machine where that is unset and executors are threads of the driver."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
+        if not re.fullmatch(r"local(\[[^\[]*\])?", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
     return sc._jsc.sc().getCheckpointDir().get()
 

@@ -10,13 +10,17 @@
    unequal minima that agree by chance. Five standard errors below the threshold it is dropped; all others are
    confirmed on their whole sets. Confirmed links give components.
 5. Members of one bucket that are still in different components may be alike although neither is like the first
-   candidate. Signatures tell, in blocks of the bucket, which members have a possible partner in another component (each pair in the
+   candidate. In each bucket, the members outside its largest component meet all members, in blocks: signatures tell
+   which of them have a possible partner in another component (each pair in the
    first bucket they share only); these members' whole sets meet in blocks again, and a block returns the links that join
-   components, as many as it has rows at most. No pairs leave a block. Links inside a component change nothing.
+   components, as many as it has rows at most. No pairs leave a block. Links inside a component change nothing, and a large group of
+   copies with a few strangers costs its rows once, not their square.
 
 A null text and a text without words have an empty set, link with nothing and are components of their own. Rows with one
 doc_id are one document with the links of all of them. A null doc_id stands for no class: such a row has the component
-of the documents with its very set, is kept if there are none, and has no other links. An empty table gives no rows.
+of the documents with its very set, is kept if there are none, and has no other links. An empty table gives no rows. Ties have no
+say: a component's least doc_id stands for it. Very long texts are taken whole, with about 30 bytes for each word while their set is made.
+``near_duplicates`` reads doc_id and text only; ``keep_one_of_each`` keeps all columns of docs, whatever their names.
 """
 
 from __future__ import annotations
@@ -29,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from finegrain.llm.common import bounded, drop, written
+from finegrain.llm.common import bounded, drop, free_name, written
 
 WORDS = 5
 ALIKE = (80, 100)  # 100 * intersection >= 80 * union
@@ -217,65 +221,75 @@ def confirmed(pairs: DataFrame, docs: DataFrame, k: int, alike: tuple[int, int])
     return both.mapInArrow(run, "a long, b long").distinct()
 
 
-def components(links: DataFrame, rounds: int = 60) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """id, component (least id reachable) of all ids in links a, b; ids without links have no row.
 
     Every round, each id's neighbours are linked to the least of them (larger ones first, then smaller ones), which
-    halves long paths and keeps stars as they are. All aggregation is partial, so a hub costs one row a task.
+    halves long paths and keeps stars as they are, until nothing changes. All aggregation is partial, and aggregates are written before they
+    are joined, so that Spark can split a hub's rows: a hub costs one row a task.
     """
-    spark = links.sparkSession
     edges = written(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
-    for _ in range(rounds):
+    same = False
+    while not same:
         both = edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
+        low = written(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")))
+        large = written(both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
+        least = written(large.groupBy("u").agg(F.min("v").alias("m")))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
         new = written(small.unionByName(least.select("u", F.col("m").alias("v"))).distinct())
         same = new.count() == edges.count() and new.join(edges, ["u", "v"], "left_anti").isEmpty()
-        drop(edges)
+        for old in (edges, low, large, least):
+            drop(old)
         edges = new
-        if same:
-            break
-    else:
-        raise RuntimeError(f"components didn't settle in {rounds} rounds")
     tops = edges.select(F.col("v").alias("id")).distinct().withColumn("component", F.col("id"))
     return edges.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(tops)
 
 
-def block_pairs(rows: DataFrame, keys: DataFrame, block: int, columns: list[str]) -> DataFrame:
-    """rows (with key, id) dealt to pairs p <= q of blocks of their key, with the block ``own`` of each row.
+def mixed_buckets(placed: DataFrame) -> DataFrame:
+    """key, largest for the buckets of placed (key, id, component) that hold several components, the one with most members of which is largest."""
+    shares = placed.groupBy("key", "component").agg(F.count("*").alias("n"))
+    return shares.groupBy("key").agg(F.max(F.struct("n", "component"))["component"].alias("largest"), F.count("*").alias("c")).where("c > 1").select("key", "largest")
 
-    keys has a row for each row's key. Only buckets of several blocks are looked up, and each pair of blocks is dealt anew, so
-    that a large bucket isn't one task's work.
-    """
-    large = written(keys.groupBy("key").agg(F.ceil(F.count("*") / block).cast("long").alias("blocks")).where("blocks > 1"))
-    placed = rows.join(large, "key", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long")))
-    placed = placed.withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")))
-    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    dealt = placed.select("key", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "own", "id", *columns)
-    return dealt.repartition("key", "p", "q")
 
+def block_pairs(rows: DataFrame, keys: DataFrame, block: int, columns: list[str]) -> DataFrame:
+    """rows (with key, id, outside) dealt to pairs of blocks of their key: p of the members outside, q of all members.
 
-def sides(table: pa.Table) -> tuple[np.ndarray, np.ndarray, bool]:
-    """Rows of the left and the right block, and whether they are one."""
-    own, p, q = table.column("own").to_numpy(), table.column("p")[0].as_py(), table.column("q")[0].as_py()
-    return np.flatnonzero(own == p), np.flatnonzero(own == q), p == q
+    A row comes as a member of its block of all (``left`` false) and, if it is outside, of its block of those (``left``); in a
+    bucket of one block (``alone``) it comes once. keys has a row for each row's key. Only buckets of several blocks are looked up, and each pair of blocks is dealt anew, so that a large bucket isn't one
+    task's work.
+    """
+    blocks = lambda n: F.greatest(F.ceil(n / block), F.lit(1)).cast("long")
+    large = keys.groupBy("key").agg(blocks(F.count("*")).alias("nq"), blocks(F.count_if("outside")).alias("np")).where("nq > 1")
+    one = F.lit(1).cast("long")
+    placed = rows.join(written(large), "key", "left").withColumns({"nq": F.coalesce("nq", one), "np": F.coalesce("np", one)})
+    span = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+    right = placed.select("key", span("np").alias("p"), F.pmod(F.xxhash64("id"), F.col("nq")).alias("q"), F.lit(False).alias("left"), (F.col("nq") == 1).alias("alone"), "id", "outside", *columns)
+    left = placed.where("outside AND nq > 1").select("key", F.pmod(F.xxhash64("id"), F.col("np")).alias("p"), span("nq").alias("q"), F.lit(True).alias("left"), F.lit(False).alias("alone"), "id", "outside", *columns)
+    return left.unionByName(right).repartition("key", "p", "q")
+
+
+def meetings(table: pa.Table, label: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """Each row of the left block, and the rows of the right one that it meets: those with another label, each pair once."""
+    ids, outside, is_left = (table.column(c).to_numpy() for c in ("id", "outside", "left"))
+    alone = table.column("alone")[0].as_py()
+    right = np.flatnonzero(~is_left)
+    for i in np.flatnonzero(outside if alone else is_left):
+        rest = right[(label[right] != label[i]) & (~outside[right] | (ids[right] > ids[i]))]
+        if len(rest):
+            yield i, rest
 
 
 def with_partners(rows: DataFrame, keys: DataFrame, alike: tuple[int, int]) -> DataFrame:
-    """key, id of the rows (key, id, component, signature, bands) that have a possible partner of another component in their bucket."""
+    """key, id of the rows (key, id, component, outside, signature, bands) that have a possible partner of another component in their bucket."""
     least = least_estimate(alike)
 
     def run(table: pa.Table) -> pa.Table:
         ids, component = table.column("id").to_numpy(), table.column("component").to_numpy()
         signature = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint8).reshape(len(ids), -1)
         bands = table.column("bands").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
-        key, (left, right, same) = table.column("key")[0].as_py(), sides(table)
+        key = table.column("key")[0].as_py()
         found = np.zeros(len(ids), bool)
-        for n, i in enumerate(left):
-            rest = right[n + 1 :] if same else right
-            rest = rest[component[rest] != component[i]]
+        for i, rest in meetings(table, component):
             rest = rest[estimate(signature[rest], signature[i][None, :]) >= least]
             if len(rest):
                 first = (bands[rest] == bands[i]).argmax(1)  # they share this bucket at least
@@ -289,7 +303,7 @@ def with_partners(rows: DataFrame, keys: DataFrame, alike: tuple[int, int]) -> D
 
 
 def joining_links(rows: DataFrame, keys: DataFrame, k: int, alike: tuple[int, int]) -> DataFrame:
-    """Links a, b between components among the rows (key, id, component, text) of each bucket, on whole sets."""
+    """Links a, b between components among the rows (key, id, component, outside, text) of each bucket, on whole sets."""
 
     def run(table: pa.Table) -> pa.Table:
         shingler = Shingler(k)
@@ -299,13 +313,8 @@ def joining_links(rows: DataFrame, keys: DataFrame, k: int, alike: tuple[int, in
         start = np.cumsum(size) - size
         _, every = np.unique(np.concatenate(sets), return_inverse=True)
         flag = np.zeros(int(every.max()) + 1, bool)
-        left, right, same = sides(table)
         out = []
-        for n, i in enumerate(left):
-            rest = right[n + 1 :] if same else right
-            rest = rest[label[rest] != label[i]]
-            if not len(rest):
-                continue
+        for i, rest in meetings(table, label):
             own = every[start[i] : start[i] + size[i]]
             flag[own] = True
             if len(rest) * 8 < len(ids):
@@ -343,12 +352,14 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = AL
     found = components(links)
 
     placed = shared.select("key", "id").join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    mixed = written(placed.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("key"))
-    open_ = written(placed.join(mixed, "key").select("key", "id", "component"))
+    placed = written(placed)
+    mixed = written(mixed_buckets(placed))
+    open_ = written(placed.join(mixed, "key").select("key", "id", "component", (F.col("component") != F.col("largest")).alias("outside")))
     active = written(with_partners(open_.join(reps, "id"), open_, alike))
     if not active.isEmpty():
         texts = written(texts_of(docs, active.select("id").distinct()))
-        more = written(joining_links(active.join(open_, ["key", "id"]).join(texts, "id"), active, k, alike))
+        active = written(active.join(open_, ["key", "id"]))
+        more = written(joining_links(active.join(texts, "id"), active, k, alike))
         if not more.isEmpty():
             found = components(links.unionByName(more))
     member = rows.select("doc_id", "text_hash", "n_shingles", "set_hash").join(classes, "set_hash", "left").join(found, "id", "left")
@@ -359,7 +370,8 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = AL
 
 def keep_one_of_each(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = ALIKE) -> DataFrame:
     """The rows of docs, unchanged, that are kept: one for each component (repeated rows go)."""
-    stays = near_duplicates(docs, k, alike).where("kept").select(F.col("doc_id").alias("_id"), F.col("text_hash").alias("_th")).distinct()
-    named = docs.withColumn("_own", F.xxhash64("text"))
-    out = named.join(stays, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (F.col("_own") == F.col("_th")), "left_semi")
-    return out.dropDuplicates(["doc_id", "_own"]).select(docs.columns)
+    stays = near_duplicates(docs, k, alike).where("kept").select("doc_id", "text_hash").distinct()
+    own = free_name("own", docs.columns)
+    named = docs.withColumn(own, F.xxhash64("text"))
+    out = named.join(stays, named["doc_id"].cast("long").eqNullSafe(stays["doc_id"]) & (named[own] == stays["text_hash"]), "left_semi")
+    return out.dropDuplicates(["doc_id", own]).select(docs.columns)
