@@ -2,17 +2,19 @@
 
 Texts are normalised by a byte table: A-Z become lower case, ASCII characters that are neither letter
 nor digit become blanks, the rest stays. The table keeps offsets: byte k of the normalised text is byte
-k of the original. The automaton holds each window of ``WINDOW`` consecutive words of an item (an item
-of fewer words, but not none, is one window) between blanks; one scan of a document's words finds all
-occurrences of all windows. A word inside an occurrence is hit.
+k of the original. Words of the benchmark have numbers, and the automaton holds each window of ``WINDOW`` consecutive words of an item (an item
+of fewer words, but not none, is one window) as a sequence of numbers; one scan of a document's words (those
+that no item has are number 0) finds all occurrences of all windows. A word inside an occurrence is hit.
 
-The patterns reach the executors as a list whose size is checked: items beyond ``PATTERN_BYTES`` of
-windows go into further automata, each of that size at most, and the hits of a document are put together.
-A document's own scan is linear in its length and needs no other document.
+What reaches the executors is the items' words as numbers, a few bytes a word. The automaton takes about 50 bytes for each word of
+each window and is built once in each Python worker. ``PATTERN_BYTES`` of windows need about 0.8 GB there; beyond that, items go into
+further automata of that size at most (a longer item in overlapping parts), each scanned once, and the hits of a document are put
+together. A document's own scan is linear in its length and needs no other document.
 
 Null and empty texts have no words and are clean; items without words match nothing; items with a null id
-count as hits, but not as items; repeated items count once. Documents repeat as they are. An empty
-benchmark leaves every document clean, an empty table gives no rows.
+count as hits, but not as items; repeated items count once. Documents repeat as they are, ties don't matter. An empty
+benchmark leaves every document clean, an empty table gives no rows. Very long texts are scanned whole, with about 100 bytes for
+each of their words. ``find`` reads doc_id and text only; ``keep_clean`` keeps all columns of docs, whatever their names.
 """
 
 from __future__ import annotations
@@ -29,7 +31,7 @@ from pyspark.sql import types as T
 from finegrain.llm.common import bounded
 
 WINDOW = 13
-PATTERN_BYTES = 32 << 20
+PATTERN_BYTES = 128 << 20
 NEAR = 20  # contaminated: a 20th of the words or more
 
 
@@ -45,64 +47,89 @@ def word_table() -> bytes:
 
 
 def words_of(text: str | None, table: bytes) -> list[bytes]:
-    return (text or "").encode("utf-8", "surrogatepass").translate(table).split(b" ")
+    return (text or "").encode("utf-8", "surrogatepass").translate(table).split()
 
 
-def windows(text: str | None, table: bytes, size: int = WINDOW) -> list[tuple[bytes, int]]:
-    words = [w for w in words_of(text, table) if w]
-    if not words:
-        return []
-    n = min(size, len(words))
-    return [(b" ".join(words[i : i + n]), n) for i in range(len(words) - n + 1)]
+def pattern_blocks(items: DataFrame, size: int = WINDOW, most: int = PATTERN_BYTES) -> Iterator[dict]:
+    """Blocks of items of about ``most`` bytes of windows each at most, as plain data: their distinct words, the parts of items as
+    numbers of words from 1 (``ends`` tells where each part ends), each part's item id (None where null) and the window's size."""
+    table = word_table()
+    number: dict[bytes, int] = {}
+    parts, ids, held = [], [], 0
 
+    def block() -> dict:
+        ends = np.cumsum([len(x) for x in parts], dtype=np.int64)
+        return {"words": list(number), "numbers": np.concatenate([np.zeros(0, np.int32), *parts]), "ends": ends, "ids": list(ids), "size": size}
 
-def pattern_blocks(items: DataFrame, size: int = WINDOW, most: int = PATTERN_BYTES) -> Iterator[list[tuple[bytes, int, list[str]]]]:
-    """Lists of (window, its words, ids of its items) of ``most`` bytes at most (or a single item)."""
-    table, block, held = word_table(), {}, 0
     for item, text in items.selectExpr("CAST(item_id AS STRING)", "text").toLocalIterator():
-        own = set(windows(text, table, size))
-        room = sum(len(w) for w, _ in own)
-        if block and held + room > most:
-            yield [(w, n, sorted(ids)) for (w, n), ids in sorted(block.items())]
-            block, held = {}, 0
-        held += room
-        for key in own:
-            block.setdefault(key, set()).update([] if item is None else [item])
-    yield [(w, n, sorted(ids)) for (w, n), ids in sorted(block.items())]
+        words = words_of(text, table)
+        step = max(1, most // (8 * size))
+        for at in range(0, max(len(words) - size + 1, min(len(words), 1)), step):
+            own = words[at : at + step + size - 1]
+            room = sum(map(len, own)) * min(size, len(own)) + len(own)
+            if parts and held + room > most:
+                yield block()
+                number, parts, ids, held = {}, [], [], 0
+            held += room
+            parts.append(np.array([number.setdefault(w, len(number) + 1) for w in own], np.int32))
+            ids.append(item)
+    yield block()
 
 
 class Scanner:
     """Finds the windows of a block in texts."""
 
-    def __init__(self, block: list[tuple[bytes, int, list[str]]]):
+    def __init__(self, block: dict):
         import ahocorasick
 
-        self.table, self.automaton = word_table(), ahocorasick.Automaton()
-        for w, n, ids in block:
-            self.automaton.add_word(f" {w.decode('latin-1')} ", (n, ids))
-        self.some = bool(block)
+        self.table, size = word_table(), block["size"]
+        self.number = dict(zip(block["words"], range(1, len(block["words"]) + 1), strict=True))
+        self.automaton = ahocorasick.Automaton(ahocorasick.STORE_INTS, ahocorasick.KEY_SEQUENCE)
+        self.lengths, self.ids, owners, start = [], block["ids"], [], 0
+        for part, end in enumerate(block["ends"].tolist()):
+            own = tuple(block["numbers"][start:end].tolist())
+            n, start = min(size, len(own)), end
+            for i in range(len(own) - n + 1):
+                window = own[i : i + n]
+                k = self.automaton.get(window, None)
+                if k is None:
+                    k = len(self.lengths)
+                    self.automaton.add_word(window, k)
+                    self.lengths.append(n)
+                owners.append((k, part))
+        self.some = bool(self.lengths)
         if self.some:
             self.automaton.make_automaton()
+        pairs = np.array(owners, np.int64).reshape(-1, 2)
+        self.owners = pairs[np.argsort(pairs[:, 0], kind="stable"), 1]
+        self.first = np.searchsorted(np.sort(pairs[:, 0]), np.arange(len(self.lengths) + 1))
 
     def scan(self, text: str | None) -> tuple[int, list[tuple[int, int]], set[str]]:
         """Words of the text, hit word ranges [from, to), ids of items."""
-        words = (text or "").encode("utf-8", "surrogatepass").translate(self.table).split()
+        words = words_of(text, self.table)
         if not words or not self.some:
             return len(words), [], set()
-        line = b" " + b" ".join(words) + b" "
-        found = list(self.automaton.iter(line.decode("latin-1")))
+        get = self.number.get
+        found = list(self.automaton.iter(tuple([get(w, 0) for w in words])))
         if not found:
             return len(words), [], set()
-        gaps = np.flatnonzero(np.frombuffer(line, np.uint8) == 32)
-        lasts = np.searchsorted(gaps, [end for end, _ in found])
-        ranges = [(int(j) - n, int(j)) for j, (_, (n, _)) in zip(lasts, found, strict=True)]
-        return len(words), ranges, {i for _, (_, ids) in found for i in ids}
+        ranges = [(end + 1 - self.lengths[k], end + 1) for end, k in found]
+        parts = {int(o) for k in {k for _, k in found} for o in self.owners[self.first[k] : self.first[k + 1]]}
+        return len(words), ranges, {i for i in (self.ids[o] for o in parts) if i is not None}
 
-    def word_offsets(self, text: str | None) -> np.ndarray:
-        """Byte offsets [from, to) of each word in the original text."""
-        raw = np.frombuffer(b" " + (text or "").encode("utf-8", "surrogatepass").translate(self.table) + b" ", np.uint8) != 32
-        edges = np.flatnonzero(raw[1:] != raw[:-1])
-        return edges.reshape(-1, 2)
+
+def word_offsets(text: str | None, table: bytes) -> np.ndarray:
+    """Byte offsets [from, to) of each word in the original text."""
+    raw = np.frombuffer(b" " + (text or "").encode("utf-8", "surrogatepass").translate(table) + b" ", np.uint8) != 32
+    edges = np.flatnonzero(raw[1:] != raw[:-1])
+    return edges.reshape(-1, 2)
+
+
+def kept_scanner(shared: dict) -> Scanner:
+    """The scanner of a broadcast block: built once in each Python worker, and kept with the block."""
+    if "scanner" not in shared:
+        shared["scanner"] = Scanner(shared)
+    return shared["scanner"]
 
 
 def joined(ranges: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -119,11 +146,12 @@ def joined(ranges: list[tuple[int, int]]) -> list[tuple[int, int]]:
 FOUND = "doc_id long, n_words long, n_hit long, items array<string>, spans array<struct<start:long,end:long>>"
 
 
-def scan_block(docs: DataFrame, block: list, extra: str = "") -> DataFrame:
+def scan_block(docs: DataFrame, block: dict, extra: str = "") -> DataFrame:
     """FOUND for each document and one block; spans are byte offsets of hit passages in the original text."""
+    shared = docs.sparkSession.sparkContext.broadcast(block)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scanner = Scanner(block)
+        scanner = kept_scanner(shared.value)
         kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
         for batch in batches:
             rows = []
@@ -131,7 +159,7 @@ def scan_block(docs: DataFrame, block: list, extra: str = "") -> DataFrame:
                 text = cell.as_py()
                 n, ranges, items = scanner.scan(text)
                 hits = joined(ranges)
-                at = scanner.word_offsets(text) if hits else None
+                at = word_offsets(text, scanner.table) if hits else None
                 spans = [{"start": int(at[a][0]), "end": int(at[b - 1][1])} for a, b in hits]
                 rows.append((n, sum(b - a for a, b in hits), sorted(items), spans))
             columns = list(zip(*rows, strict=True)) or [[]] * 4
@@ -160,12 +188,12 @@ def find(docs: DataFrame, items: DataFrame, size: int = WINDOW, most: int = PATT
 
 def _recount(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Hits of several blocks together: the words inside any span."""
-    scanner = Scanner([])
+    table = word_table()
     for batch in batches:
         out = []
         for row in batch.to_pylist():
             spans = joined([(s["start"], s["end"]) for s in row["spans"]])
-            at = scanner.word_offsets(row["text"]) if spans else []
+            at = word_offsets(row["text"], table) if spans else []
             hit = sum(int(np.searchsorted(at[:, 0], b) - np.searchsorted(at[:, 0], a)) for a, b in spans)
             out.append({"doc_id": row["doc_id"], "n_words": row["n_words"], "n_hit": hit, "items": row["items"], "spans": [{"start": a, "end": b} for a, b in spans], "text_key": row["text_key"]})
         kind = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), ("text_key", pa.string())])
@@ -176,10 +204,10 @@ def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
     """The rows of docs, unchanged, that aren't contaminated; texts are scanned where they lie."""
     blocks = list(pattern_blocks(items))
     if len(blocks) == 1:
-        block, at = blocks[0], docs.columns.index("text")
+        shared, at = docs.sparkSession.sparkContext.broadcast(blocks[0]), docs.columns.index("text")
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            scanner = Scanner(block)
+            scanner = kept_scanner(shared.value)
             for batch in batches:
                 good = []
                 for cell in batch.column(at):
@@ -189,9 +217,9 @@ def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
                 yield batch.filter(pa.array(good, pa.bool_()))
 
         return bounded(docs).mapInArrow(run, T.StructType(docs.schema.fields))
-    bad = find(docs, items).where("contaminated").select(F.col("doc_id").alias("_bad"), F.col("text_key").alias("_key")).distinct()
-    own = F.md5(F.coalesce("text", F.lit("")).cast("binary"))
-    return docs.join(bad, F.col("doc_id").cast("long").eqNullSafe(F.col("_bad")) & (own == F.col("_key")), "left_anti")
+    bad = find(docs, items).where("contaminated").select(F.struct(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), "text_key").alias("bad")).distinct()
+    text_key = F.md5(F.coalesce(docs["text"], F.lit("")).cast("binary"))
+    return docs.join(bad, F.struct(F.coalesce(docs["doc_id"].cast("long").cast("string"), F.lit("")), text_key) == bad["bad"], "left_anti")
 
 
 def items_digest(ids: list[str]) -> str:
