@@ -6,11 +6,15 @@
 2. A line with fewer occurrences than ``min_sites`` cannot reach it. Of the rest, an estimate outside
    ``min_sites * (1 +- margin)`` decides; within it, the distinct sites are counted exactly. margin is
    eight standard errors of the sketch and one site at least.
-3. Boilerplate lines are taken from the documents they occur in; the kept lines stay in order.
+3. Boilerplate lines are taken from the documents they occur in; the kept lines stay in order. The hashes of these lines are
+   written; up to ``BROADCAST_LINES`` of them are sent to where the lines are, and more are copied ``SALTS`` times, so that
+   the places of a very common line meet it in as many tasks.
 
 Only DataFrame functions. A null site is no site; null and empty texts keep nothing and count no
-lines; the first of repeated rows has no privilege: all lose the line. Documents are matched again by
-doc_id and text hash, so repeated or null doc_ids are safe. An empty table gives no rows.
+lines; the first of repeated rows has no privilege: all lose the line. A line that ties with ``min_sites`` is boilerplate. Documents
+are matched again by doc_id and text hash, so repeated or null doc_ids are safe. An empty table gives no rows. Very long texts
+are split as one array of lines within a row, of their own size. Columns of docs keep their names and values, but for those named n_lines, n_removed
+or kept_text, which are replaced.
 """
 
 from __future__ import annotations
@@ -20,10 +24,12 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from finegrain.llm.common import text_or_empty
+from finegrain.llm.common import free_prefix, text_or_empty, written
 
 MIN_SITES = 5
 LG_K = 9
+BROADCAST_LINES = 1_000_000  # of 12 bytes each
+SALTS = 16
 BLANKS = " \t\r\x0b\x0c"
 
 
@@ -67,20 +73,24 @@ def boilerplate(docs: DataFrame, site: str = "source", min_sites: int = MIN_SITE
 
 def strip_boilerplate(docs: DataFrame, site: str = "source", min_sites: int = MIN_SITES, lg_k: int = LG_K) -> DataFrame:
     """docs' columns with n_lines, n_removed and kept_text (lines that aren't boilerplate, as they were)."""
-    found = boilerplate(docs, site, min_sites, lg_k)
-    key = [F.col("doc_id").cast("long").alias("_id"), F.xxhash64(text_or_empty()).alias("_th")]
-    line = trimmed(F.col("_line"))
-    places = docs.select(*key, F.posexplode(F.split(text_or_empty(), "\n")).alias("_pos", "_line")).where(F.length(line) > 0)
-    places = places.select("_id", "_th", "_pos", F.xxhash64(line).alias("h1"), F.hash(line).alias("h2"))
-    gone = places.join(found, ["h1", "h2"], "left_semi").groupBy("_id", "_th").agg(F.collect_set("_pos").alias("_gone"))
-    own = docs.select("*", *key)
-    joined = own.join(gone.withColumnsRenamed({"_id": "_gid", "_th": "_gth"}), F.col("_id").eqNullSafe(F.col("_gid")) & (F.col("_th") == F.col("_gth")), "left")
-    lines = F.split(text_or_empty(), "\n")
-    keep = F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), F.coalesce("_gone", F.array().cast("array<int>")))
-    out = joined.withColumn("_lines", lines)
+    found = written(boilerplate(docs, site, min_sites, lg_k))
+    own = free_prefix(docs.columns)
+    line = trimmed(F.col("line"))
+    places = docs.select(F.col("doc_id").cast("long").alias("id"), F.xxhash64(text_or_empty()).alias("th"), F.posexplode(F.split(text_or_empty(), "\n")).alias("pos", "line")).where(F.length(line) > 0)
+    places = places.select("id", "th", "pos", F.xxhash64(line).alias("h1"), F.hash(line).alias("h2"))
+    if found.count() <= BROADCAST_LINES:
+        hit = places.join(F.broadcast(found), ["h1", "h2"], "left_semi")
+    else:
+        salted = found.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        hit = places.withColumn("salt", F.pmod(F.xxhash64("id", "th", "pos"), F.lit(SALTS)).cast("int")).join(salted, ["h1", "h2", "salt"], "left_semi")
+    gone = hit.groupBy(F.col("id").alias(own + "gid"), F.col("th").alias(own + "gth")).agg(F.collect_set("pos").alias(own + "gone"))
+    named = docs.select("*", F.col("doc_id").cast("long").alias(own + "id"), F.xxhash64(text_or_empty()).alias(own + "th"))
+    joined = named.join(gone, F.col(own + "id").eqNullSafe(F.col(own + "gid")) & (F.col(own + "th") == F.col(own + "gth")), "left")
+    keep = F.array_except(F.sequence(F.lit(0), F.size(own + "lines") - 1), F.coalesce(own + "gone", F.array().cast("array<int>")))
+    out = joined.withColumn(own + "lines", F.split(text_or_empty(), "\n"))
     return out.select(
-        *(c for c in docs.columns if c not in ("n_lines", "n_removed", "kept_text")),
-        F.size(F.filter("_lines", lambda x: F.length(trimmed(x)) > 0)).cast("long").alias("n_lines"),
-        F.coalesce(F.size("_gone"), F.lit(0)).cast("long").alias("n_removed"),
-        F.array_join(F.transform(keep, lambda i: F.get("_lines", i)), "\n").alias("kept_text"),
+        *(F.col(f"`{c}`") for c in docs.columns if c not in ("n_lines", "n_removed", "kept_text")),
+        F.size(F.filter(own + "lines", lambda x: F.length(trimmed(x)) > 0)).cast("long").alias("n_lines"),
+        F.coalesce(F.size(own + "gone"), F.lit(0)).cast("long").alias("n_removed"),
+        F.array_join(F.transform(keep, lambda i: F.get(own + "lines", i)), "\n").alias("kept_text"),
     )
