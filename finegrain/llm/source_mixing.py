@@ -15,8 +15,9 @@ copies. No table is refused: a source of a few bytes beside a large table gets t
 ``epochs`` has a limit.
 
 Null sources form a source of their own (reported as null), null and empty texts count as one byte
-so that each source has a rate, repeated rows are drawn alike, an empty table gives no rows. Columns
-of docs that have a name of this operator's own (rate, copies, copy, shuffle_key) are replaced.
+so that each source has a rate, repeated rows are drawn alike, ties in the order key are put in the order of doc_id and copy, an empty
+table gives no rows. Very long texts travel whole, as one row for each copy. Columns of docs that have a name of this operator's own (rate,
+copies, copy, shuffle_key) are replaced; any other names are kept.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.functions import ArrowUDFType
 
-from finegrain.llm.common import text_or_empty, written
+from finegrain.llm.common import free_prefix, text_or_empty, written
 
 SEED = "mix-1"
 TEMPERATURE = 0.5
@@ -137,19 +138,22 @@ def source_rates(docs: DataFrame, weights: dict[str | None, float] | None = None
 def mix(docs: DataFrame, weights: dict[str | None, float] | None = None, by: str = "source", temperature: float = TEMPERATURE, epochs: float = 1.0, seed: str = SEED, shuffle: bool = True) -> DataFrame:
     """docs' columns, rate, copies, copy (from 0) and shuffle_key, a row for each copy, in shuffled order."""
     rates = source_rates(docs, weights, by, temperature, epochs)
-    kept = docs.select(*(c for c in docs.columns if c not in OWN))
-    joined = kept.join(rates, F.col(by).cast("string").eqNullSafe(F.col("_source")))
+    kept = docs.select(*(F.col(f"`{c}`") for c in docs.columns if c not in OWN))
+    own = free_prefix(kept.columns)
+    col = lambda name: F.col(own + name)
+    rates = rates.withColumnsRenamed({c: own + c[1:] for c in rates.columns})
+    joined = kept.join(rates, F.col(f"`{by}`").cast("string").eqNullSafe(col("source")))
     draw = uniform(F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.md5(text_or_empty().cast("binary")))
-    if "_cdf" in rates.columns:
+    if own + "cdf" in rates.columns:
         # Spark evaluates the draw once for a row: the comparison is with a constant of the lambda.
-        count = F.col("_first") + F.size(F.filter("_cdf", lambda c: c <= F.col("_u")))
+        count = col("first") + F.size(F.filter(col("cdf"), lambda c: c <= col("u")))
     else:
-        count = F.arrow_udf(poisson_draws, "long", functionType=ArrowUDFType.SCALAR_ITER)("_rate", "_u")
-    drawn = joined.withColumn("_u", draw).withColumn("copies", count.cast("long")).where("copies > 0")
+        count = F.arrow_udf(poisson_draws, "long", functionType=ArrowUDFType.SCALAR_ITER)(col("rate"), col("u"))
+    drawn = joined.withColumn(own + "u", draw).withColumn("copies", count.cast("long")).where("copies > 0")
     # In chunks, as a row of a tiny source can have more copies than one array should hold.
-    chunked = drawn.withColumn("_chunk", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("copies") - 1) / CHUNK))))
-    start = F.col("_chunk") * CHUNK
+    chunked = drawn.withColumn(own + "chunk", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("copies") - 1) / CHUNK))))
+    start = col("chunk") * CHUNK
     copied = chunked.withColumn("copy", F.explode(F.sequence(start, F.least(start + CHUNK, F.col("copies")) - 1)))
-    key = F.xxhash64(F.lit(seed), F.col("doc_id"), F.col("_u"), F.col("copy"))
-    out = copied.select(*kept.columns, F.col("_rate").alias("rate"), "copies", "copy", key.alias("shuffle_key"))
+    key = F.xxhash64(F.lit(seed), F.col("doc_id"), col("u"), F.col("copy"))
+    out = copied.select(*(F.col(f"`{c}`") for c in kept.columns), col("rate").alias("rate"), "copies", "copy", key.alias("shuffle_key"))
     return out.orderBy("shuffle_key", "doc_id", "copy") if shuffle else out
