@@ -8,8 +8,9 @@ differ by one row at most and slots have no gaps.
 
 Only key, size and CRC travel; texts stay where they are unless ``shard`` is asked to keep them.
 Null doc_ids come first in the numbering, null texts have size 1 and the CRC of no bytes; rows equal in
-all three order columns get adjacent numbers in any order, which changes no count. An empty table
-gives no rows.
+all three order columns get adjacent numbers in any order, which changes no count; a last order column, a hash of the place a row is read
+from, spreads very many of them over tasks. An empty table gives no rows. Very long texts are read for size and CRC only, unless they are
+kept. Columns of ``keep`` that have a name of this operator's own (doc_id, size, text_crc32, row_no, shard, slot) give way to it.
 """
 
 from __future__ import annotations
@@ -22,11 +23,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from finegrain.llm.common import bounded, drop, n_bytes, text_or_empty, written
+from finegrain.llm.common import bounded, drop, free_prefix, n_bytes, text_or_empty, written
 
 SEED = 20240229
 ROUNDS = 6
-OWN = ("doc_id", "size", "text_crc32", "row_no", "shard", "slot", "_at", "_p", "_before")
+OWN = ("doc_id", "size", "text_crc32", "row_no", "shard", "slot")
 # Odd multipliers and offsets of the round function stay below 2**31, so that products of a
 # half (below 2**31 too, up to 2**62 rows) fit a signed 64-bit integer, in SQL as well.
 MULTIPLY, STEP = 1664525, 1013904223
@@ -68,17 +69,21 @@ def numbered(rows: DataFrame, order: list[str]) -> DataFrame:
     """
     spark = rows.sparkSession
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    own = free_prefix(rows.columns)
+    at, of, first, tie = own + "at", own + "of", own + "before", own + "tie"
     key = F.monotonically_increasing_id()
-    placed = written(rows.repartitionByRange(n, *order).sortWithinPartitions(*order).withColumn("_at", key))
-    part, row = F.shiftright("_at", 33), F.col("_at").bitwiseAND(2**33 - 1)
+    # Rows may be read again when the range's bounds are sampled, so a tie is broken by where a row is, not by chance.
+    tied = rows.withColumn(tie, F.xxhash64(key)).repartitionByRange(n, *order, tie).sortWithinPartitions(*order).drop(tie)
+    placed = written(tied.withColumn(at, key))
+    part, row = F.shiftright(at, 33), F.col(at).bitwiseAND(2**33 - 1)
     counts = sorted(tuple(x) for x in placed.groupBy(part.alias("p")).count().collect())
     before, offsets = 0, []
     for p, c in counts:
         offsets.append((p, before))
         before += c
-    starts = spark.createDataFrame(offsets or [(0, 0)], "_p long, _before long")
-    out = placed.withColumn("_p", part).join(F.broadcast(starts), "_p")
-    out = out.withColumn("row_no", row + F.col("_before")).drop("_at", "_p", "_before")
+    starts = spark.createDataFrame(offsets or [(0, 0)], f"{of} long, {first} long")
+    out = placed.withColumn(of, part).join(F.broadcast(starts), of)
+    out = out.withColumn("row_no", row + F.col(first)).drop(at, of, first)
     out._total, out._table = before, placed
     return out
 
@@ -89,7 +94,7 @@ def shard(docs: DataFrame, n_shards: int = 16, seed: int = SEED, keep: tuple[str
         F.col("doc_id").cast("long").alias("doc_id"),
         (n_bytes() + 1).alias("size"),
         F.crc32(text_or_empty().cast("binary")).alias("text_crc32"),
-        *(F.col(c) for c in keep if c not in OWN),
+        *(F.col(f"`{c}`") for c in keep if c.lower() not in OWN),
     )
     placed = numbered(rows, ["doc_id", "text_crc32", "size"])
     total = placed._total
