@@ -1,13 +1,16 @@
 """Quality rules in a short-circuit cascade.
 
 Every rule looks at one document and rejects it or not; a document is kept if no rule rejects it. What a
-rule costs and how much it rejects is estimated on a sample of ``SAMPLE_ROWS`` rows at most (the
-only use of the sample), and rules run in the order of rejections per second: most documents that go
-are gone before an expensive rule sees them. The order never changes a verdict.
+rule costs and how much it rejects is estimated on a sample: in each task, the first ``SAMPLE_FIRST`` rows and every
+``SAMPLE_EACH``-th go through all rules, with a clock, and the rules of the other rows run in the order of rejections per second found so far: most
+documents that go are gone before an expensive rule sees them. So the order follows the data that a task really has (a table may be sorted by source),
+no row is read twice and the driver gets nothing. ``estimates`` shows the figures of a whole table. The order never changes a verdict.
 
 Words are runs of anything but ASCII white space, on the whole text. A null or empty text has no
-words and fails the length rule. Repeated rows get the same verdict, nothing depends on other rows;
-an empty table gives no rows. Columns of docs that have the name of a measure are replaced.
+words and fails the length rule. Repeated rows get the same verdict, nothing depends on other rows; ties in the order go to the cheaper rule, then by
+name; an empty table gives no rows. A very long text is measured whole, with about 150 bytes for each word. ``measured`` reads doc_id and text only;
+its base columns need the two base rules for every row, so only the other rules are ordered there. ``keep_good`` orders all rules and keeps all columns of
+docs, whatever their names.
 """
 
 from __future__ import annotations
@@ -19,11 +22,12 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from finegrain.llm.common import bounded
 
-SAMPLE_ROWS = 200
+SAMPLE_FIRST, SAMPLE_EACH = 16, 128
 MIN_WORDS = 10
 WINDOW = 5
 SYMBOLS = b"#*$%&|<>"
@@ -92,12 +96,14 @@ class Measured:
         return self._count(b"abcdefghijklmnopqrstuvwxyz")
 
 
+Rules = dict[str, Callable[["Measured"], bool]]
+
 #: A rule is true for a document that it rejects.
-BASE_RULES: dict[str, Callable[[Measured], bool]] = {
+BASE_RULES: Rules = {
     "few_words": lambda m: m.n_words < MIN_WORDS,
     "repeated_windows": lambda m: 100 * m.n_repeat_words > 20 * m.n_words,
 }
-RULES: dict[str, Callable[[Measured], bool]] = {
+RULES: Rules = {
     "symbols": lambda m: 10 * m.n_symbols > m.n_words,
     "short_words": lambda m: m.word_chars < 2 * m.n_words,
     "long_words": lambda m: m.word_chars > 25 * m.n_words,
@@ -107,21 +113,59 @@ RULES: dict[str, Callable[[Measured], bool]] = {
 }
 
 
-def estimate(docs: DataFrame, rules: dict[str, Callable[[Measured], bool]], sample_rows: int = SAMPLE_ROWS) -> dict[str, tuple[float, float]]:
-    """For each rule the share it rejects and its seconds a document, over the first sample_rows rows that come.
+class Cascade:
+    """The rules of a task, in the order of what its sampled rows have shown so far."""
+
+    def __init__(self, rules: Rules, order: list[str] | None = None):
+        self.rules, self.fixed, self.order = rules, order is not None, list(order or rules)
+        self.seen, self.sampled = 0, 0
+        self.gone, self.spent = dict.fromkeys(rules, 0), dict.fromkeys(rules, 0.0)
 
-    Rows are taken as a preview takes them: partitions are read until there are enough, nothing is shuffled.
-    """
-    spent, gone = dict.fromkeys(rules, 0.0), dict.fromkeys(rules, 0)
-    texts = [row[0] for row in docs.select("text").limit(sample_rows).collect()]
-    for text in texts:
-        for name, rule in rules.items():
-            m = Measured(text)  # anew: what one rule computes must not make the next look cheap
+    def sample(self, text: str | None) -> list[str]:
+        """The rules that reject a text: all are tried, each from the bare text on, so that none looks cheap for what another has measured."""
+        out = []
+        for name, rule in self.rules.items():
+            m = Measured(text)
             began = time.perf_counter()
-            gone[name] += rule(m)
-            spent[name] += time.perf_counter() - began
-    n = max(len(texts), 1)
-    return {r: (gone[r] / n, spent[r] / n) for r in rules}
+            rejects = rule(m)
+            self.spent[name] += time.perf_counter() - began
+            if rejects:
+                self.gone[name] += 1
+                out.append(name)
+        self.sampled += 1
+        return out
+
+    def estimates(self) -> dict[str, tuple[float, float]]:
+        """For each rule the share it rejects and its seconds a document."""
+        n = max(self.sampled, 1)
+        return {r: (self.gone[r] / n, self.spent[r] / n) for r in self.rules}
+
+    def rejects(self, m: Measured) -> bool:
+        self.seen += 1
+        if not self.fixed and (self.seen <= SAMPLE_FIRST or self.seen % SAMPLE_EACH == 0):
+            found = self.sample(m.text)
+            self.order = cascade_order(self.estimates())
+            return bool(found)
+        return first_rejection(m, self.order, self.rules) is not None
+
+
+def estimates(docs: DataFrame, rules: Rules | None = None, one_of: int = SAMPLE_EACH) -> DataFrame:
+    """rule, rows, rejected, seconds over a sample of docs, one of ``one_of`` rows by a hash of doc_id and text; measured in the tasks."""
+    rules = BASE_RULES | RULES if rules is None else rules
+    schema = "rule string, rows long, rejected long, seconds double"
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cascade = Cascade(rules)
+        for batch in batches:
+            for text in batch.column(0):
+                cascade.sample(text.as_py())
+        names = list(rules)
+        columns = [pa.array(names), pa.array([cascade.sampled] * len(names)), pa.array([cascade.gone[r] for r in names]), pa.array([cascade.spent[r] for r in names])]
+        yield pa.RecordBatch.from_arrays(columns, names=["rule", "rows", "rejected", "seconds"])
+
+    sample = bounded(docs).where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(one_of)) == 0).select("text")
+    sums = sample.mapInArrow(run, schema).groupBy("rule")
+    return sums.agg(F.sum("rows").alias("rows"), F.sum("rejected").alias("rejected"), F.sum("seconds").alias("seconds"))
 
 
 def cascade_order(estimates: dict[str, tuple[float, float]]) -> list[str]:
@@ -129,21 +173,21 @@ def cascade_order(estimates: dict[str, tuple[float, float]]) -> list[str]:
     return sorted(estimates, key=lambda r: (-estimates[r][0] / max(estimates[r][1], 1e-9), estimates[r][1], r))
 
 
-def first_rejection(m: Measured, order: list[str], rules: dict[str, Callable[[Measured], bool]]) -> str | None:
+def first_rejection(m: Measured, order: list[str], rules: Rules) -> str | None:
     return next((name for name in order if rules[name](m)), None)
 
 
 def measured(docs: DataFrame, order: list[str] | None = None) -> DataFrame:
     """doc_id, the five measures, base_failed, kept: for documents that pass the base rules, the cascade's verdict."""
-    order = order or cascade_order(estimate(docs, RULES))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cascade = Cascade(RULES, order)
         for batch in batches:
             rows = []
             for text in batch.column(1):
                 m = Measured(text.as_py())
                 failed = any(rule(m) for rule in BASE_RULES.values())
-                rows.append([*(getattr(m, x) for x in MEASURES), failed, not failed and first_rejection(m, order, RULES) is None])
+                rows.append([*(getattr(m, x) for x in MEASURES), failed, not failed and not cascade.rejects(m)])
             columns = [list(c) for c in zip(*rows, strict=True)] or [[]] * 7
             kinds = [pa.int64()] * 5 + [pa.bool_()] * 2
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], names=["doc_id", *MEASURES, "base_failed", "kept"])
@@ -154,13 +198,12 @@ def measured(docs: DataFrame, order: list[str] | None = None) -> DataFrame:
 
 def keep_good(docs: DataFrame, order: list[str] | None = None) -> DataFrame:
     """The rows of docs, unchanged, that no rule rejects: all rules in one cascade, nothing computed twice."""
-    rules = BASE_RULES | RULES
-    order = order or cascade_order(estimate(docs, rules))
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cascade = Cascade(BASE_RULES | RULES, order)
         for batch in batches:
-            good = [first_rejection(Measured(t.as_py()), order, rules) is None for t in batch.column(at)]
+            good = [not cascade.rejects(Measured(t.as_py())) for t in batch.column(at)]
             yield batch.filter(pa.array(good, pa.bool_()))
 
     return bounded(docs).mapInArrow(run, T.StructType(docs.schema.fields))
