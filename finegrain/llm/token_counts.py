@@ -10,7 +10,9 @@ this prefix" and "how much fits a budget" without encoding again.
 ``PrefixCounter`` keeps what it found for prefixes, pairs and pieces, so pieces that begin alike share their beginnings'
 work (a table that is full is emptied, which bounds memory and changes no result). A special token inside a text is one token, as the library has it.
 
-A null text is empty: 0 tokens. Every row is its own; nothing is shuffled. An empty table gives no rows.
+A null text is empty: 0 tokens. Every row is its own, so repeated rows and ties get equal results; nothing is shuffled. An empty table gives no
+rows. Very long texts are counted whole, with some 60 bytes for each piece; a very long piece (a text without blanks) takes time in
+proportion to its length, as an automaton tells which tokens end at each of its bytes. Only doc_id and text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -69,6 +71,7 @@ class PrefixCounter:
         self.pairs: dict[int, bool] = {}
         self.nodes: dict[bytes, int] = {}  # prefix -> its tokens << 17 | its last token
         self.pieces: dict[str, int] = {}
+        self.automaton = None
 
     def compatible(self, left: int, right: int) -> bool:
         """Whether two tokens side by side stay two: no merge across their border comes before the merges that made them.
@@ -124,15 +127,34 @@ class PrefixCounter:
                     break
         return nodes[piece]
 
+    def endings(self):
+        """An automaton that tells which tokens end at each byte, longest first; built when the first long piece comes."""
+        if self.automaton is None:
+            import ahocorasick
+
+            self.automaton = ahocorasick.Automaton(ahocorasick.STORE_ANY)
+            for raw, token in self.numbers.items():
+                self.automaton.add_word(raw.decode("latin-1"), (len(raw), token))
+            self.automaton.make_automaton()
+        return self.automaton
+
     def long_piece(self, piece: bytes) -> list[int]:
         """As node, for each prefix of a long piece: kept by length, as keeping the prefixes would take its square."""
-        out = [0]
-        for end in range(1, len(piece) + 1):
-            for start in range(max(0, end - self.longest), end):
-                token = self.numbers.get(piece[start:end])
-                if token is not None and (start == 0 or self.compatible(out[start] & 0x1FFFF, token)):
-                    out.append(((out[start] >> 17) + 1) << 17 | token)
-                    break
+        out, pairs = [0], self.pairs
+        for last, (size, token) in self.endings().iter(piece.decode("latin-1")):
+            if len(out) > last + 1:
+                continue  # its last token is known
+            before = out[last + 1 - size]
+            if size <= last:
+                key = (before & 0x1FFFF) << 17 | token
+                fits = pairs.get(key)
+                if fits is None:
+                    if len(pairs) >= PAIRS:
+                        pairs.clear()
+                    fits = pairs[key] = self.compatible(before & 0x1FFFF, token)
+                if not fits:
+                    continue
+            out.append(((before >> 17) + 1) << 17 | token)
         return out
 
     def byte_prefixes(self, piece: bytes) -> list[int]:
@@ -234,14 +256,29 @@ class PrefixCounter:
         return out
 
     def fit(self, text: str | None, budget: int) -> int:
-        """Characters of the longest prefix ending at a piece's end that has ``budget`` tokens at most."""
+        """Characters of the longest prefix of whole pieces, and of a part of the next one, that has ``budget`` tokens at most."""
         ends, counts = self.marks(text or "")
         i = bisect_right(counts, budget)
-        return ends[i - 1] if i else 0
+        at = ends[i - 1] if i else 0
+        return at if i == len(ends) else at + self.part(text[at : ends[i]], budget - (counts[i - 1] if i else 0))
+
+    def part(self, piece: str, budget: int) -> int:
+        """Characters of the longest proper prefix of a piece that has ``budget`` tokens at most.
+
+        0 for blanks, contractions and special tokens: cut short, these would be other pieces.
+        """
+        if budget <= 0 or piece.isspace() or piece[0] == "'" or piece in self.special:
+            return 0
+        tokens, found, size = self.byte_prefixes(piece.encode("utf-8", "surrogatepass")), 0, 0
+        for n, c in enumerate(piece[:-1], 1):
+            size += len(c.encode("utf-8", "surrogatepass"))
+            if tokens[size] <= budget and (n > 1 or c != " "):
+                found = n
+        return found
 
 
 def token_counts(docs: DataFrame, path: str, budget: int = LIMIT, prefixes: bool = False) -> DataFrame:
-    """doc_id, n_bytes, n_tokens, over_limit, fit_chars (longest prefix of whole pieces within the budget) and, if asked for,
+    """doc_id, n_bytes, n_tokens, over_limit, fit_chars (longest prefix within the budget, see ``PrefixCounter.fit``) and, if asked for,
     prefix_tokens: the count at every prefix, by its length in characters from 0."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -262,6 +299,7 @@ def token_counts(docs: DataFrame, path: str, budget: int = LIMIT, prefixes: bool
                 if total > budget:
                     i = bisect_right(counts, budget)
                     fit = (ends[i - 1] if ends else sum(map(len, pieces[:i]))) if i else 0
+                    fit += counter.part(text[fit : ends[i]] if ends else pieces[i], budget - (counts[i - 1] if i else 0))
                 else:
                     fit = len(text)
                 sizes.append(raw)
