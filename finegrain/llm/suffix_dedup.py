@@ -7,8 +7,9 @@ with a smaller doc_id.
 equal anchors, and neighbouring windows mostly share one, so a document is a row of pieces (windows with one
 anchor, side by side). First chunks of documents ask which of their anchors occur in other chunks; only pieces
 with a shared anchor take part further: each distinct piece of a chunk goes, once, to the bucket of its anchor, with the least doc_id that
-has it. An anchor with very many different pieces (the edges of a passage that very many documents
-have) is dealt by the windows themselves instead, so no bucket has to hold them all.
+has it. An anchor with very many different pieces (more than ``HOT_PIECES``: the edges of a passage that very many documents
+have) is dealt by the windows themselves instead, so no bucket has to hold them all; such a window is a string of its own that meets its equals by its
+hash and bytes, and has no suffixes to sort.
 
 *Sorting.* A bucket puts its distinct pieces in one string, each ended by a terminator, and sorts the suffixes in two
 stages: the suffixes smaller than their successors are sorted directly, by their first bytes; all others follow by one
@@ -20,7 +21,8 @@ least doc_id of a class is where the string starts first.
 
 Null doc_ids come after all others and aren't smaller than one another; equal doc_ids aren't smaller either: rows that
 repeat keep their text. Null and empty texts, and texts shorter than LENGTH, lose nothing. An empty table gives no
-rows. Periodic texts of any length make pieces of ``RUN`` windows at most.
+rows. Periodic texts of any length make pieces of ``RUN`` windows at most. A very long text is one chunk, with about 15 bytes of memory for each of its
+bytes. Only doc_id and text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -43,6 +45,7 @@ HOT_PIECES = 4096
 BUCKET_BYTES = 1 << 20
 BLOCK = 1 << 18
 SORT_BYTES = 1 << 19
+PIECES_AT_ONCE = 1 << 16
 LAST = np.int64(2**63 - 1)
 
 
@@ -56,6 +59,11 @@ def words_at(raw: bytes) -> np.ndarray:
     return out[:n]
 
 
+def words_of(raw: bytes) -> np.ndarray:
+    """As words_at, without a copy: a view of each position's eight bytes, to be picked from."""
+    return np.ndarray((len(raw),), "<u8", raw + bytes(8), 0, (1,))
+
+
 def gram_hashes(words: np.ndarray) -> np.ndarray:
     """A hash of the GRAM (16) bytes from each position on."""
     later = np.zeros_like(words)
@@ -240,7 +248,7 @@ def taking_part(chunk: Chunk, replies: dict[int, bytes], buckets: int) -> Part:
     mine = said[np.searchsorted(keys, anchor)] if len(keys) else np.zeros(0, np.uint8)
     chosen = np.flatnonzero(mine & 1)
     start, count, doc, anchor, hot = start[chosen], count[chosen], doc[chosen], anchor[chosen], mine[chosen] > 1
-    words = words_at(chunk.body)
+    words = words_of(chunk.body)
     piece, member, least, _ = distinct(words, start, count + LENGTH - 1, owner_ids(chunk)[doc])
     at, windows, by_window = start[member], count[member], hot[member]
     plain = ~by_window
@@ -370,7 +378,7 @@ def answer_pieces(payloads: list[bytes]) -> list[bytes]:
     del parts
     size = size.astype(np.int64)
     begin = np.cumsum(size) - size
-    number, member, least, _ = distinct(words_at(raw.tobytes()), begin, size, least)
+    number, member, least, _ = distinct(words_of(raw.tobytes()), begin, size, least)
     order = np.argsort(key[member], kind="stable")  # pieces of one anchor side by side
     member, least = member[order], least[order]
     rank = np.empty(len(order), np.int64)
@@ -406,18 +414,21 @@ def removed_bytes(chunk: Chunk, shared: dict[int, bytes], firsts: dict[int, byte
     diff = np.zeros(len(chunk.body) + 1, np.int32)
     if len(part.piece):
         first_of = np.concatenate([unpack_arrays(firsts[b], np.int64)[0] for b, _ in slices(part.buckets)])
-        step = within(part.count)
-        first = first_of[part.answers[np.repeat(part.offset[part.piece], part.count) + step]]
-        where = (np.repeat(part.start, part.count) + step)[first < np.repeat(owner_ids(chunk)[part.doc], part.count)]
-        diff[where] += 1
-        diff[where + LENGTH] -= 1
-    return np.cumsum(diff[:-1]) > 0
+        owner = owner_ids(chunk)
+        edges = np.append(np.arange(0, len(part.piece), PIECES_AT_ONCE), len(part.piece))
+        for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+            count, step = part.count[a:b], within(part.count[a:b])
+            first = first_of[part.answers[np.repeat(part.offset[part.piece[a:b]], count) + step]]
+            where = (np.repeat(part.start[a:b], count) + step)[first < np.repeat(owner[part.doc[a:b]], count)]
+            diff[where] += 1
+            diff[where + LENGTH] -= 1
+    return np.cumsum(diff[:-1], dtype=np.int32) > 0
 
 
 def cut_repeats(docs: DataFrame, with_kept: bool = False, chunk_bytes: int = CHUNK_BYTES, bucket_bytes: int = BUCKET_BYTES) -> DataFrame:
     """doc_id, n_bytes, spans (removed byte ranges), kept_sha256 and, if asked for, kept (the bytes that stay).
 
-    Chunks and buckets set the memory of a task (about 60 bytes for each byte of a chunk, 100 for each of a bucket) and
+    Chunks and buckets set the memory of a task (about 15 bytes for each byte of a chunk, 100 for each of a bucket) and
     the number of rows that are exchanged, chunks times buckets at most: larger executors should have larger ones.
     """
     chunks = pack(docs, size=chunk_bytes)
