@@ -254,7 +254,7 @@ def chunk_words(chunk: Chunk) -> list[list[bytes]]:
 
 def dealt_words(texts: list[list[bytes]], buckets: int) -> tuple[list[bytes], np.ndarray]:
     """The distinct words, ordered by bucket, and their buckets: the same whenever a chunk is read."""
-    words = sorted(set().union(*texts))
+    words = list(dict.fromkeys(chain.from_iterable(texts)))
     bucket = np.fromiter((crc * buckets >> 32 for crc in map(zlib.crc32, words)), np.int64, len(words))
     order = np.argsort(bucket, kind="stable")
     return [words[i] for i in order.tolist()], bucket[order]
