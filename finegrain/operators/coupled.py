@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from finegrain.operators.cpd import als, balanced, random_factors
 from finegrain.operators.identifiability import rank_bound
-from finegrain.operators.kernels import ViewKernel, others_gram, solve_rows
+from finegrain.operators.kernels import ViewKernel, blocks, denominators, others_gram, solve_rows
 from finegrain.operators.views import View
 
 CP_ITERATIONS, ITERATIONS = 10, 10
@@ -35,6 +35,11 @@ class Fit:
     def rank(self) -> int:
         return next(iter(self.factors.values())).shape[1]
 
+    @property
+    def monotone(self) -> bool:
+        """Whether no block update has raised the loss of the views that have the block."""
+        return all(t["loss"] <= t["before"] * (1 + 1e-9) + 1e-9 for t in self.trace if "before" in t)
+
     @property
     def losses(self) -> list[float]:
         return [t["loss"] for t in self.trace]
@@ -77,10 +82,8 @@ def half_gradient(kernels: list[ViewKernel], factors: dict[str, np.ndarray], nam
     Each view's sums come in coarse rows; groupings spread them to members afterwards, which moves the fewer numbers.
     """
     half, loss, cells = np.zeros_like(factors[name]), 0.0, 0
-    for kernel in kernels:
-        if (mode := kernel.mode_of(name)) is None:
-            continue
-        s = kernel.block(factors, mode)
+    members = [(k, mode) for k in kernels if (mode := k.mode_of(name)) is not None]
+    for (kernel, mode), s in zip(members, blocks(members, factors), strict=True):
         g = kernel.view.groupings.get(mode)
         half += kernel.view.weight * (g.back(s.half) if g else s.half)
         loss += kernel.view.weight * s.loss
@@ -90,15 +93,18 @@ def half_gradient(kernels: list[ViewKernel], factors: dict[str, np.ndarray], nam
     return half, loss, cells
 
 
+def model_squares(kernels: list[ViewKernel], factors: dict[str, np.ndarray], name: str, direction: np.ndarray, penalty: SumPenalty | None = None) -> float:
+    """The views' squared norm of the model with ``direction`` in place of a factor, and the penalty's."""
+    grouped = lambda k, mode: g.apply(direction) if (g := k.view.groupings.get(mode)) else direction
+    members = [(k, mode, grouped(k, mode)) for k in kernels if (mode := k.mode_of(name)) is not None]
+    out = sum(k.view.weight * x for (k, _, _), x in zip(members, denominators(members, factors), strict=True))
+    return out + (penalty.squares(name, direction) if penalty else 0.0)
+
+
 def exact_step(kernels: list[ViewKernel], factors: dict[str, np.ndarray], name: str, gradient: np.ndarray, penalty: SumPenalty | None = None) -> tuple[float, float, float]:
     """The best step along the negative gradient, its numerator and denominator."""
     top = 0.5 * float((gradient**2).sum())
-    below = penalty.squares(name, gradient) if penalty else 0.0
-    for kernel in kernels:
-        if (mode := kernel.mode_of(name)) is None:
-            continue
-        g = kernel.view.groupings.get(mode)
-        below += kernel.view.weight * kernel.denominator(factors, mode, g.apply(gradient) if g else gradient)
+    below = model_squares(kernels, factors, name, gradient, penalty)
     return (top / below if below > 0 else 0.0), top, below
 
 
@@ -112,11 +118,12 @@ def descend(kernels: list[ViewKernel], factors: dict[str, np.ndarray], order: tu
             gradient = 2 * half
             step, top, below = exact_step(kernels, factors, name, gradient, penalty)
             new = factors[name] - step * gradient
-            after = loss + (penalty.value(factors) if penalty else 0.0) - (top**2 / below if below > 0 else 0.0)
+            whole = loss + (penalty.value(factors) if penalty else 0.0)
+            after = whole - (top**2 / below if below > 0 else 0.0)
             if nonneg:
-                new, after, step = _projected(kernels, factors, name, gradient, step, loss)
+                new, after, step = _projected(kernels, factors, name, half, step, loss)
             factors = factors | {name: new}
-            trace.append({"iter": it, "block": name, "loss": after, "reg": penalty.value(factors) if penalty else 0.0, "step": step, "grad_sq": 2 * top, "cells": cells})
+            trace.append({"iter": it, "block": name, "before": whole, "loss": after, "reg": penalty.value(factors) if penalty else 0.0, "step": step, "grad_sq": 2 * top, "cells": cells})
         if rebalance:
             factors = balanced(factors)
         if tol is not None and before is not None and before - after <= tol * max(before, 1e-300):
@@ -125,13 +132,17 @@ def descend(kernels: list[ViewKernel], factors: dict[str, np.ndarray], order: tu
     return factors, trace
 
 
-def _projected(kernels, factors, name, gradient, step, loss) -> tuple[np.ndarray, float, float]:
-    """A projected step; the line's best step may overshoot after the projection, so it is halved while the loss grows."""
+def _projected(kernels, factors, name, half, step, loss) -> tuple[np.ndarray, float, float]:
+    """A projected step; the line's best step may overshoot after the projection, so it is halved while the loss grows.
+
+    The loss after a move is the loss, twice the move's product with half the gradient, and the squared norm of the move's model: nothing else is read.
+    """
     for _ in range(20):
-        new = np.maximum(factors[name] - step * gradient, 0)
-        after = half_gradient(kernels, factors | {name: new}, name)[1]
+        new = np.maximum(factors[name] - 2 * step * half, 0)
+        move = new - factors[name]
+        after = loss + 2 * float((half * move).sum()) + model_squares(kernels, factors, name, move)
         if after <= loss * (1 + 1e-12):
-            return new, after, step
+            return new, max(after, 0.0), step
         step /= 2
     return factors[name], loss, 0.0
 
@@ -170,7 +181,7 @@ def init_coupled(view_t: View, view_c: View, rank: int, init: str = "auto", cp_i
     if init == "random":
         return random_factors(view_t.shape, rank, seed, view_t.modes), "random", 0
     if len(view_t.shape) != 3:
-        raise ValueError("cubes of more than three modes start from random or given factors")
+        return _init_many_modes(view_t, view_c, rank, cp_iterations, seed, nonneg)
     branch = choose_branch(view_t, view_c, init)
     if branch == "contemporaneous":
         if view_c.groupings.get("j") is not None:
@@ -185,6 +196,17 @@ def init_coupled(view_t: View, view_c: View, rank: int, init: str = "auto", cp_i
     return factors | {mode: third_factor(other, factors, mode)}, branch, cp.passes + other.passes
 
 
+def _init_many_modes(view_t: View, view_c: View, rank: int, cp_iterations: int, seed: int, nonneg: bool) -> tuple[dict[str, np.ndarray], str, int]:
+    """As the temporal branch, for any number of modes: the mode that the first view groups, and the second doesn't, is solved for from the second."""
+    grouped = [m for m in view_t.modes if view_t.groupings.get(m) is not None]
+    if len(grouped) != 1 or view_c.groupings.get(grouped[0]) is not None:
+        raise ValueError("a start for more than three modes needs a first view with one grouped mode, which the second one leaves whole")
+    mode = grouped[0]
+    cp, other = als(view_t, rank, cp_iterations, seed=seed, nonneg=nonneg), ViewKernel(view_c)
+    factors = cp.factors | {mode: np.zeros((view_t.shape[view_t.modes.index(mode)], rank))}
+    return factors | {mode: third_factor(other, factors, mode)}, "temporal", cp.passes + other.passes
+
+
 def fit_coupled(views: list[View], rank: int, max_iter: int = ITERATIONS, tol: float | None = None, init: str = "auto", cp_iterations: int = CP_ITERATIONS, seed: int = 0, nonneg: bool = False, start: dict[str, np.ndarray] | None = None, placed: bool = False) -> Fit:
     """Factors of the fine cube from two views (temporal first, then contemporaneous) or more.
 

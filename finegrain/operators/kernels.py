@@ -36,23 +36,43 @@ def check_size(factors: dict[str, np.ndarray]) -> None:
         raise ValueError(f"factors of {size} bytes exceed the {FACTOR_BYTES} that are broadcast")
 
 
-def cell_pass(cells: DataFrame, coarse: dict[str, np.ndarray], mode: str, values: str = "residual") -> Sums:
-    """For each index of ``mode`` the sum over its cells of e times the product of the other modes' factor rows.
+@dataclass
+class Pass:
+    """A pass over cells: for each index of ``mode`` the sum over its cells of e times the product of the other modes' factor rows.
 
     values: e is model minus value ("residual"), the value ("raw"), or the model ("model", for cells without values).
-    squares is the sum of e squared.
     """
-    check_size(coarse)
-    spark = cells.sparkSession
-    shared = spark.sparkContext.broadcast(coarse)
-    rank = next(iter(coarse.values())).shape[1]
-    modes = list(coarse)
+
+    cells: DataFrame
+    coarse: dict[str, np.ndarray]
+    mode: str
+    values: str = "residual"
+
+
+def tagged(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.RecordBatch]]:
+    """Batches of one pass each; Spark may put partitions of a union together."""
+    for batch in batches:
+        tags = batch.column("pass").to_numpy()
+        for tag in np.unique(tags).tolist():
+            yield tag, batch if (tags == tag).all() else batch.filter(pa.array(tags == tag))
+
+
+def cell_passes(passes: list[Pass]) -> list[Sums]:
+    """Several passes (of one rank, over cells of the same modes) as one job, over their cells tagged by pass."""
+    if not passes:
+        return []
+    for p in passes:
+        check_size(p.coarse)
+    modes, rank = list(passes[0].coarse), next(iter(passes[0].coarse.values())).shape[1]
+    sc = passes[0].cells.sparkSession.sparkContext
+    shared = sc.broadcast([(p.coarse, p.mode, p.values) for p in passes])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        f = shared.value
-        n = len(f[mode])
-        sums, touched, squares, seen = np.zeros((n, rank)), np.zeros(n, bool), 0.0, 0
-        for batch in batches:
+        held: dict[int, list] = {}
+        for tag, batch in tagged(batches):
+            f, mode, values = shared.value[tag]
+            n = len(f[mode])
+            own = held.setdefault(tag, [np.zeros((n, rank)), np.zeros(n, bool), 0.0, 0])
             at = {m: batch.column(m).to_numpy() for m in modes}
             others = reduce(np.multiply, [f[m][at[m]] for m in modes if m != mode])
             if values == "raw":
@@ -61,32 +81,38 @@ def cell_pass(cells: DataFrame, coarse: dict[str, np.ndarray], mode: str, values
                 e = np.einsum("nr,nr->n", others, f[mode][at[mode]])
                 if values == "residual":
                     e = e - batch.column("v").to_numpy()
-            index = at[mode]
             for r in range(rank):
-                sums[:, r] += np.bincount(index, e * others[:, r], n)
-            touched[index] = True
-            squares += float(e @ e)
-            seen += batch.num_rows
-        where = np.flatnonzero(touched)
-        table = np.vstack([sums[where], np.append([squares, seen], np.zeros(max(rank - 2, 0)))[:rank] if rank > 1 else [[squares]]])
-        index = np.append(where, -1)
-        if rank == 1:
-            table, index = np.vstack([table, [[seen]]]), np.append(index, -2)
-        yield pa.RecordBatch.from_arrays([pa.array(index), *(pa.array(table[:, r]) for r in range(rank))], names=["idx", *(f"g{r}" for r in range(rank))])
-
-    columns = ["v"] if values != "model" else []
-    partial = cells.select(*modes, *columns).mapInArrow(run, "idx long, " + ", ".join(f"g{r} double" for r in range(rank)))
-    got = partial.groupBy("idx").agg(*(F.sum(f"g{r}").alias(f"g{r}") for r in range(rank))).toArrow()
+                own[0][:, r] += np.bincount(at[mode], e * others[:, r], n)
+            own[1][at[mode]] = True
+            own[2] += float(e @ e)
+            own[3] += batch.num_rows
+        for tag, (sums, touched, squares, seen) in held.items():
+            where = np.flatnonzero(touched)
+            zeros = np.zeros(len(where))
+            columns = [np.full(len(where) + 1, tag, np.int32), np.append(where, -1), *(np.append(sums[where, r], 0.0) for r in range(rank)), np.append(zeros, squares), np.append(zeros, seen).astype(np.int64)]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["pass", "idx", *rows, "squares", "seen"])
+
+    rows = [f"g{r}" for r in range(rank)]
+    frames = [p.cells.select(F.lit(n).alias("pass"), *modes, (F.lit(0.0) if p.values == "model" else F.col("v")).alias("v")) for n, p in enumerate(passes)]
+    partial = reduce(DataFrame.unionByName, frames).mapInArrow(run, "pass int, idx long, " + ", ".join(f"{g} double" for g in rows) + ", squares double, seen long")
+    got = partial.groupBy("pass", "idx").agg(*(F.sum(c).alias(c) for c in [*rows, "squares", "seen"])).toArrow()
     shared.unpersist()
-    index, table = got.column("idx").to_numpy(), np.stack([got.column(f"g{r}").to_numpy() for r in range(rank)], 1) if got.num_rows else np.zeros((0, rank))
-    out = Sums(np.zeros((len(coarse[mode]), rank)))
-    out.rows[index[index >= 0]] = table[index >= 0]
-    if (index == -1).any():
-        out.squares = float(table[index == -1][0, 0])
-        out.cells = int(table[index == -1][0, 1] if rank > 1 else table[index == -2][0, 0])
+    tags, index, squares, seen = (got.column(c).to_numpy() for c in ("pass", "idx", "squares", "seen"))
+    table = np.stack([got.column(g).to_numpy() for g in rows], 1)
+    out = []
+    for n, p in enumerate(passes):
+        mine, whole = (tags == n) & (index >= 0), (tags == n) & (index < 0)
+        sums = np.zeros((len(p.coarse[p.mode]), rank))
+        sums[index[mine]] = table[mine]
+        out.append(Sums(sums, float(squares[whole].sum()), int(seen[whole].sum())))
     return out
 
 
+def cell_pass(cells: DataFrame, coarse: dict[str, np.ndarray], mode: str, values: str = "residual") -> Sums:
+    """One pass; squares is the sum of e squared."""
+    return cell_passes([Pass(cells, coarse, mode, values)])[0]
+
+
 def direction_squares(cells: DataFrame, coarse: dict[str, np.ndarray], mode: str, direction: np.ndarray) -> float:
     """The sum over cells of the squared model with ``direction`` in place of the mode's factor."""
     return cell_pass(cells.select(*coarse), coarse | {mode: direction}, mode, "model").squares
@@ -154,18 +180,24 @@ class ViewKernel:
         return next((m for m, n in self.names.items() if n == name), None)
 
     def block(self, factors: dict[str, np.ndarray], mode: str) -> BlockSums:
+        return blocks([(self, mode)], factors)[0]
+
+    def block_passes(self, factors: dict[str, np.ndarray], mode: str) -> list[Pass]:
+        """What a block's update reads of this view."""
         f = self.coarse(factors)
-        self.passes += 1
+        own = [Pass(self.view.cells, f, mode, "residual" if self.plan == "observed" else "raw")]
+        return own + ([Pass(self.view.holes, f, mode, "model")] if self.plan == "complement" else [])
+
+    def block_of(self, factors: dict[str, np.ndarray], mode: str, sums: list[Sums]) -> BlockSums:
+        self.passes += len(sums)
+        s = sums[0]
         if self.plan == "observed":
-            s = cell_pass(self.view.cells, f, mode)
             return BlockSums(s.rows, s.squares, s.cells)
-        s = cell_pass(self.view.cells, f, mode, "raw")
+        f = self.coarse(factors)
         g = others_gram(f, mode)
         half = f[mode] @ g - s.rows
         loss = float((gram(f[mode]) * g).sum()) - 2 * float((f[mode] * s.rows).sum()) + self.squares
-        if self.plan == "complement":
-            self.passes += 1
-            h = cell_pass(self.view.holes, f, mode, "model")
+        for h in sums[1:]:
             half, loss = half - h.rows, loss - h.squares
         return BlockSums(half, max(loss, 0.0), s.cells)
 
@@ -176,15 +208,35 @@ class ViewKernel:
 
     def denominator(self, factors: dict[str, np.ndarray], mode: str, direction: np.ndarray) -> float:
         """Squared norm of the model with a (coarse) direction in one block, over the view's observed cells."""
-        f = self.coarse(factors)
+        return self.denominator_of(factors, mode, direction, cell_passes(self.denominator_passes(factors, mode, direction)))
+
+    def denominator_passes(self, factors: dict[str, np.ndarray], mode: str, direction: np.ndarray) -> list[Pass]:
+        """What that reads of this view: nothing where Gram matrices stand for all cells."""
+        if self.plan == "gram":
+            return []
+        cells = self.view.cells if self.plan == "observed" else self.view.holes
+        return [Pass(cells, self.coarse(factors) | {mode: direction}, mode, "model")]
+
+    def denominator_of(self, factors: dict[str, np.ndarray], mode: str, direction: np.ndarray, sums: list[Sums]) -> float:
+        self.passes += len(sums)
         if self.plan == "observed":
-            self.passes += 1
-            return direction_squares(self.view.cells, f, mode, direction)
-        out = float((gram(direction) * others_gram(f, mode)).sum())
-        if self.plan == "complement":
-            self.passes += 1
-            out -= direction_squares(self.view.holes, f, mode, direction)
-        return max(out, 0.0)
+            return sums[0].squares
+        out = float((gram(direction) * others_gram(self.coarse(factors), mode)).sum())
+        return max(out - sum(s.squares for s in sums), 0.0)
 
     def loss(self, factors: dict[str, np.ndarray]) -> float:
         return self.block(factors, self.view.modes[0]).loss
+
+
+def blocks(members: list[tuple[ViewKernel, str]], factors: dict[str, np.ndarray]) -> list[BlockSums]:
+    """The block sums of several views, each with the mode that the block is in it, in one job."""
+    wanted = [k.block_passes(factors, mode) for k, mode in members]
+    sums = iter(cell_passes([p for w in wanted for p in w]))
+    return [k.block_of(factors, mode, [next(sums) for _ in w]) for (k, mode), w in zip(members, wanted, strict=True)]
+
+
+def denominators(members: list[tuple[ViewKernel, str, np.ndarray]], factors: dict[str, np.ndarray]) -> list[float]:
+    """The denominators of several views, each with the block's mode and coarse direction, in one job (or none)."""
+    wanted = [k.denominator_passes(factors, mode, d) for k, mode, d in members]
+    sums = iter(cell_passes([p for w in wanted for p in w]))
+    return [k.denominator_of(factors, mode, d, [next(sums) for _ in w]) for (k, mode, d), w in zip(members, wanted, strict=True)]
