@@ -18,6 +18,8 @@ from pyspark.sql import functions as F
 from finegrain.operators.groupings import Grouping
 from finegrain.operators.views import View
 
+#: What a task may hold for one part; a larger part is refused before anything runs.
+BLOCK_BYTES = 4 << 30
 LAMBDAS = (0.01, 0.1, 1.0, 10.0)
 
 
@@ -131,7 +133,7 @@ class Members:
 def ls_blocks(view_t: View, view_c: View, method: str = "min_norm", lam: float = 1.0, sparse: float = 1.0, nonneg: bool = True, iterations: int = 60) -> DataFrame:
     """i, j, k, v of all fine cells of the parts that have data. method: min_norm, smooth or sparse.
 
-    First-mode groups that overlap or leave members out make parts of the whole first mode.
+    First-mode groups that overlap or leave members out make parts of the whole first mode. Parts beyond BLOCK_BYTES are refused.
     """
     if method not in ("min_norm", "smooth", "sparse"):
         raise ValueError(f"method is min_norm, smooth or sparse, not {method!r}")
@@ -142,6 +144,9 @@ def ls_blocks(view_t: View, view_c: View, method: str = "min_norm", lam: float =
     if len(np.unique(v.member)) != len(v.member):
         raise ValueError("second-mode groups that overlap don't fall apart into blocks")
     apart = u.is_partition()
+    largest = (int(u.sizes().max(initial=0)) if apart else n_i) * int(v.sizes().max(initial=0)) * w.n_members
+    if 48 * largest > BLOCK_BYTES:  # the solvers hold six arrays of a part's fine cells
+        raise ValueError(f"a part of {largest} fine cells is more than one task should hold ({BLOCK_BYTES} bytes): finer groups are needed, or first-mode groups that partition the mode")
     first, second = Members(u) if apart else None, Members(v)
     t = view_t.cells.join(F.broadcast(spark.createDataFrame(pa.table({"j": v.member, "pj": v.grp}))), "j")
     if apart:

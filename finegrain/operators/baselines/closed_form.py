@@ -1,77 +1,90 @@
-"""Estimators in closed form: plain aggregations and joins, nothing iterative."""
+"""Estimators in closed form: plain aggregations and joins, nothing iterative.
+
+Every view is looked up on the one frame of keys, group by group: the frame is never joined with itself, and coarse views that Spark finds small
+enough are broadcast, so that the fine cells need not move at all.
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from dataclasses import replace
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from finegrain.operators.groupings import Grouping
 from finegrain.operators.views import View
 
 
-def with_groups(keys: DataFrame, groupings: dict[str, Grouping | None]) -> DataFrame:
-    """keys with the group ``i_g, j_g, k_g`` of each index and the total weight ``i_n, j_n, k_n`` of that group.
+def with_groups(keys: DataFrame, groupings: dict[str, Grouping | None], tag: str = "") -> DataFrame:
+    """keys with the group ``i_g, j_g, k_g`` of each index and the total weight ``i_n, j_n, k_n`` of that group (names begin with ``tag``).
 
     An index in several groups gets a row for each, one in none a row without group.
     """
-    import numpy as np
-    import pyarrow as pa
-
     out, spark = keys, keys.sparkSession
     for m in "ijk":
         g = groupings.get(m)
         if g is None:
-            out = out.withColumn(f"{m}_g", F.col(m)).withColumn(f"{m}_n", F.lit(1.0))
+            out = out.withColumn(f"{tag}{m}_g", F.col(m)).withColumn(f"{tag}{m}_n", F.lit(1.0))
             continue
         total = np.bincount(g.grp, g.weight, g.n_groups)
-        table = spark.createDataFrame(pa.table({m: g.member, f"{m}_g": g.grp, f"{m}_n": total[g.grp]}))
+        table = spark.createDataFrame(pa.table({m: g.member, f"{tag}{m}_g": g.grp, f"{tag}{m}_n": total[g.grp]}))
         out = out.join(F.broadcast(table), m, "left")
     return out
 
 
+def _parted(view: View) -> bool:
+    return all(g is None or g.is_partition() for g in view.groupings.values())
+
+
+def looked_up(keys: DataFrame, view: View, name: str) -> DataFrame:
+    """keys' columns and ``name``: the view's cell over each key, divided by what it adds up; null where there is none.
+
+    Where periods overlap, a key has a row for each group that holds it.
+    """
+    own = [f"{name}{m}_g" for m in "ijk"]
+    cells = view.cells.select(*(F.col(m).alias(g) for m, g in zip("ijk", own)), F.col("v").alias(f"{name}_v"))
+    placed = with_groups(keys, view.groupings, name).join(cells, own, "left")
+    value: Column = F.col(f"{name}_v")
+    if view.absent == "zero":
+        value = F.when(F.col(own[0]).isNotNull() & F.col(own[1]).isNotNull() & F.col(own[2]).isNotNull(), F.coalesce(value, F.lit(0.0)))
+    size = F.col(f"{name}i_n") * F.col(f"{name}j_n") * F.col(f"{name}k_n")
+    return placed.select(*keys.columns, (value / size).alias(name))
+
+
 def spread(keys: DataFrame, view: View, name: str) -> DataFrame:
     """keys (i, j, k) with the view's cell over them, divided by what it adds up; null where there is none.
 
     Where periods overlap, the mean over the groups that hold the key.
     """
-    cells = view.cells.select(F.col("i").alias("i_g"), F.col("j").alias("j_g"), F.col("k").alias("k_g"), F.col("v").alias("_v"))
-    placed = with_groups(keys.select("i", "j", "k"), view.groupings).join(cells, ["i_g", "j_g", "k_g"], "left")
-    value = F.col("_v") if view.absent == "missing" else F.when(F.col("i_g").isNotNull() & F.col("j_g").isNotNull() & F.col("k_g").isNotNull(), F.coalesce("_v", F.lit(0.0)))
-    each = placed.withColumn(name, value / (F.col("i_n") * F.col("j_n") * F.col("k_n")))
-    if all(g is None or g.is_partition() for g in view.groupings.values()):
-        return each.select("i", "j", "k", name)
-    return each.groupBy("i", "j", "k").agg(F.avg(name).alias(name))
+    each = looked_up(keys.select("i", "j", "k"), view, name)
+    return each if _parted(view) else each.groupBy("i", "j", "k").agg(F.avg(name).alias(name))
 
 
 def mean_split(keys: DataFrame, view_t: View, view_c: View) -> DataFrame:
     """i, j, k, v: the mean of both views' even shares; one share where the other view has no cell, null where neither has."""
-    both = spread(keys, view_t, "_t").join(spread(keys, view_c, "_c"), ["i", "j", "k"])
-    return both.select("i", "j", "k", F.when(F.col("_t").isNotNull() & F.col("_c").isNotNull(), (F.col("_t") + F.col("_c")) / 2).otherwise(F.coalesce("_t", "_c")).alias("v"))
+    # A view whose groups overlap comes first, as its rows have to be put together by key.
+    first, second = (view_c, view_t) if _parted(view_t) else (view_t, view_c)
+    both = spread(keys, first, "_a")
+    both = looked_up(both, second, "_b") if _parted(second) else both.join(spread(keys, second, "_b"), ["i", "j", "k"])
+    return both.select("i", "j", "k", F.when(F.col("_a").isNotNull() & F.col("_b").isNotNull(), (F.col("_a") + F.col("_b")) / 2).otherwise(F.coalesce("_a", "_b")).alias("v"))
 
 
 def min_norm_closed(keys: DataFrame, view_t: View, view_c: View) -> DataFrame:
     """Least squares of minimum norm for complete, consistent views with groups that partition their modes.
 
     A cell is its share of the contemporaneous cell, plus its share of the temporal cell, less the mean share of the block of
-    group and period: three aggregates, joined to the keys.
+    group and period. The block is the contemporaneous view added up over periods: a view like the others.
     """
     for v in (view_t, view_c):
-        if not all(g is None or g.is_partition() for g in v.groupings.values()) or v.holes is not None:
+        if not _parted(v) or v.holes is not None:
             raise ValueError("the closed form needs complete views whose groups partition the modes; use ls_blocks")
-    w = view_t.groupings["k"]
-    spark = keys.sparkSession
-    ticks = with_groups(spark.range(w.n_members).select(F.lit(0).cast("long").alias("i"), F.lit(0).cast("long").alias("j"), F.col("id").alias("k")), {"k": w})
-    ticks = F.broadcast(ticks.select("k", F.col("k_g").alias("w")))
-    sizes = F.broadcast(ticks.groupBy("w").agg(F.count("*").alias("ticks")))
-    block = view_c.cells.join(ticks, "k").groupBy(F.col("i").alias("i_g"), F.col("j").alias("j_g"), "w").agg(F.sum("v").alias("_b"))
-    block = block.join(sizes, "w").withColumn("_b", F.col("_b") / F.col("ticks")).drop("ticks")
-    placed = with_groups(keys.select("i", "j", "k"), view_c.groupings).join(ticks, "k")
-    placed = placed.join(block, ["i_g", "j_g", "w"], "left").withColumn("_b", F.coalesce("_b", F.lit(0.0)) / (F.col("i_n") * F.col("j_n")))
-    t, c = spread(keys, _zeros(view_t), "_t"), spread(keys, _zeros(view_c), "_c")
-    return placed.select("i", "j", "k", "_b").join(t, ["i", "j", "k"]).join(c, ["i", "j", "k"]).select("i", "j", "k", (F.col("_t") + F.col("_c") - F.col("_b")).alias("v"))
-
-
-def _zeros(view: View) -> View:
-    from dataclasses import replace
-
-    return replace(view, absent="zero")
+    w = replace(view_t.groupings["k"], weight=np.ones(len(view_t.groupings["k"].member)))
+    ticks = keys.sparkSession.createDataFrame(pa.table({"k": w.member, "w": w.grp}))
+    block = view_c.cells.join(F.broadcast(ticks), "k").groupBy("i", "j", F.col("w").alias("k")).agg(F.sum("v").alias("v"))
+    views = {"_t": view_t, "_c": view_c, "_b": replace(view_c, cells=block, groupings=view_c.groupings | {"k": w})}
+    out = keys.select("i", "j", "k")
+    for name, v in views.items():
+        out = looked_up(out, replace(v, absent="zero"), name)
+    return out.select("i", "j", "k", (F.col("_t") + F.col("_c") - F.col("_b")).alias("v"))

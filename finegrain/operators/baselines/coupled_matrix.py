@@ -19,6 +19,8 @@ from finegrain import shared
 from finegrain.operators.kernels import solve_rows
 from finegrain.operators.views import View
 
+#: A packed row's bytes, most of them temporal cells; larger groups are refused before anything runs.
+GROUP_BYTES = 1 << 30
 GRID = (1, 2, 5, 10, 15, 25, 40)
 PACKED = "gi long, gj long, i array<long>, j array<long>, weight array<double>, t array<double>, c array<double>, p array<double>"
 
@@ -52,6 +54,9 @@ def packed_rows(view_t: View, view_c: View) -> DataFrame:
     for g in (u, v):
         if g is not None and len(np.unique(g.member)) != len(g.member):
             raise ValueError("groups that overlap can't be packed by group")
+    members = [int(g.sizes().max(initial=0)) if g is not None else 1 for g in (u, v)]
+    if 8 * members[0] * members[1] * (w.n_groups + 4) > GROUP_BYTES:
+        raise ValueError(f"a group of {members[0] * members[1]} rows of {w.n_groups} periods is more than a packed row should hold ({GROUP_BYTES} bytes)")
     spark = view_t.cells.sparkSession
     table = lambda g, n, m: spark.createDataFrame(pa.table({m: g.member if g else np.arange(n), f"g{m}": g.grp if g else np.arange(n), f"w{m}": g.weight if g else np.ones(n)}))
     t = view_t.cells.join(F.broadcast(table(u, n_i, "i")), "i").join(F.broadcast(table(v, n_j, "j")), "j")
@@ -192,6 +197,12 @@ def best_rank(view_t: View, view_c: View, score, ranks: tuple[int, ...] = GRID,
     """The fit with the least ``score(cells)`` over the feasible ranks of a grid; views are packed once."""
     rows = shared.table(packed_rows(view_t, view_c))
     most = min(view_t.groupings["k"].n_members, view_t.shape[0] * view_t.shape[1])
-    fits = {r: fit_coupled_matrix(view_t, view_c, r, max_iter, rows=rows) for r in ranks if r <= most}
-    scores = {r: score(f.cells()) for r, f in fits.items()}
+    tried = [r for r in ranks if r <= most]
+
+    def one(r: int) -> tuple[MatrixFit, float]:
+        fit = fit_coupled_matrix(view_t, view_c, r, max_iter, rows=rows)
+        return fit, score(fit.cells())
+
+    done = dict(zip(tried, shared.together([lambda r=r: one(r) for r in tried]), strict=True))
+    fits, scores = {r: f for r, (f, _) in done.items()}, {r: x for r, (_, x) in done.items()}
     return fits[min(scores, key=scores.get)], scores

@@ -10,6 +10,8 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from finegrain import shared
+
 MODES = ("i", "j", "k")
 
 
@@ -39,13 +41,55 @@ def build_cube(facts: DataFrame, spec: CubeSpec) -> DataFrame:
 def dimension(df: DataFrame, key: str, order: list[str] | None = None, attrs: list[str] | None = None) -> DataFrame:
     """idx, key and attributes of the distinct members, numbered in the order of their keys.
 
-    Distinct members are few next to facts. They are numbered with one sort of the dictionary; attributes take the
+    Members are numbered by a range shuffle and offsets, so that a large dictionary isn't one task's sort; attributes take the
     least of a member's values.
     """
     attrs = attrs or []
     members = df.where(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("_n"), *(F.min(a).alias(a) for a in attrs)).drop("_n")
-    ranked = members.withColumn("idx", F.row_number().over(Window.orderBy(*(order or [key]))) - 1)
-    return ranked.select(F.col("idx").cast("long").alias("idx"), F.col(key).cast("string").alias("key"), *attrs)
+    return numbered(members, order or [key]).select("idx", F.col(key).cast("string").alias("key"), *attrs)
+
+
+def numbered(rows: DataFrame, order: list[str | Column], name: str = "idx") -> DataFrame:
+    """rows with ``name``, their place from 0 in an order (which must leave no ties): one range shuffle, and a count of each partition on the driver."""
+    spark = rows.sparkSession
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    at = F.monotonically_increasing_id()
+    placed = shared.table(rows.repartitionByRange(n, *order).sortWithinPartitions(*order).withColumn("_at", at))
+    part = F.shiftright("_at", 33)
+    counts = sorted(tuple(r) for r in placed.groupBy(part.alias("p")).count().collect())
+    before = [0]
+    for _, c in counts:
+        before.append(before[-1] + c)
+    starts = spark.createDataFrame([(p, b) for (p, _), b in zip(counts, before)] or [(0, 0)], "_p long, _before long")
+    out = placed.withColumn("_p", part).join(F.broadcast(starts), "_p")
+    return out.withColumn(name, F.col("_at").bitwiseAND(2**33 - 1) + F.col("_before")).drop("_at", "_p", "_before")
+
+
+def ticks(spark: SparkSession, start: str, end: str) -> DataFrame:
+    """A calendar dimension: a row for each day from start to end (included), with its place in days, weeks, months, quarters and half-years."""
+    day, first = F.col("day"), F.lit(start).cast("date")
+    months = (F.year(day) - F.year(first)) * 12 + F.month(day) - F.month(first)
+    years = F.year(day) - F.year(first)
+    days = spark.range(1).select(F.explode(F.sequence(first, F.lit(end).cast("date"))).alias("day"))
+    return days.select(
+        "day", F.datediff(day, first).cast("long").alias("tick"), F.floor(F.datediff(day, first) / 7).alias("week"), months.cast("long").alias("month"),
+        (years * 4 + F.quarter(day) - F.quarter(first)).cast("long").alias("quarter"),
+        (years * 2 + F.floor((F.month(day) - 1) / 6) - F.floor((F.month(first) - 1) / 6)).cast("long").alias("half_year"),
+    )
+
+
+def unfold(cells: DataFrame, size: int, mode: str = "k") -> DataFrame:
+    """The other modes by one column for each index of a (short) mode: c0, c1, ...; absent cells are null."""
+    others = [c for c in cells.columns if c not in (mode, "v")]
+    wide = cells.groupBy(*others).pivot(mode, list(range(size))).agg(F.first("v"))
+    return wide.withColumnsRenamed({str(n): f"c{n}" for n in range(size)})
+
+
+def fold(wide: DataFrame, size: int, mode: str = "k") -> DataFrame:
+    """The cells of an unfolded cube again; null is no cell."""
+    others = [c for c in wide.columns if c not in {f"c{n}" for n in range(size)}]
+    long = wide.unpivot(others, [f"c{n}" for n in range(size)], "_c", "v").where("v IS NOT NULL")
+    return long.select(*others, F.substring("_c", 2, 10).cast("long").alias(mode), "v")
 
 
 def densify(cells: DataFrame, dims: dict[str, int], absent: str = "zero") -> DataFrame:

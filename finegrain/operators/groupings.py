@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Groupings live on the driver as three columns; a mode's dictionary is what bounds them.
@@ -112,24 +112,40 @@ def overlapping_calendar(n: int, width: int) -> list[tuple[int, int]]:
     return [(a, a + width) for a in range(0, n - width + 1, width // 2)]
 
 
+def dictionary(dim: DataFrame, *columns: str) -> list[np.ndarray]:
+    """Columns of a mode's dictionary on the driver, in the order of idx; refused beyond MEMBERS rows, before any is collected."""
+    n = dim.count()
+    if n > MEMBERS:
+        raise ValueError(f"a dictionary of {n} members: more than {MEMBERS}; join the grouping as a table instead")
+    rows = dim.select("idx", *columns).toArrow().sort_by("idx")
+    return [c.to_numpy() for c in rows.columns]
+
+
 def by_column(dim: DataFrame, column: str, how: str = "sum") -> Grouping:
     """Members (column idx of a dictionary) by the sorted values of a column; null is no group."""
-    rows = dim.select("idx", column).orderBy("idx").collect()  # a dictionary, not facts
-    names = {x: n for n, x in enumerate(sorted({r[1] for r in rows if r[1] is not None}))}
-    return Grouping.of([names.get(r[1], -1) for r in rows], len(names), how)
+    _, value = dictionary(dim, column)
+    known = np.array([x is not None and x == x for x in value.tolist()], bool)
+    names, place = np.unique(value[known], return_inverse=True)
+    grp = np.full(len(value), -1, np.int64)
+    grp[known] = place.ravel()
+    return Grouping.of(grp, len(names), how)
 
 
 def by_ntile(dim: DataFrame, column: str, n: int, how: str = "sum") -> Grouping:
-    """n size bands by an attribute, ties by idx."""
-    banded = dim.select("idx", (F.ntile(n).over(Window.orderBy(column, "idx")) - 1).alias("grp"))
-    return Grouping.of([r[1] for r in banded.orderBy("idx").collect()], n, how)
+    """n size bands by an attribute, ties by idx; as SQL's ntile has it, the first bands are the larger ones, and nulls come first."""
+    _, value = dictionary(dim.select("idx", F.col(column).cast("double").alias(column)), column)
+    value = np.where(np.isnan(value.astype(float)), -np.inf, value.astype(float))
+    grp = np.empty(len(value), np.int64)
+    small, more = divmod(len(value), n)
+    grp[np.argsort(value, kind="stable")] = np.repeat(np.arange(n), [small + (b < more) for b in range(n)])
+    return Grouping.of(grp, n, how)
 
 
 def by_similarity(dim: DataFrame, features: list[str], size: int, how: str = "sum", seed: int = 7) -> Grouping:
     """Groups of ``size`` members that are close in their features: in the order of one feature, or of k-means
     clusters of several."""
     if len(features) == 1:
-        order = [r[0] for r in dim.select("idx", features[0]).orderBy(features[0], "idx").select("idx").collect()]
+        idx, value = dictionary(dim, features[0])
     else:
         from pyspark.ml.clustering import KMeans
         from pyspark.ml.feature import VectorAssembler
@@ -137,14 +153,16 @@ def by_similarity(dim: DataFrame, features: list[str], size: int, how: str = "su
         points = VectorAssembler(inputCols=features, outputCol="features").transform(dim)
         clusters = max(2, points.count() // size)
         placed = KMeans(k=clusters, seed=seed).fit(points).transform(points)
-        order = [r[0] for r in placed.orderBy("prediction", "idx").select("idx").collect()]
-    grp = np.empty(len(order), np.int64)
-    grp[order] = np.arange(len(order)) // size
-    return Grouping.of(grp, -(-len(order) // size), how)
+        idx, value = dictionary(placed, "prediction")
+    grp = np.empty(len(idx), np.int64)
+    grp[idx[np.argsort(value, kind="stable")]] = np.arange(len(idx)) // size
+    return Grouping.of(grp, -(-len(idx) // size), how)
 
 
 def from_table(df: DataFrame, member: str, grp: str, n_members: int, n_groups: int, weight: str | None = None) -> Grouping:
     """A grouping that a table holds, one row for each membership."""
-    rows = df.select(F.col(member).cast("long"), F.col(grp).cast("long"), F.lit(1.0) if weight is None else F.col(weight).cast("double")).distinct().orderBy(F.col(member), F.col(grp)).toArrow()
-    m, g, w = (c.to_numpy() for c in rows.columns)
+    rows = df.select(F.col(member).cast("long").alias("idx"), F.col(grp).cast("long").alias("grp"), (F.lit(1.0) if weight is None else F.col(weight).cast("double")).alias("weight")).distinct()
+    m, g, w = dictionary(rows, "grp", "weight")
+    order = np.lexsort((g, m))
+    m, g, w = m[order], g[order], w[order]
     return Grouping(m.astype(np.int64), g.astype(np.int64), w.astype(float), n_members, n_groups)

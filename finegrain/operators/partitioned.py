@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from finegrain import shared
+from finegrain.operators.groupings import Grouping
 from finegrain.operators.kernels import Sums, ViewKernel, check_size, gram, others_gram
 from finegrain.operators.views import View
 
@@ -25,9 +27,11 @@ _tables: list[tuple[SparkSession, str]] = []
 
 
 def bucketed(df: DataFrame, blocks: int) -> DataFrame:
-    """df (with a column ``block``) as a table bucketed and sorted by block; dropped when the driver ends."""
+    """df (with a column ``block``) as a table bucketed and sorted by block, its files in the shared folder; dropped when the driver ends."""
     name = f"finegrain_{uuid.uuid4().hex}"
-    df.repartition(blocks, "block").write.bucketBy(blocks, "block").sortBy("block").format("parquet").saveAsTable(name)
+    folder = f"{shared.shared_dir(df.sparkSession)}/{name}"
+    df.repartition(blocks, "block").write.bucketBy(blocks, "block").sortBy("block").format("parquet").option("path", folder).saveAsTable(name)
+    shared.forget_later(df.sparkSession, folder)
     _tables.append((df.sparkSession, name))
     return df.sparkSession.table(name)
 
@@ -57,10 +61,10 @@ class WideFit:
     def reconstruct(self, keys: DataFrame) -> DataFrame:
         """keys (i, j, k) with v: joined with the factor's rows by member."""
         check_size(self.factors)
-        shared = keys.sparkSession.sparkContext.broadcast(self.factors)
+        sent = keys.sparkSession.sparkContext.broadcast(self.factors)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            f = shared.value
+            f = sent.value
             for batch in batches:
                 a = _matrix(batch.column("f"), f["j"].shape[1])
                 v = np.einsum("nr,nr,nr->n", a, f["j"][batch.column("j").to_numpy()], f["k"][batch.column("k").to_numpy()])
@@ -169,11 +173,12 @@ def row_sums(rows: DataFrame, column: str, n_groups: int, rank: int) -> tuple[np
     return every[:rank], every[rank:]
 
 
-def fit_coupled_wide(view_t: View, view_c_cells: DataFrame, areas: DataFrame, n_groups: int, rank: int, max_iter: int = 10, blocks: int = 64, start: dict[str, np.ndarray] | None = None, seed: int = 0) -> WideFit:
+def fit_coupled_wide(view_t: View, view_c_cells: DataFrame, areas: DataFrame, n_groups: int, rank: int, max_iter: int = 10, blocks: int = 64, start: dict[str, np.ndarray] | None = None, seed: int = 0, second: Grouping | None = None, absent_c: str | None = None) -> WideFit:
     """Block descent with a partitioned first factor.
 
     view_t: the temporal view. view_c_cells: cells (group, j, k, v) of the contemporaneous view. areas: member, grp, weight, one row for each
-    member of the first mode. start may give j and k, and i as a matrix (tests); else members start from a hash of their index.
+    member of the first mode. ``second`` groups the second mode of that view too. absent_c: what a cell without a row is there (as in
+    view_t if not given). start may give j and k, and i as a matrix (tests); else members start from a hash of their index.
     """
     began = time.perf_counter()
     spark = view_t.cells.sparkSession
@@ -191,7 +196,7 @@ def fit_coupled_wide(view_t: View, view_c_cells: DataFrame, areas: DataFrame, n_
         rows = bucketed(first.withColumn("f", draws), blocks)
     t = WideView(view_t, blocks)
     residual = view_t.absent == "missing"
-    c = ViewKernel(View(view_c_cells, (n_groups, n_j, n_k), {}, view_t.absent).placed(), {"i": "iu", "j": "j", "k": "k"})
+    c = ViewKernel(View(view_c_cells, (n_groups, n_j, n_k), {"j": second}, absent_c or view_t.absent).placed(), {"i": "iu", "j": "j", "k": "k"})
     losses: list[float] = []
     for _ in range(max_iter):
         gram_a, coarse = row_sums(rows, "f", n_groups, rank)
@@ -219,14 +224,15 @@ def fit_coupled_wide(view_t: View, view_c_cells: DataFrame, areas: DataFrame, n_
                 half_t = tf[mode] @ g_others - sums.rows
                 loss_t = float((gram(tf[mode]) * g_others).sum()) - 2 * float((tf[mode] * sums.rows).sum()) + t.squares
             s = c.block(small, mode)
-            half = (half_t if mode == "j" else w.back(half_t)) + s.half
+            grouped = second if mode == "j" else None
+            half = (half_t if mode == "j" else w.back(half_t)) + (grouped.back(s.half) if grouped else s.half)
             gradient = 2 * half
             direction = gradient if mode == "j" else w.apply(gradient)
             if residual:
                 below = t.squares_of(rows, tf | {mode: direction}, "f")
             else:
                 below = float((gram(direction) * g_others).sum())
-            below += c.denominator(small, mode, gradient)
+            below += c.denominator(small, mode, grouped.apply(gradient) if grouped else gradient)
             top = 0.5 * float((gradient**2).sum())
             f = f | {mode: f[mode] - (top / below if below > 0 else 0.0) * gradient}
             losses.append(loss_t + s.loss - (top**2 / below if below > 0 else 0.0))

@@ -20,14 +20,14 @@ def cp_value(*rows: Column) -> Column:
     return F.aggregate(product, F.lit(0.0), lambda s, x: s + x)
 
 
-def reconstruct(keys: DataFrame, factors: dict[str, np.ndarray], name: str = "v") -> DataFrame:
-    """keys (i, j, k, more) with the model's value.
+def reconstruct(keys: DataFrame, factors: dict[str, np.ndarray], name: str = "v", modes: str = "ijk") -> DataFrame:
+    """keys (i, j, k or the letters of ``modes``, and more) with the model's value.
 
     Factors are broadcast (their size is checked in ``cell_pass``'s way); keys stay where they are, and filters on them reach their scan.
     """
     from finegrain.operators.kernels import check_size
 
-    factors = {m: factors[m] for m in "ijk"}
+    factors = {m: factors[m] for m in modes}
     check_size(factors)
     spark = keys.sparkSession
     shared = spark.sparkContext.broadcast(factors)
@@ -36,8 +36,7 @@ def reconstruct(keys: DataFrame, factors: dict[str, np.ndarray], name: str = "v"
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = shared.value
         for batch in batches:
-            rows = [f[m][batch.column(m).to_numpy()] for m in "ijk"]
-            value = np.einsum("nr,nr,nr->n", *rows)
+            value = reduce(np.multiply, [f[m][batch.column(m).to_numpy()] for m in modes]).sum(1)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(value)], names=[*batch.schema.names, name])
 
     return keys.mapInArrow(run, schema)
@@ -51,31 +50,38 @@ def reconstruct_sql(keys: DataFrame, factors: dict[str, np.ndarray], name: str =
     return out.withColumn(name, cp_value(*(F.col(f"_f{m}") for m in "ijk"))).drop("_fi", "_fj", "_fk").select(*keys.columns, name)
 
 
-def top_cells(spark: SparkSession, factors: dict[str, np.ndarray], n: int) -> DataFrame:
-    """The n largest fine cells of a model.
+def top_cells(spark: SparkSession, factors: dict[str, np.ndarray], n: int, modes: str = "ijk") -> DataFrame:
+    """The n largest cells of a model, of any number of modes.
 
-    No cell of a row i exceeds |a_i| max|b_j| max|c_k|, nor one of a pair (i, j) |a_i * b_j| max|c_k|; rows and pairs are taken in
-    the order of these bounds, and none is expanded whose bound is below the n-th value found so far.
+    No cell that begins with indexes (i, j, ...) exceeds |a_i * b_j * ...| times the largest row norms of the other modes. Beginnings are taken in
+    the order of these bounds, and none is gone on with whose bound is below the n-th value found so far.
     """
-    a, b, c = (factors[m] for m in "ijk")
-    most = np.linalg.norm(c, axis=1).max()
-    row_bound = np.linalg.norm(a, axis=1) * np.linalg.norm(b, axis=1).max() * most
-    best: list[tuple[float, int, int, int]] = []
-    for i in np.argsort(-row_bound):
-        least = best[-1][0] if len(best) == n else -np.inf
-        if row_bound[i] < least:
-            break
-        pair = a[i] * b
-        bound = np.linalg.norm(pair, axis=1) * most
+    rows = [factors[m] for m in modes]
+    most = np.cumprod([1.0, *(np.linalg.norm(f, axis=1).max() for f in rows[:0:-1])])[::-1]  # of the modes after each
+    best: list[tuple[float, tuple[int, ...]]] = []
+    least = lambda: best[-1][0] if len(best) == n else -np.inf
+
+    def go_on(begin: tuple[int, ...], product: np.ndarray) -> None:
+        nonlocal best
+        at = len(begin)
+        each = product * rows[at]
+        bound = np.linalg.norm(each, axis=1) * most[at]
         order = np.argsort(-bound)
-        for at in range(0, len(order), 1024):
-            js = order[at : at + 1024]
-            js = js[bound[js] >= (best[-1][0] if len(best) == n else -np.inf)]
-            if not len(js):
-                break
-            values = pair[js] @ c.T
+        if at < len(rows) - 2:
+            for x in order:
+                if bound[x] < least():
+                    return
+                go_on((*begin, int(x)), each[x])
+            return
+        for first in range(0, len(order), 1024):  # the last two modes together
+            own = order[first : first + 1024]
+            own = own[bound[own] >= least()]
+            if not len(own):
+                return
+            values = each[own] @ rows[-1].T
             top = np.argpartition(-values.ravel(), min(n, values.size) - 1)[:n]
-            p, k = np.unravel_index(top, values.shape)
-            found = [(float(values[x, y]), int(i), int(js[x]), int(y)) for x, y in zip(p, k)]
-            best = sorted(best + found, key=lambda t: (-t[0], t[1:]))[:n]
-    return spark.createDataFrame([(i, j, k, v) for v, i, j, k in best], "i long, j long, k long, v double")
+            found = [(float(values[x, y]), (*begin, int(own[x]), int(y))) for x, y in zip(*np.unravel_index(top, values.shape))]
+            best = sorted(best + found, key=lambda t: (-t[0], t[1]))[:n]
+
+    go_on((), np.ones(rows[0].shape[1]))
+    return spark.createDataFrame([(*index, v) for v, index in best], ", ".join([*(f"{m} long" for m in modes), "v double"]))

@@ -7,13 +7,18 @@ import re
 import sys
 import tempfile
 import uuid
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
+from typing import TypeVar
 
-from pyspark import cloudpickle
+from pyspark import cloudpickle, inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 
 # Executors need not have this package installed: its functions travel with the tasks.
 cloudpickle.register_pickle_by_value(sys.modules[__package__])
 
+T = TypeVar("T")
+
 _tables: list[tuple[SparkSession, str]] = []
 
 
@@ -39,6 +44,21 @@ def table(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def forget_later(spark: SparkSession, path: str) -> None:
+    """Remove files when the driver ends."""
+    _tables.append((spark, path))
+
+
+def together(jobs: list[Callable[[], T]], at_once: int = 6) -> list[T]:
+    """The results of independent jobs, in order; several run at a time, as small fits leave most of a cluster idle."""
+    if len(jobs) < 2:
+        return [job() for job in jobs]
+    session = SparkSession.getActiveSession()
+    own = inheritable_thread_target(session) if session else inheritable_thread_target  # jobs keep the caller's tags and properties
+    with ThreadPoolExecutor(min(at_once, len(jobs))) as pool:
+        return [f.result() for f in [pool.submit(own(job)) for job in jobs]]
+
+
 @atexit.register
 def _clean() -> None:
     for spark, path in _tables:

@@ -8,6 +8,8 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from finegrain import shared
+
 TABLES = (
     "region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events",
     "documents", "embeddings", "pages", "benchmark", "labels", "conversations",
@@ -39,8 +41,9 @@ def load_cells(spark: SparkSession, path: str, ticks: tuple[int, int] | None = N
 
 
 def bucket_cells(cells: DataFrame, table: str, mode: str = "i", buckets: int = 64) -> DataFrame:
-    """Cells as a table bucketed by one mode: joins with a factor bucketed alike need no shuffle."""
-    cells.write.bucketBy(buckets, mode).sortBy(mode).mode("overwrite").format("parquet").saveAsTable(table)
+    """Cells as a table bucketed by one mode, its files in the shared folder: joins with a factor bucketed alike need no shuffle."""
+    folder = f"{shared.shared_dir(cells.sparkSession)}/{table}"
+    cells.write.bucketBy(buckets, mode).sortBy(mode).mode("overwrite").format("parquet").option("path", folder).saveAsTable(table)
     return cells.sparkSession.table(table)
 
 
