@@ -2,13 +2,18 @@
 
 from __future__ import annotations
 
+import json
+import uuid
 from collections.abc import Callable, Iterator
 from typing import Any
 
+import numpy as np
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from finegrain import shared
 from finegrain.sources.tables import load
 
 
@@ -59,14 +64,20 @@ def stream_deduplicated(events: DataFrame, watermark: str = "2 days") -> DataFra
     return with_time(events).withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def stream_mean(events: DataFrame, width_days: int = 7, groups: int = 5) -> DataFrame:
-    """The mean of both views' even shares, online: an interval join of period rows with day rows of their bucket's group."""
-    t = stream_temporal(events, f"{width_days} days").select(F.col("i").alias("bucket"), F.col("j").alias("tj"), F.col("start"), F.col("v").alias("vt"))
-    c = stream_contemporaneous(events, groups).select(F.col("i").alias("grp"), F.col("j").alias("cj"), "day", F.col("v").alias("vc"))
-    t, c = t.withWatermark("start", "10 days"), c.withWatermark("day", "10 days")
-    end = F.col("start") + F.expr(f"INTERVAL {width_days} DAYS")
-    on = (F.pmod("bucket", F.lit(groups)) == F.col("grp")) & (F.col("tj") == F.col("cj")) & (F.col("day") >= F.col("start")) & (F.col("day") < end)
-    return t.join(c, on).select("bucket", F.col("tj").alias("j"), "day", ((F.col("vt") / width_days + F.col("vc") / (50 / groups)) / 2).alias("v"))
+def stream_mean(events: DataFrame, width_days: int = 7, groups: int = 5, watermark: str = "2 days") -> DataFrame:
+    """The mean of both views' even shares, online: closed periods joined with the closed days in them of their bucket's group.
+
+    Rows are timed by the last instant of their window, which carries the events' watermark on to the join.
+    """
+    rows = with_time(events).withWatermark("ts", watermark)
+    kind = F.col("event_type")
+    t = rows.groupBy(F.window("ts", f"{width_days} days"), F.pmod("user_id", F.lit(50)).alias("bucket"), kind.alias("tj")).agg(F.sum("value").alias("vt"))
+    c = rows.groupBy(F.window("ts", "1 day"), F.pmod("user_id", F.lit(groups)).alias("grp"), kind.alias("cj")).agg(F.sum("value").alias("vc"))
+    t = t.select("bucket", "tj", "vt", F.window_time("window").alias("last"))
+    c = c.select("grp", "cj", "vc", F.col("window.start").alias("day"), F.window_time("window").alias("then"))
+    within = (F.col("then") > F.col("last") - F.expr(f"INTERVAL {width_days} DAYS")) & (F.col("then") <= F.col("last"))
+    both = t.join(c, (F.pmod("bucket", F.lit(groups)) == F.col("grp")) & (F.col("tj") == F.col("cj")) & within)
+    return both.select("bucket", F.col("tj").alias("j"), "day", ((F.col("vt") / width_days + F.col("vc") / (50 / groups)) / 2).alias("v"))
 
 
 def running_slabs(events: DataFrame) -> DataFrame:
@@ -87,21 +98,56 @@ def running_slabs(events: DataFrame) -> DataFrame:
 
 
 def run_available(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """All there is now, through to a memory table: for tests and backfills."""
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
+    """All there is now, through to a table in the shared folder: for tests and backfills.
+
+    "complete" keeps the last batch's table; "append" and "update" keep all rows that were sent: an updated key has a row for
+    each update.
+    """
+    spark = df.sparkSession
+    folder = f"{shared.shared_dir(spark)}/stream-{name}-{uuid.uuid4().hex}"
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        # A batch that is replayed writes over its own folder.
+        batch.write.mode("overwrite").parquet(f"{folder}/rows/batch={0 if mode == 'complete' else batch_id}")
+
+    spark.createDataFrame([], df.schema).write.parquet(f"{folder}/rows/batch=-1")
+    q = df.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
     q.awaitTermination()
-    return df.sparkSession.table(name)
+    return spark.read.schema(df.schema).option("recursiveFileLookup", True).parquet(f"{folder}/rows")
+
+
+def _plain(x: Any) -> Any:
+    return {"__array__": x.tolist()} if isinstance(x, np.ndarray) else x.tolist() if isinstance(x, np.generic) else x
+
+
+def _array(x: dict) -> Any:
+    return np.array(x["__array__"]) if "__array__" in x else x
+
+
+def kept_fits(spark: SparkSession, folder: str) -> dict[int, dict]:
+    """Fits of a folder by batch id."""
+    try:
+        rows = spark.read.schema("value string, batch long").option("pathGlobFilter", "*.txt").text(folder).collect()
+    except AnalysisException:
+        return {}
+    return {r.batch: json.loads(r.value, object_hook=_array) for r in rows}
 
 
 def warm_fits(events: DataFrame, refit: Callable[[DataFrame, dict | None], dict], checkpoint: str) -> list[dict]:
-    """A fit after each micro-batch that goes on from the last factors; a batch that is replayed is skipped by its id."""
-    fits: list[dict] = []
-    done: set[int] = set()
+    """A fit after each micro-batch that goes on from the last factors.
+
+    Each fit (numbers, lists and arrays) is written beside the checkpoint under its batch's id, so a stream that is started again goes on from the
+    last one, and a batch that is replayed is skipped.
+    """
+    spark, folder = events.sparkSession, f"{checkpoint}/fits"
 
     def each(batch: DataFrame, batch_id: int) -> None:
+        done = kept_fits(spark, folder)
         if batch_id not in done:
-            fits.append(refit(batch, fits[-1] if fits else None))
-            done.add(batch_id)
+            last = done[max(done)] if done else None
+            text = json.dumps(refit(batch, last), default=_plain)
+            spark.createDataFrame([(text,)], "value string").coalesce(1).write.mode("overwrite").text(f"{folder}/batch={batch_id}")
 
-    events.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
-    return fits
+    events.writeStream.foreachBatch(each).option("checkpointLocation", f"{checkpoint}/stream").trigger(availableNow=True).start().awaitTermination()
+    done = kept_fits(spark, folder)
+    return [done[n] for n in sorted(done)]
