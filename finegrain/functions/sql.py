@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from pyspark.sql import SparkSession
+from pyspark.sql import Column, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 
@@ -28,6 +29,12 @@ class ExpandPeriod:
             yield (t,)
 
 
+def gram_agg(factor: Column, rank: int) -> Column:
+    """An aggregate: the Gram matrix of a column of arrays as an array of rows; rank * (rank + 1) / 2 sums, partial on every task."""
+    sums = {(r, s): F.sum(factor[r] * factor[s]) for r in range(rank) for s in range(r, rank)}
+    return F.array(*(F.array(*(sums[min(r, s), max(r, s)] for s in range(rank))) for r in range(rank)))
+
+
 #: Native functions: no Python runs.
 SQL_FUNCTIONS = {
     "cp_value": "CREATE OR REPLACE TEMPORARY FUNCTION cp_value(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>, c ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(zip_with(a, b, (x, y) -> x * y), c, (x, y) -> x * y), 0D, (s, x) -> s + x)",

@@ -2,15 +2,48 @@
 
 from __future__ import annotations
 
+import time
+from collections.abc import Callable
 from dataclasses import replace
+from typing import TypeVar
 
 import numpy as np
+from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from finegrain.operators.views import View
 from finegrain.plans.costs import fit_cost, placement
 
 
+T = TypeVar("T")
+
+
+def _stages(spark: SparkSession) -> dict[int, dict[str, int]]:
+    """Counters of the stages that Spark still remembers."""
+    sc = spark.sparkContext
+    jvm = sc._gateway
+    found = sc._jsc.sc().statusStore().stageList(None, False, False, jvm.new_array(jvm.jvm.double, 0), jvm.jvm.java.util.ArrayList()).iterator()
+    out = {}
+    while found.hasNext():
+        s = found.next()
+        out[s.stageId()] = {"tasks": s.numTasks(), "rows_read": s.inputRecords(), "bytes_read": s.inputBytes(), "bytes_shuffled": s.shuffleWriteBytes(), "bytes_spilled": s.diskBytesSpilled()}
+    return out
+
+
+def measured(spark: SparkSession, job: Callable[[], T]) -> tuple[T, dict[str, float]]:
+    """A job's result, and what it cost by Spark's own counters: stages, tasks, rows and bytes read, bytes shuffled and spilled, seconds.
+
+    Jobs of other threads count too. Spark remembers spark.ui.retainedStages stages: more than that in one job are not all counted.
+    """
+    before = max(_stages(spark), default=-1)
+    began = time.perf_counter()
+    result = job()
+    seconds = time.perf_counter() - began
+    time.sleep(0.2)  # counters come with the last events
+    own = [c for n, c in _stages(spark).items() if n > before]
+    return result, {"seconds": seconds, "stages": len(own)} | {k: sum(c[k] for c in own) for k in ("tasks", "rows_read", "bytes_read", "bytes_shuffled", "bytes_spilled")}
+
+
 def residual_plan(view: View, observed: int | None = None) -> str:
     """The cheapest plan that is right for what absent cells mean.
 
