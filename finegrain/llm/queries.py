@@ -55,7 +55,7 @@ WITH sizes AS (
     * (SELECT sum(b) FROM sizes) / b AS rate FROM sizes
 ), cdf AS (
   SELECT source, rate, sum(exp(k * ln(rate) - rate - lgamma(k + 1))) OVER (PARTITION BY source ORDER BY k) AS c
-  FROM rates, range(0, 150) t(k)
+  FROM (SELECT source, rate, unnest(range(0, CAST(150 + (SELECT coalesce(max(rate) + 40 * sqrt(max(rate)), 0) FROM rates) AS BIGINT))) AS k FROM rates)
 ), draws AS (
   SELECT doc_id, source, text, (CAST('0x' || substr(md5('{source_mixing.SEED}|' || doc_id || '|' || md5(coalesce(text, ''))), 1, 13) AS BIGINT) + 0.5) / 4503599627370496.0 AS u
   FROM documents

@@ -36,12 +36,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from finegrain.llm.common import bucket_count, written
-from finegrain.llm.packed import CHUNK_BYTES, Chunk, answered, pack, pack_arrays, questions, replies_of, total_bytes, unpack_arrays, unpack_chunks
+from finegrain.llm.packed import Chunk, answered, pack, pack_arrays, questions, replies_of, total_bytes, unpack_arrays, unpack_chunks
 
 LENGTH = 50
 GRAM = 16
 RUN = 64
 HOT_PIECES = 4096
+CHUNK_BYTES = 4 << 20
 BUCKET_BYTES = 1 << 20
 BLOCK = 1 << 18
 SORT_BYTES = 1 << 19
