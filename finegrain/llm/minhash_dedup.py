@@ -4,11 +4,12 @@
    sets form a class, found by a hash of the set; one of them, with the least doc_id, stands for it.
 2. ``BANDS * ROWS`` minima are drawn from each set. Band keys come from whole minima; a signature keeps the low ``BITS``
    bits of each minimum, packed. Two sets that are 0.8 alike share no band with a chance of (1 - 0.8**ROWS)**BANDS.
-3. A band's bucket is never paired within itself. Each document has one first candidate: the least document of its
-   buckets, a minimum by partial aggregation; a bucket that everything falls in costs one row a task.
+3. A band's bucket is never paired within itself. Each document has one first candidate: of its buckets' documents the one that comes
+   first in a random order, a minimum by partial aggregation; a bucket that everything falls in costs one row a task.
 4. A candidate's similarity is estimated from the bits in which its signatures agree, corrected for the 2**-BITS of
    unequal minima that agree by chance. Five standard errors below the threshold it is dropped; all others are
-   confirmed on their whole sets. Confirmed links give components.
+   confirmed on their whole sets. Confirmed links give components. Where the next step would have a document meet more than ``MEETINGS`` others
+   on average, documents outside the largest component of one of their buckets first have up to ``TRIES`` - 1 further candidates, from such a component.
 5. Members of one bucket that are still in different components may be alike although neither is like the first
    candidate. In each bucket, the members outside its largest component meet all members, in blocks: signatures tell
    which of them have a possible partner in another component (each pair in the
@@ -38,6 +39,7 @@ from finegrain.llm.common import bounded, drop, free_name, written
 WORDS = 5
 ALIKE = (80, 100)  # 100 * intersection >= 80 * union
 BANDS, ROWS, BITS = 32, 4, 4
+TRIES, MEETINGS = 3, 256
 BLOCK = 2048  # rows of a bucket whose signatures meet in one task, twice
 SET_BLOCK = 512  # and whose texts do
 PASS_BYTES = 1 << 20
@@ -341,20 +343,28 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = AL
     reps = rows.withColumnRenamed("doc_id", "id").join(classes, ["id", "set_hash"]).dropDuplicates(["id", "set_hash"])
     reps = written(reps.select("id", "bands", "signature"))
     banded = reps.select("id", F.explode("bands").alias("key"))
-    low = written(banded.groupBy("key").agg(F.min("id").alias("b"), F.count("*").alias("n")).where("n > 1").select("key", "b"))
-    shared = written(banded.join(low, "key").select("key", "id", "b"))
+    several = written(banded.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"))
+    shared = written(banded.join(several, "key"))
     signs = reps.select("id", "signature")
-
-    firsts = shared.groupBy(F.col("id").alias("a")).agg(F.min("b").alias("b")).where("a <> b")
-    signed_pairs = firsts.join(signs.select(F.col("id").alias("a"), F.col("signature").alias("sa")), "a")
-    signed_pairs = signed_pairs.join(signs.select(F.col("id").alias("b"), F.col("signature").alias("sb")), "b")
-    links = written(confirmed(written(passes_estimate(signed_pairs, alike)), docs, k, alike))
-    found = components(links)
-
-    placed = shared.select("key", "id").join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    placed = written(placed)
-    mixed = written(mixed_buckets(placed))
-    open_ = written(placed.join(mixed, "key").select("key", "id", "component", (F.col("component") != F.col("largest")).alias("outside")))
+    links, found, open_ = None, None, None
+    for salt in range(TRIES):
+        turn = F.struct(F.xxhash64("id", F.lit(salt)).alias("turn"), "id")
+        # Whom to try: at first all, then those outside their bucket's largest component, with one of its members.
+        tried, offered = (shared, shared) if salt == 0 else (open_.where("outside"), open_.where("NOT outside"))
+        first = written(offered.groupBy("key").agg(F.min(turn).alias("first")))
+        firsts = tried.join(first, "key").groupBy(F.col("id").alias("a")).agg(F.min("first")["id"].alias("b")).where("a <> b")
+        signed_pairs = firsts.join(signs.select(F.col("id").alias("a"), F.col("signature").alias("sa")), "a")
+        signed_pairs = signed_pairs.join(signs.select(F.col("id").alias("b"), F.col("signature").alias("sb")), "b")
+        new = confirmed(written(passes_estimate(signed_pairs, alike)), docs, k, alike)
+        links = written(new if links is None else links.unionByName(new).distinct())
+        found = components(links)
+        placed = written(shared.join(found, "id", "left").withColumn("component", F.coalesce("component", "id")))
+        mixed = written(mixed_buckets(placed))
+        open_ = written(placed.join(mixed, "key").select("key", "id", "component", (F.col("component") != F.col("largest")).alias("outside")))
+        sizes = open_.groupBy("key").agg(F.count_if("outside").alias("out"), F.count("*").alias("n"))
+        rows_open, meetings_ = sizes.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(F.col("out") * F.col("n")), F.lit(0))).first()
+        if meetings_ <= MEETINGS * rows_open:
+            break
     active = written(with_partners(open_.join(reps, "id"), open_, alike))
     if not active.isEmpty():
         texts = written(texts_of(docs, active.select("id").distinct()))
@@ -374,4 +384,4 @@ def keep_one_of_each(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = A
     own = free_name("own", docs.columns)
     named = docs.withColumn(own, F.xxhash64("text"))
     out = named.join(stays, named["doc_id"].cast("long").eqNullSafe(stays["doc_id"]) & (named[own] == stays["text_hash"]), "left_semi")
-    return out.dropDuplicates(["doc_id", own]).select(docs.columns)
+    return out.dropDuplicates(["doc_id", own]).select(*(F.col(f"`{c}`") for c in docs.columns))
