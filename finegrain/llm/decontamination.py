@@ -3,8 +3,8 @@
 Texts are normalised by a byte table: A-Z become lower case, ASCII characters that are neither letter
 nor digit become blanks, the rest stays. The table keeps offsets: byte k of the normalised text is byte
 k of the original. Words of the benchmark have numbers, and the automaton holds each window of ``WINDOW`` consecutive words of an item (an item
-of fewer words, but not none, is one window) as a sequence of numbers; one scan of a document's words (those
-that no item has are number 0) finds all occurrences of all windows. A word inside an occurrence is hit.
+of fewer words, but not none, is one window) as a string of a character for each word; one scan of a document's words (those
+that no item has are character 0) finds all occurrences of all windows. A word inside an occurrence is hit.
 
 What reaches the executors is the items' words as numbers, a few bytes a word. The automaton takes about 50 bytes for each word of
 each window and is built once in each Python worker. ``PATTERN_BYTES`` of windows need about 0.8 GB there; beyond that, items go into
@@ -20,6 +20,7 @@ each of their words. ``find`` reads doc_id and text only; ``keep_clean`` keeps a
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -76,21 +77,34 @@ def pattern_blocks(items: DataFrame, size: int = WINDOW, most: int = PATTERN_BYT
     yield block()
 
 
+CODES = 1_000_000  # numbers that one character can stand for
+
+
+def code_point(n: int) -> str:
+    """The character of a number below CODES; surrogates are left out."""
+    return chr(n if n < 0xD800 else n + 0x800)
+
+
 class Scanner:
-    """Finds the windows of a block in texts."""
+    """Finds the windows of a block in texts: a word is a character (two, where the block has more than CODES words), so that the automaton runs on strings."""
 
     def __init__(self, block: dict):
         import ahocorasick
 
         self.table, size = word_table(), block["size"]
-        self.number = dict(zip(block["words"], range(1, len(block["words"]) + 1), strict=True))
-        self.automaton = ahocorasick.Automaton(ahocorasick.STORE_INTS, ahocorasick.KEY_SEQUENCE)
+        n_words = len(block["words"])
+        self.width = 1 if n_words < CODES else 2
+        spell = code_point if self.width == 1 else lambda n: code_point(1 + n // (CODES - 1)) + code_point(1 + n % (CODES - 1))
+        codes = [spell(n) for n in range(n_words + 1)]
+        self.code = dict(zip(block["words"], codes[1:], strict=True))
+        self.unknown = "\0" * self.width
+        self.automaton = ahocorasick.Automaton(ahocorasick.STORE_INTS)
         self.lengths, self.ids, owners, start = [], block["ids"], [], 0
         for part, end in enumerate(block["ends"].tolist()):
-            own = tuple(block["numbers"][start:end].tolist())
+            own = [codes[x] for x in block["numbers"][start:end].tolist()]
             n, start = min(size, len(own)), end
             for i in range(len(own) - n + 1):
-                window = own[i : i + n]
+                window = "".join(own[i : i + n])
                 k = self.automaton.get(window, None)
                 if k is None:
                     k = len(self.lengths)
@@ -100,6 +114,7 @@ class Scanner:
         self.some = bool(self.lengths)
         if self.some:
             self.automaton.make_automaton()
+            self.stretch = re.compile("[^\0]{%d,}" % (min(self.lengths) * self.width))
         pairs = np.array(owners, np.int64).reshape(-1, 2)
         self.owners = pairs[np.argsort(pairs[:, 0], kind="stable"), 1]
         self.first = np.searchsorted(np.sort(pairs[:, 0]), np.arange(len(self.lengths) + 1))
@@ -109,8 +124,12 @@ class Scanner:
         words = words_of(text, self.table)
         if not words or not self.some:
             return len(words), [], set()
-        get = self.number.get
-        found = list(self.automaton.iter(tuple([get(w, 0) for w in words])))
+        get, unknown, width = self.code.get, self.unknown, self.width
+        line = "".join([get(w, unknown) for w in words])
+        # No window holds an unknown word, so only stretches of known ones are run through, each once.
+        found = [hit for m in self.stretch.finditer(line) for hit in self.automaton.iter(line, m.start(), m.end())]
+        if width > 1:  # of whole words only
+            found = [(end // width, k) for end, k in found if end % width == width - 1]
         if not found:
             return len(words), [], set()
         ranges = [(end + 1 - self.lengths[k], end + 1) for end, k in found]

@@ -67,3 +67,20 @@ def test_empty_benchmark_and_empty_table(spark):
 def test_given_documents(spark):
     docs, items = (spark.read.parquet(f"{SF}/{t}.parquet").select(k, "text") for t, k in (("documents", "doc_id"), ("benchmark", "item_id")))
     assert ours(docs, items) == brute([tuple(r) for r in docs.collect()], [tuple(r) for r in items.collect()])
+
+
+def test_more_words_than_characters(spark, monkeypatch):
+    """Words of two characters each: only whole words match."""
+    import numpy as np
+
+    rng = np.random.default_rng(1)
+    items = [(i, " ".join(f"w{x}" for x in rng.integers(0, 6, 15))) for i in range(8)] + [(9, "w1 w2"), (10, "w3")]
+    rows = [(i, " ".join(f"w{x}" for x in rng.integers(0, 6, 60)) + (" " + items[i % 8][1]) * (i % 2)) for i in range(30)]
+    monkeypatch.setattr(dc, "CODES", 3)
+    block = next(dc.pattern_blocks(table(spark, items, "item_id long, text string")))
+    scanner = dc.Scanner(block)
+    assert scanner.width == 2
+    for (i, t), want in zip(rows, sorted(brute(rows, items), key=lambda r: r[0])):
+        n, ranges, ids = scanner.scan(t)
+        assert (i, n, sum(b - a for a, b in dc.joined(ranges)), len(ids)) == want[:4]
+    assert len({dc.code_point(n) for n in range(0xD700, 0xE900)}) == 0x1200 and not any(0xD800 <= ord(dc.code_point(n)) < 0xE000 for n in range(0xD000, 0xE900))
