@@ -17,7 +17,7 @@ copies. No table is refused: a source of a few bytes beside a large table gets t
 Null sources form a source of their own (reported as null), null and empty texts count as one byte
 so that each source has a rate, repeated rows are drawn alike, ties in the order key are put in the order of doc_id and copy, an empty
 table gives no rows. Very long texts travel whole, as one row for each copy. Columns of docs that have a name of this operator's own (rate,
-copies, copy, shuffle_key) are replaced; any other names are kept.
+copies, copy, shuffle_key) are replaced, unless ``details`` is off; any other names are kept.
 """
 
 from __future__ import annotations
@@ -135,10 +135,13 @@ def source_rates(docs: DataFrame, weights: dict[str | None, float] | None = None
     return F.broadcast(spark.createDataFrame([r + t for r, t in zip(rows, tables)], schema + ", _first long, _cdf array<double>"))
 
 
-def mix(docs: DataFrame, weights: dict[str | None, float] | None = None, by: str = "source", temperature: float = TEMPERATURE, epochs: float = 1.0, seed: str = SEED, shuffle: bool = True) -> DataFrame:
-    """docs' columns, rate, copies, copy (from 0) and shuffle_key, a row for each copy, in shuffled order."""
+def mix(docs: DataFrame, weights: dict[str | None, float] | None = None, by: str = "source", temperature: float = TEMPERATURE, epochs: float = 1.0, seed: str = SEED, shuffle: bool = True, details: bool = True) -> DataFrame:
+    """docs' columns, rate, copies, copy (from 0) and shuffle_key, a row for each copy, in shuffled order.
+
+    Without details docs' columns only, all as they were.
+    """
     rates = source_rates(docs, weights, by, temperature, epochs)
-    kept = docs.select(*(F.col(f"`{c}`") for c in docs.columns if c not in OWN))
+    kept = docs.select(*(F.col(f"`{c}`") for c in docs.columns if not details or c not in OWN))
     own = free_prefix(kept.columns)
     col = lambda name: F.col(own + name)
     rates = rates.withColumnsRenamed({c: own + c[1:] for c in rates.columns})
@@ -149,11 +152,14 @@ def mix(docs: DataFrame, weights: dict[str | None, float] | None = None, by: str
         count = col("first") + F.size(F.filter(col("cdf"), lambda c: c <= col("u")))
     else:
         count = F.arrow_udf(poisson_draws, "long", functionType=ArrowUDFType.SCALAR_ITER)(col("rate"), col("u"))
-    drawn = joined.withColumn(own + "u", draw).withColumn("copies", count.cast("long")).where("copies > 0")
+    drawn = joined.withColumn(own + "u", draw).withColumn(own + "copies", count.cast("long")).where(col("copies") > 0)
     # In chunks, as a row of a tiny source can have more copies than one array should hold.
-    chunked = drawn.withColumn(own + "chunk", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("copies") - 1) / CHUNK))))
+    chunked = drawn.withColumn(own + "chunk", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((col("copies") - 1) / CHUNK))))
     start = col("chunk") * CHUNK
-    copied = chunked.withColumn("copy", F.explode(F.sequence(start, F.least(start + CHUNK, F.col("copies")) - 1)))
-    key = F.xxhash64(F.lit(seed), F.col("doc_id"), col("u"), F.col("copy"))
-    out = copied.select(*(F.col(f"`{c}`") for c in kept.columns), col("rate").alias("rate"), "copies", "copy", key.alias("shuffle_key"))
-    return out.orderBy("shuffle_key", "doc_id", "copy") if shuffle else out
+    copied = chunked.withColumn(own + "copy", F.explode(F.sequence(start, F.least(start + CHUNK, col("copies")) - 1)))
+    copied = copied.withColumn(own + "key", F.xxhash64(F.lit(seed), F.col("doc_id"), col("u"), col("copy")))
+    rows = [F.col(f"`{c}`") for c in kept.columns]
+    out = copied.select(*rows, col("rate"), col("copies"), col("copy"), col("key"))
+    out = out.orderBy(col("key"), "doc_id", col("copy")) if shuffle else out
+    more = [col("rate").alias("rate"), col("copies").alias("copies"), col("copy").alias("copy"), col("key").alias("shuffle_key")]
+    return out.select(*rows, *(more if details else []))
