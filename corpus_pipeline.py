@@ -29,7 +29,7 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return source_mixing.mix(docs).select(docs.columns)
+    return source_mixing.mix(docs, details=False)
 
 
 def shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,7 +45,6 @@ STAGES = [
 ]
 
 
-
 def stage_sql(query: str, source: str) -> str:
     """A query's SQL over another table than documents."""
     return "(" + ORACLES[query].replace("FROM documents", f"FROM {source}") + ")"
