@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, replace
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -92,7 +93,14 @@ def make_view(cells: DataFrame, shape: tuple[int, ...], missing_rule: str = "any
     for m, g in groupings.items():
         if g is not None and g.n_members != shape[modes.index(m)]:
             raise ValueError(f"the grouping of mode {m} has {g.n_members} members, the cube {shape[modes.index(m)]}")
-    return View(mode_products(cells, groupings, missing_rule), shape, dict(groupings), absent, None, weight, modes)
+    return View(mode_products(inside(cells, shape, modes), groupings, missing_rule), shape, dict(groupings), absent, None, weight, modes)
+
+
+def inside(cells: DataFrame, shape: tuple[int, ...], modes: str = "ijk") -> DataFrame:
+    """cells, of which none may have an index outside the cube: its row would vanish in a join or spoil a sum, so it is an error."""
+    outside = reduce(lambda a, b: a | b, ((F.col(m) < 0) | (F.col(m) >= n) for m, n in zip(modes, shape)))
+    said = F.concat(F.lit(f"a cell outside the cube {shape}: "), F.concat_ws(", ", *(F.col(m).cast("string") for m in modes)))
+    return cells.where(F.when(outside, F.raise_error(said).cast("boolean")).otherwise(F.lit(True)))
 
 
 def temporal_view(cells: DataFrame, shape: tuple[int, int, int], grouping: Grouping, missing_rule: str = "any", absent: str = "missing") -> View:

@@ -153,6 +153,14 @@ def test_costs_as_spark_counts_them(spark):
     assert sums.cells == 96 and cost["rows_read"] == 96 and cost["bytes_read"] > 0 and 0 < cost["bytes_shuffled"] < 5000 and cost["stages"] >= 2
 
 
+def test_cells_outside_the_cube_are_an_error(spark):
+    x = cells(spark, np.ones((6, 4, 8)))
+    assert make_view(x, (6, 4, 8), k=G.period(8, 2)).cells.count() == 96
+    for shape, groups in (((5, 4, 8), {"k": G.period(8, 2)}), ((6, 4, 7), {"k": G.period(7, 2)}), ((6, 3, 8), {"i": G.chunk(6, 2)})):
+        with pytest.raises(Exception, match="outside the cube"):
+            make_view(x, shape, **groups).cells.count()
+
+
 def test_together_keeps_the_order_and_raises():
     assert shared.together([lambda n=n: n * n for n in range(9)]) == [n * n for n in range(9)]
     assert shared.together([]) == []
