@@ -74,9 +74,15 @@ def test_edges(spark):
 
 def test_rounds_raise_held_out_likelihood(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
-    score = [sum(r.score for r in lm.scores(docs, PATH, rounds=n).where("held_out").collect()) for n in (0, 1, 2)]
-    base = sum(r.base_score for r in lm.scores(docs, PATH, rounds=0).where("held_out").collect())
-    assert base < 0 and score[0] < score[1] < score[2]
+    score = [sum(r.score for r in lm.scores(docs, PATH, rounds=n).where("held_out").collect()) for n in (0, 1, 2, lm.ROUNDS)]
+    assert score[0] < score[1] < score[2]
+    assert abs(score[3] - score[2]) < 0.01 * abs(score[2])  # more rounds gain less than a hundredth
+
+
+def test_known_documents_are_scored_like_words(spark):
+    """Where training has seen every word, the score is that of a smoothed model of words: within a few percent of the add-one base."""
+    rows = [r for r in lm.scores(spark.read.parquet(f"{SF}/documents.parquet"), PATH).collect() if r.n_known == r.n_tokens and r.n_tokens > 20]
+    assert len(rows) > 50 and abs(sum(r.score for r in rows) / sum(r.base_score for r in rows) - 1) < 0.05
 
 
 @pytest.mark.parametrize("rounds", [0, 2])
