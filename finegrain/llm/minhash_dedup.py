@@ -39,7 +39,8 @@ from finegrain.llm.common import bounded, drop, free_name, written
 WORDS = 5
 ALIKE = (80, 100)  # 100 * intersection >= 80 * union
 BANDS, ROWS, BITS = 32, 4, 4
-TRIES, MEETINGS = 3, 256
+TRIES, MEETINGS = 3, 4096
+HUB_ROWS = 4_000_000  # edges of 16 bytes that one task may hold
 BLOCK = 2048  # rows of a bucket whose signatures meet in one task, twice
 SET_BLOCK = 512  # and whose texts do
 PASS_BYTES = 1 << 20
@@ -227,22 +228,30 @@ def components(links: DataFrame) -> DataFrame:
     """id, component (least id reachable) of all ids in links a, b; ids without links have no row.
 
     Every round, each id's neighbours are linked to the least of them (larger ones first, then smaller ones), which
-    halves long paths and keeps stars as they are, until nothing changes. All aggregation is partial, and aggregates are written before they
-    are joined, so that Spark can split a hub's rows: a hub costs one row a task.
+    halves long paths and keeps stars as they are, until nothing changes. All aggregation is partial: a hub costs one row a task. Where
+    there are more than HUB_ROWS edges, aggregates are written before they are joined, so that Spark can split a hub's rows.
     """
     edges = written(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
-    same = False
+    same, tables = False, []
+
+    def kept(df: DataFrame) -> DataFrame:
+        if n > HUB_ROWS:
+            df = written(df)
+            tables.append(df)
+        return df
+
     while not same:
+        n = edges.count()
         both = edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = written(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")))
-        large = written(both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
-        least = written(large.groupBy("u").agg(F.min("v").alias("m")))
+        low = kept(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")))
+        large = kept(both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
+        least = kept(large.groupBy("u").agg(F.min("v").alias("m")))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
         new = written(small.unionByName(least.select("u", F.col("m").alias("v"))).distinct())
-        same = new.count() == edges.count() and new.join(edges, ["u", "v"], "left_anti").isEmpty()
-        for old in (edges, low, large, least):
+        same = new.count() == n and new.join(edges, ["u", "v"], "left_anti").isEmpty()
+        for old in (edges, *tables):
             drop(old)
-        edges = new
+        edges, tables = new, []
     tops = edges.select(F.col("v").alias("id")).distinct().withColumn("component", F.col("id"))
     return edges.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(tops)
 

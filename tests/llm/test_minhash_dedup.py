@@ -105,3 +105,18 @@ def test_estimate_is_unbiased():
         mins = md.minima([np.unique(a), np.unique(b)], md.BANDS * md.ROWS)
         s = md.packed_signature(mins)
         assert abs(float(md.estimate(s[0], s[1])) - true) < 0.16
+
+
+def test_components_of_hubs_and_paths(spark, monkeypatch):
+    links = [(0, i) for i in range(5, 400)] + [(i, i + 1) for i in range(1000, 1060)] + [(2000, 2000), (1030, 30)]
+    df = spark.createDataFrame(links, "a long, b long")
+    want = {i: 0 for i in [0, *range(5, 400), *range(1000, 1061)]}
+    for most in (md.HUB_ROWS, 0):
+        monkeypatch.setattr(md, "HUB_ROWS", most)
+        assert {r.id: r.component for r in md.components(df).collect()} == want
+
+
+def test_few_meetings_are_worth_another_try(spark, monkeypatch):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
+    monkeypatch.setattr(md, "MEETINGS", 0)
+    assert ours(docs, 4) == brute([tuple(r) for r in docs.collect()], 4)
