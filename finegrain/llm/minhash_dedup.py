@@ -4,12 +4,12 @@
    sets form a class, found by a hash of the set; one of them, with the least doc_id, stands for it.
 2. ``BANDS * ROWS`` minima are drawn from each set. Band keys come from whole minima; a signature keeps the low ``BITS``
    bits of each minimum, packed. Two sets that are 0.8 alike share no band with a chance of (1 - 0.8**ROWS)**BANDS.
-3. A band's bucket is never paired within itself. Each document has one first candidate: of its buckets' documents the one that comes
-   first in a random order, a minimum by partial aggregation; a bucket that everything falls in costs one row a task.
+3. A band's bucket is never paired within itself. Each document has one first candidate: the least document of its
+   buckets, a minimum by partial aggregation; a bucket that everything falls in costs one row a task.
 4. A candidate's similarity is estimated from the bits in which its signatures agree, corrected for the 2**-BITS of
    unequal minima that agree by chance. Five standard errors below the threshold it is dropped; all others are
    confirmed on their whole sets. Confirmed links give components. Where the next step would have a document meet more than ``MEETINGS`` others
-   on average, documents outside the largest component of one of their buckets first have up to ``TRIES`` - 1 further candidates, from such a component.
+   on average, documents outside the largest component of one of their buckets first have up to ``TRIES`` - 1 further candidates, in random orders, from such a component.
 5. Members of one bucket that are still in different components may be alike although neither is like the first
    candidate. In each bucket, the members outside its largest component meet all members, in blocks: signatures tell
    which of them have a possible partner in another component (each pair in the
@@ -357,7 +357,7 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, alike: tuple[int, int] = AL
     signs = reps.select("id", "signature")
     links, found, open_ = None, None, None
     for salt in range(TRIES):
-        turn = F.struct(F.xxhash64("id", F.lit(salt)).alias("turn"), "id")
+        turn = F.struct((F.xxhash64("id", F.lit(salt)) if salt else F.lit(0).cast("long")).alias("turn"), "id")
         # Whom to try: at first all, then those outside their bucket's largest component, with one of its members.
         tried, offered = (shared, shared) if salt == 0 else (open_.where("outside"), open_.where("NOT outside"))
         first = written(offered.groupBy("key").agg(F.min(turn).alias("first")))
