@@ -7,6 +7,7 @@ from finegrain import catalog
 
 NAMES = [
     "cube_planted_expression",
+    "cube_planted",
 ]
 
 
