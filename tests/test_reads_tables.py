@@ -8,6 +8,7 @@ from finegrain import catalog
 NAMES = [
     "cube_planted_expression",
     "cube_planted",
+    "dct_basis",
 ]
 
 
