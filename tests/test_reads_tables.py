@@ -9,6 +9,7 @@ NAMES = [
     "cube_planted_expression",
     "cube_planted",
     "dct_basis",
+    "dim_calendar",
 ]
 
 
