@@ -10,6 +10,7 @@ NAMES = [
     "cube_planted",
     "dct_basis",
     "dim_calendar",
+    "flop_model",
 ]
 
 
