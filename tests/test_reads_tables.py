@@ -11,6 +11,7 @@ NAMES = [
     "dct_basis",
     "dim_calendar",
     "flop_model",
+    "gram_aggregate",
 ]
 
 
