@@ -12,6 +12,7 @@ NAMES = [
     "dim_calendar",
     "flop_model",
     "gram_aggregate",
+    "gram_r2",
 ]
 
 
