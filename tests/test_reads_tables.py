@@ -13,6 +13,7 @@ NAMES = [
     "flop_model",
     "gram_aggregate",
     "gram_r2",
+    "mean_worked_example",
 ]
 
 
