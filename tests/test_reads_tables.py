@@ -14,6 +14,7 @@ NAMES = [
     "gram_aggregate",
     "gram_r2",
     "mean_worked_example",
+    "leaderboard",
 ]
 
 
