@@ -15,6 +15,7 @@ NAMES = [
     "gram_r2",
     "mean_worked_example",
     "leaderboard",
+    "improvement",
 ]
 
 
