@@ -16,6 +16,7 @@ NAMES = [
     "mean_worked_example",
     "leaderboard",
     "improvement",
+    "oracle_gap",
 ]
 
 
