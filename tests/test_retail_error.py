@@ -80,3 +80,12 @@ def test_blind_retail(spark, retail):
     whole = [np.eye(n) for n in yt.shape], [np.eye(n) for n in yc.shape]
     own = error(x, descended([(yt, ("i", "j", "kt"), whole[0]), (yc, ("it", "j", "k"), whole[1])], start, ("i", "it", "j", "k", "kt"), mu=100.0))
     assert catalog.QUERIES["blind_retail"](spark, SF).first().own_nde == round(own, 2)
+
+
+def test_coupled_retail(spark, retail):
+    x, yt, yc, u, w = retail
+    _, j, k = decomposed(yc, 10)
+    start = {"j": j, "k": k, "i": solved(yt, [np.zeros((25, 10)), j, w @ k], 0)}
+    maps = [np.eye(25), np.eye(25), w], [u, np.eye(25), np.eye(357)]
+    own = error(x, descended([(yt, ("i", "j", "k"), maps[0]), (yc, ("i", "j", "k"), maps[1])], start, ("i", "j", "k")))
+    assert catalog.QUERIES["coupled_retail"](spark, SF).first().own_nde == round(own, 2)
