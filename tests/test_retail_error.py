@@ -1,4 +1,4 @@
-"""Errors that the fits of the given retail cube report: those of the same methods written densely, from another start.
+"""Errors that the fits of the given retail cube report: those of the same methods written densely, from another start and from the same one.
 
 On sf0.1, where the literal in the queries' SQL (the error on sf0.01) doesn't hold.
 """
@@ -10,6 +10,8 @@ from dense import matrix, model, observe
 
 from finegrain import catalog
 from finegrain.operators import groupings as G
+from finegrain.operators import metrics
+from finegrain.operators.blind import fit_blind
 from finegrain.plans import workloads as W
 
 SF = "/root/testdata/sf0.1"
@@ -89,3 +91,32 @@ def test_coupled_retail(spark, retail):
     maps = [np.eye(25), np.eye(25), w], [u, np.eye(25), np.eye(357)]
     own = error(x, descended([(yt, ("i", "j", "k"), maps[0]), (yc, ("i", "j", "k"), maps[1])], start, ("i", "j", "k")))
     assert catalog.QUERIES["coupled_retail"](spark, SF).first().own_nde == round(own, 2)
+
+
+def decomposed_from_own_start(y, rank, rounds=10):
+    """With the fits' own random start, and columns of equal norms after each round as they have them."""
+    rng = np.random.default_rng(0)
+    factors = [rng.random((n, rank)) + 0.1 for n in y.shape]
+    for _ in range(rounds):
+        for n in range(3):
+            factors[n] = solved(y, factors, n)
+        norms = [np.linalg.norm(f, axis=0) for f in factors]
+        factors = [f / m * np.prod(norms, axis=0) ** (1 / 3) for f, m in zip(factors, norms)]
+    return factors
+
+
+def spark_error(spark, fit_views):
+    t, c = (v.placed() for v in catalog.nbw_views(spark, SF, absent="zero"))
+    truth = catalog.densify(W.retail_nbw(spark, SF), dict(zip("ijk", catalog.NBW_SHAPE)))
+    return metrics.nde_model(truth, fit_views(t, c).factors)
+
+
+def test_blind_from_the_same_start(spark, retail):
+    """To the digits of the fit, not only to two. Its start guesses equal periods, as it isn't told the real ones."""
+    x, yt, yc, _, _ = retail
+    it, j, k = decomposed_from_own_start(yc, 10)
+    kt = matrix(G.chunk(357, 90)) @ k
+    start = {"it": it, "j": j, "k": k, "kt": kt, "i": solved(yt, [np.zeros((25, 10)), j, kt], 0)}
+    whole = [np.eye(n) for n in yt.shape], [np.eye(n) for n in yc.shape]
+    own = error(x, descended([(yt, ("i", "j", "kt"), whole[0]), (yc, ("it", "j", "k"), whole[1])], start, ("i", "it", "j", "k", "kt"), mu=100.0))
+    assert spark_error(spark, lambda t, c: fit_blind(t, c, 10)) == pytest.approx(own, abs=1e-6)
