@@ -12,6 +12,7 @@ from finegrain import catalog
 from finegrain.operators import groupings as G
 from finegrain.operators import metrics
 from finegrain.operators.blind import fit_blind
+from finegrain.operators.coupled import fit_coupled
 from finegrain.plans import workloads as W
 
 SF = "/root/testdata/sf0.1"
@@ -120,3 +121,12 @@ def test_blind_from_the_same_start(spark, retail):
     whole = [np.eye(n) for n in yt.shape], [np.eye(n) for n in yc.shape]
     own = error(x, descended([(yt, ("i", "j", "kt"), whole[0]), (yc, ("it", "j", "k"), whole[1])], start, ("i", "it", "j", "k", "kt"), mu=100.0))
     assert spark_error(spark, lambda t, c: fit_blind(t, c, 10)) == pytest.approx(own, abs=1e-6)
+
+
+def test_coupled_from_the_same_start(spark, retail):
+    x, yt, yc, u, w = retail
+    _, j, k = decomposed_from_own_start(yc, 10)
+    start = {"j": j, "k": k, "i": solved(yt, [np.zeros((25, 10)), j, w @ k], 0)}
+    maps = [np.eye(25), np.eye(25), w], [u, np.eye(25), np.eye(357)]
+    own = error(x, descended([(yt, ("i", "j", "k"), maps[0]), (yc, ("i", "j", "k"), maps[1])], start, ("i", "j", "k")))
+    assert spark_error(spark, lambda t, c: fit_coupled([t, c], 10, placed=True)) == pytest.approx(own, abs=1e-6)
